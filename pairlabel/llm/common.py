@@ -68,3 +68,22 @@ atexit.register(release)
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
+
+
+#: A key with over one in so many of all rows is hot, so at most so many keys are.
+HOT_PARTS = 1000
+
+
+def hot_join(rows: DataFrame, groups: DataFrame, key: str, size: str, total: int, spread: Column) -> DataFrame:
+    """rows left-joined with groups (one row per key, with its number of rows) on key; hot keys are broadcast, and their rows get the key ``spread`` instead, so no task gets them all.
+
+    spread has the key's type and matches no key, or the key of a row that it does not harm to meet. The columns of groups follow, but for size.
+    """
+    values = [c for c in groups.columns if c != key]
+    hot = groups.where(F.col(size) * HOT_PARTS > total).select(F.col(key).alias("_hot_key"), *[F.col(c).alias(f"_hot_{c}") for c in values])
+    out = rows.join(F.broadcast(hot), F.col(key) == F.col("_hot_key"), "left")
+    out = out.withColumn("_key", F.when(F.col("_hot_key").isNull(), F.col(key)).otherwise(spread))
+    out = out.join(groups.select(F.col(key).alias("_key"), *values), "_key", "left")
+    for c in values:
+        out = out.withColumn(c, F.when(F.col("_hot_key").isNull(), F.col(c)).otherwise(F.col(f"_hot_{c}")))
+    return out.drop("_key", "_hot_key", *[f"_hot_{c}" for c in values])

@@ -6,10 +6,14 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bin_packing, bit_packing, bpe, chat_format, exact_dedup, license_scan
+from . import ann_tree, bin_packing, bit_packing, bpe, chat_format, exact_dedup, language_model, license_scan, near_duplicates, toxicity
 from .common import documents
 
 
+def op1_kmeans_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann_tree.nearest(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), F.col("vec_id") % 20 == 0)
+
+
 def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     packed = bin_packing.pack_documents(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"), keep_ids=False)
     return packed.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
@@ -24,6 +28,10 @@ def op4_bit_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bit_packing.read_documents(blocks).select("doc_id", "start", "n_tokens", bit_packing.crc32_of("ids").alias("ids_crc32"))
 
 
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.grade(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def op6_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     said = "</s>[INST] ok [/INST]"
     more = spark.createDataFrame([(-7, 0, "user", said), (-7, 1, "assistant", said)], "conv_id long, turn long, role string, text string")
@@ -51,10 +59,21 @@ def op8_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op9_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates.jaccard_components(documents(spark, sf_dir)).select("doc_id", "n_shingles", "component_id")
+
+
+def op10_deleted_interpolation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_model.interpolated_scores(documents(spark, sf_dir))
+
+
 QUERIES = {
     f.__name__: f
-    for f in (op2_best_fit_packing, op3_license_scan, op4_bit_packed_ids, op6_chat_formatting, op7_exact_dedup, op8_bpe_round_trip)
-}
+    for f in (
+        op1_kmeans_tree, op2_best_fit_packing, op3_license_scan, op4_bit_packed_ids, op5_toxicity, op6_chat_formatting,
+        op7_exact_dedup, op8_bpe_round_trip, op9_ngram_jaccard, op10_deleted_interpolation,
+    )
+}
 
 _LOWERED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
