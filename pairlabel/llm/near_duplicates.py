@@ -144,13 +144,14 @@ def _open_blobs(table: pa.Table, owner_bytes: int) -> tuple[np.ndarray, np.ndarr
 def prune(docs: DataFrame, classes: DataFrame, total: int, size: int = 5, id_col: str = "doc_id", text_col: str = "text", bucket_tokens: int = 1 << 21) -> DataFrame:
     """Of classes (digest, rid, n, copies) those that may have a link to another."""
     n_buckets = max(1, total * 2 // 5 // bucket_tokens + 1)
+    n_ranges = max(1, total // 400 // 200_000 + 1)
 
     def post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[bytes, np.ndarray] = {}
         n = 0
         for _, sets in _sets(batches, size):
             for s in sets:
-                if len(s) and (d := _digest(s)[:8]) not in held:
+                if len(s) and (d := _digest(s)[:8] + len(s).to_bytes(8, "little")) not in held:
                     held[d] = s[: len(s) - least_overlap(len(s)) + int(spare(len(s)))].copy()
                     n += len(held[d])
             if n > 1 << 20:
@@ -159,27 +160,43 @@ def prune(docs: DataFrame, classes: DataFrame, total: int, size: int = 5, id_col
         yield _blob_batch(list(_blobs(list(held), list(held.values()), n_buckets)))
 
     def shared(table: pa.Table) -> pa.Table:
-        tokens, refs = _open_blobs(table, 8)
-        refs = refs[:, 0]
-        order = np.lexsort((refs, tokens))
-        tokens, refs = tokens[order], refs[order]
+        """Of one bucket of tokens: counts of shared postings by class, a row per range of classes."""
+        tokens, owners = _open_blobs(table, 16)
+        order = np.lexsort((owners[:, 0], tokens))
+        tokens, owners = tokens[order], owners[order]
+        refs = owners[:, 0]
         new_token = np.concatenate([[True], tokens[1:] != tokens[:-1]])
         new = new_token | np.concatenate([[True], refs[1:] != refs[:-1]])
-        tokens, refs, new_token = tokens[new], refs[new], new_token[new]
+        owners, new_token = owners[new], new_token[new]
         group = np.cumsum(new_token) - 1
         several = np.bincount(group) > 1
-        found, counts = np.unique(refs[several[group]], return_counts=True)
-        return pa.table({"ref": pa.array(found, pa.int64()), "n_shared": pa.array(counts, pa.int64())})
+        owners = owners[several[group]]
+        refs, first, counts = np.unique(owners[:, 0], return_index=True, return_counts=True)
+        sizes = owners[first, 1]
+        part = (refs.view(_U) % _U(n_ranges)).astype(np.int64)
+        own = [part == k for k in np.unique(part).tolist()]
+        return pa.table({
+            "part": pa.array(np.unique(part), pa.int64()),
+            "refs": pa.array([refs[k].tobytes() for k in own], pa.binary()),
+            "sizes": pa.array([sizes[k].astype(np.int64).tobytes() for k in own], pa.binary()),
+            "counts": pa.array([counts[k].astype(np.int64).tobytes() for k in own], pa.binary()),
+        })
+
+    def enough(table: pa.Table) -> pa.Table:
+        refs, sizes, counts = (np.concatenate([np.frombuffer(x, np.int64) for x in table.column(c).to_pylist()]) for c in ("refs", "sizes", "counts"))
+        own, first, where = np.unique(refs, return_index=True, return_inverse=True)
+        total_ = np.bincount(where, counts)
+        least = np.maximum(1, spare(sizes[first]) - 1)
+        return pa.table({"ref": pa.array(own[total_ >= least], pa.int64())})
 
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
-    posted = rows.mapInArrow(post, _BLOB)
-    counts = posted.groupBy("bucket").applyInArrow(shared, "ref long, n_shared long").groupBy("ref").agg(F.sum("n_shared").alias("n_shared"))
-    # the first eight bytes of the digest, read as the machine's (little-endian) 64-bit number
+    counted = rows.mapInArrow(post, _BLOB).groupBy("bucket").applyInArrow(shared, "part long, refs binary, sizes binary, counts binary")
+    refs = counted.groupBy("part").applyInArrow(enough, "ref long")
+    # the first eight bytes of the digest, read as a little-endian 64-bit number
     hexed = F.hex(F.substring("digest", 1, 8))
     turned = F.concat(*[F.substring(hexed, 15 - 2 * k, 2) for k in range(8)])
     signed = F.conv(turned, 16, -10).cast("decimal(20,0)").cast("long")
-    least = F.greatest(F.lit(1), F.greatest(F.lit(1), F.floor(F.col("n") / 10)) - 1)
-    return classes.withColumn("ref", signed).join(counts, "ref").where(F.col("n_shared") >= least).select("digest", "rid", "n")
+    return classes.withColumn("ref", signed).join(refs, "ref", "left_semi").select("digest", "rid", "n")
 
 
 _SET = "rid long, n long, tokens binary"
@@ -206,28 +223,68 @@ def survivor_sets(docs: DataFrame, survivors: DataFrame, n_survivors: int, size:
     return rows.mapInArrow(run, f"{_SET}, least long, second long")
 
 
-def follow_leaders(sets: DataFrame, key, most: int = 48) -> DataFrame:
-    """rid, leader: documents compared, within one key, with at most so many leaders; only verified links count."""
+def _central_first(sets: list[np.ndarray]) -> list[int]:
+    """Those whose tokens most others share come first."""
+    if len(sets) < 3:
+        return list(range(len(sets)))
+    _, where, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    own = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+    mean = np.bincount(own, counts[where]) / np.array([len(s) for s in sets])
+    return np.argsort(-mean, kind="stable").tolist()
+
+
+def follow_leaders(sets: DataFrame, key, most: int = 48, buffered: int = 256) -> DataFrame:
+    """rid, leader: documents compared, within one key, with at most so many leaders; only verified links count.
+
+    Leaders are picked among the first ``buffered`` documents of a key, the most central first, as they link to most of the others.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last, leaders = None, []
+        last, leaders, waiting = None, [], []
+        out: list[tuple[int, int]] = []
+
+        def meet(rid: int, s: np.ndarray) -> None:
+            sketch = set(s[:24].tolist())
+            for j, (lead, t, other) in enumerate(leaders):
+                if len(sketch & other) * 4 >= min(len(sketch), len(other)) and linked(s, t):
+                    out.append((rid, lead))
+                    if j:
+                        leaders.insert(0, leaders.pop(j))
+                    return
+            if len(leaders) < most:
+                leaders.append((rid, s, sketch))
+
+        def settle() -> None:
+            if len(waiting) > 1:
+                for k in _central_first([s for _, s in waiting]):
+                    meet(*waiting[k])
+            elif waiting and most:
+                leaders.append((waiting[0][0], waiting[0][1], set(waiting[0][1][:24].tolist())))
+            waiting.clear()
+
+        def flush() -> pa.RecordBatch:
+            got = pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out], pa.int64())], ["rid", "leader"])
+            out.clear()
+            return got
+
+        full = False
         for b in batches:
-            out: list[tuple[int, int]] = []
             for rid, blob, k in zip(*(b.column(c).to_pylist() for c in ("rid", "tokens", "key")), strict=True):
-                s = np.frombuffer(blob, _U)
                 if k != last:
-                    last, leaders = k, []
-                sketch = set(s[:24].tolist())
-                for j, (lead, t, other) in enumerate(leaders):
-                    if len(sketch & other) * 4 >= min(len(sketch), len(other)) and linked(s, t):
-                        out.append((rid, lead))
-                        if j:
-                            leaders.insert(0, leaders.pop(j))
-                        break
-                else:
-                    if len(leaders) < most:
-                        leaders.append((rid, s, sketch))
-            yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out], pa.int64())], ["rid", "leader"])
+                    settle()
+                    last, full = k, False
+                    leaders.clear()
+                s = np.frombuffer(blob, _U)
+                if full:
+                    meet(rid, s)
+                    continue
+                waiting.append((rid, s))
+                if len(waiting) >= buffered:
+                    settle()
+                    full = True
+            yield flush()
+        settle()
+        yield flush()
 
     rows = sets.select("rid", "tokens", key.alias("key")).repartition("key").sortWithinPartitions("key", "rid")
     return rows.mapInArrow(run, "rid long, leader long")
@@ -281,14 +338,18 @@ def matrix_links(sets: DataFrame, bucket_tokens: int = 1 << 21, share=SHARE) ->
     alone = F.col("n") - F.size("s")
     long = F.col("n") - F.ceil(F.col("n") * share[0] / share[1]) + 1 - alone
     short = F.col("n") - F.ceil(F.col("n") * 2 * share[0] / (share[0] + share[1])) + 1 - alone
-    lead = by_doc.where(long > 0).select("rid", "n", "grp", "part", short.alias("short"), F.posexplode(F.slice("s", F.lit(1), long.cast("int"))).alias("at", "t"))
-    lead = materialize(lead.select("rid", "n", "grp", "part", (F.col("at") < F.col("short")).alias("in_short"), F.col("t.token").alias("token")), "prefixes")
+    lead = by_doc.where(long > 0).select("rid", "n", "grp", "part", short.alias("short"), F.size("s").alias("rest"), F.posexplode(F.slice("s", F.lit(1), long.cast("int"))).alias("at", "t"))
+    # rest: how many tokens, this one included, can still be shared; the first shared token of a linked pair has enough on both sides
+    lead = lead.select("rid", "n", "grp", "part", (F.col("at") < F.col("short")).alias("in_short"), (F.col("rest") - F.col("at")).alias("rest"), F.col("t.token").alias("token"))
+    lead = materialize(lead, "prefixes")
 
     # the token-group matrix, by token: blocks whose members have it in their long or short prefix, with their sizes
     def matrix(rows: DataFrame) -> DataFrame:
-        return rows.groupBy("token", F.col("grp").alias("m_grp"), F.col("part").alias("m_part")).agg(F.min("n").alias("m_min"), F.max("n").alias("m_max"))
+        return rows.groupBy("token", F.col("grp").alias("m_grp"), F.col("part").alias("m_part")).agg(F.min("n").alias("m_min"), F.max("n").alias("m_max"), F.max("rest").alias("m_rest"))
 
-    near = (F.col("m_max") * share[1] >= F.col("n") * share[0]) & (F.col("n") * share[1] >= F.col("m_min") * share[0]) & (F.col("grp") != F.col("m_grp"))
+    other = F.greatest(F.col("m_min"), F.ceil(F.col("n") * share[0] / share[1]))
+    enough = F.least("rest", "m_rest") >= F.ceil((F.col("n") + other) * share[0] / (share[0] + share[1]))
+    near = enough & (F.col("m_max") * share[1] >= F.col("n") * share[0]) & (F.col("n") * share[1] >= F.col("m_min") * share[0]) & (F.col("grp") != F.col("m_grp"))
     smaller = lead.where("in_short").join(matrix(lead), "token").where(near & (F.col("m_max") >= F.col("n")))
     larger = lead.join(matrix(lead.where("in_short")), "token").where(near & (F.col("m_min") <= F.col("n")))
     asks = smaller.select("rid", "m_grp", "m_part").union(larger.select("rid", "m_grp", "m_part")).distinct()

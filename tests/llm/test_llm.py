@@ -393,6 +393,7 @@ def test_counts_are_kept_exactly():
         assert (language_model._unsqueeze(language_model._squeeze(keys)) == keys).all()
         counts = rng.integers(0, 600, n)
         assert (language_model._unsmall(language_model._small(counts)) == counts).all()
+        assert (language_model._unplanes(language_model._planes(counts)) == counts).all()
 
 
 def chat_rows(df):
