@@ -92,6 +92,19 @@ def _unsmall(data: bytes) -> np.ndarray:
     return out
 
 
+def _planes(counts: np.ndarray) -> bytes:
+    """Counts by significance of their bytes, which compresses well."""
+    width = max(1, -(-int(counts.max() if len(counts) else 0).bit_length() // 8))
+    return bytes([width]) + counts.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width].T.tobytes()
+
+
+def _unplanes(data: bytes) -> np.ndarray:
+    width, raw = data[0], np.frombuffer(data, np.uint8, offset=1)
+    out = np.zeros((len(raw) // width, 8), np.uint8)
+    out[:, :width] = raw.reshape(width, -1).T
+    return out.reshape(-1).view("<u8").astype(np.int64)
+
+
 def _summed(keys: np.ndarray, train: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Distinct keys, sorted, and how many of each are in training documents."""
     all_ = np.sort(keys | train.astype(_U))
@@ -119,6 +132,17 @@ def _by_block(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, pa.Table
         yield at, pa.Table.from_batches(held)
 
 
+def _packed(batch: pa.RecordBatch) -> bytes:
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, batch.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+        out.write_batch(batch)
+    return sink.getvalue().to_pybytes()
+
+
+def _unpacked(parcels: pa.Table) -> pa.Table:
+    return pa.concat_tables([pa.ipc.open_stream(pa.py_buffer(x)).read_all() for x in parcels.column("texts").to_pylist()])
+
+
 _KEPT = "doc_id long, held_out boolean, n_tokens long, n_known long, types long, c_w binary, c_hw binary"
 
 
@@ -130,10 +154,22 @@ def token_counts(docs: DataFrame, held_out, id_col: str = "doc_id", text_col: st
     bits = max(0, int(np.ceil(np.log2(max(1, size // 4 // (1 << 21))))))
     parts = max(1, min(n_blocks, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")) if n_blocks < 1000 else n_blocks // 2))
     block = F.pmod(F.xxhash64("doc_id", F.octet_length("text"), F.substring("text", 1, 64)), F.lit(n_blocks))
-    dealt = rows.withColumn("block", block).repartition(parts, "block")
+
+    def parcel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """The texts of one block that a batch holds, compressed together: less to shuffle."""
+        for b in batches:
+            at = b.column("block").to_numpy(zero_copy_only=False)
+            order = np.argsort(at, kind="stable")
+            cuts = [0, *(np.nonzero(np.diff(at[order]))[0] + 1).tolist(), len(at)]
+            own = b.select(["doc_id", "held_out", "text"])
+            spans = [order[s:e] for s, e in zip(cuts, cuts[1:], strict=False) if e > s]
+            yield pa.RecordBatch.from_arrays([pa.array([int(at[o[0]]) for o in spans], pa.int64()), pa.array([_packed(own.take(pa.array(o))) for o in spans], pa.binary())], ["block", "texts"])
+
+    dealt = rows.withColumn("block", block).mapInArrow(parcel, "block long, texts binary").repartition(parts, "block")
 
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for at, table in _by_block(batches):
+        for at, parcels in _by_block(batches):
+            table = _unpacked(parcels)
             uni, pair, offsets = token_keys(table.column("text").combine_chunks())
             train = np.repeat(~table.column("held_out").to_numpy(), np.diff(offsets))
             keys, counts = _summed(np.concatenate([uni, pair]), np.concatenate([train, train]))
@@ -179,6 +215,7 @@ def token_counts(docs: DataFrame, held_out, id_col: str = "doc_id", text_col: st
         if not texts.num_rows:
             n = got.num_rows
             return pa.table([pa.nulls(n, k) if c != "types" else got.column("types").combine_chunks() for c, k in zip(names, kinds, strict=True)], names=names)
+        texts = _unpacked(texts)
         uni, pair, offsets = token_keys(texts.column("text").combine_chunks())
         keys, _ = _summed(np.concatenate([uni, pair]), np.zeros(2 * len(uni), dtype=bool))
         order = np.argsort(got.column("span").to_numpy())
@@ -187,7 +224,7 @@ def token_counts(docs: DataFrame, held_out, id_col: str = "doc_id", text_col: st
         c_w, c_hw = totals[np.searchsorted(keys, uni)], totals[np.searchsorted(keys, pair)]
         spans = list(zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True))
         known = np.add.reduceat((c_w > 0).astype(np.int64), offsets[:-1])
-        cols = [texts.column("doc_id"), texts.column("held_out"), np.diff(offsets), known, pa.nulls(len(spans), pa.int64()), [_small(c_w[s:e]) for s, e in spans], [_small(c_hw[s:e]) for s, e in spans]]
+        cols = [texts.column("doc_id"), texts.column("held_out"), np.diff(offsets), known, pa.nulls(len(spans), pa.int64()), [_planes(c_w[s:e]) for s, e in spans], [_planes(c_hw[s:e]) for s, e in spans]]
         return pa.table([c if isinstance(c, (pa.ChunkedArray, pa.Array)) else pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=names)
 
     met = dealt.groupBy("block").cogroup(answers.groupBy("block"))
@@ -226,9 +263,14 @@ def learn_weights(cells: list[tuple[int, float, float, float]], uniform: float,
     return weights / weights.sum(axis=1, keepdims=True)
 
 
-def _arrays(row: dict, n_docs: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    c_w, c_hw = _unsmall(row["c_w"]), _unsmall(row["c_hw"])
-    return c_hw, np.concatenate([[n_docs], c_w[:-1]]), c_w  # the start occurs once in each training document
+def _arrays(c_w: bytes, c_hw: bytes, n_docs: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    own = _unplanes(c_w)
+    return _unplanes(c_hw), np.concatenate([[n_docs], own[:-1]]), own  # the start occurs once in each training document
+
+
+def _each(b: pa.RecordBatch) -> Iterator[tuple[bytes, bytes]]:
+    for x, y in zip(b.column("c_w"), b.column("c_hw"), strict=True):
+        yield x.as_py(), y.as_py()
 
 
 def interpolated_scores(docs: DataFrame, held_out=None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -248,16 +290,25 @@ def interpolated_scores(docs: DataFrame, held_out=None, id_col: str = "doc_id",
         top = 64 * GRAIN
         found: dict[int, int] = {}
         for b in batches:
-            codes = []
-            for r in b.to_pylist():
-                bucket, p2, p1 = _estimates(*_arrays(r, n_docs), n, True)
+            codes, held = [], 0
+
+            def count(codes: list[np.ndarray]) -> None:
+                cell, k = np.unique(np.concatenate(codes), return_counts=True)
+                for c, m in zip(cell.tolist(), k.tolist(), strict=True):
+                    found[c] = found.get(c, 0) + m
+                codes.clear()
+
+            for c_w, c_hw in _each(b):
+                bucket, p2, p1 = _estimates(*_arrays(c_w, c_hw, n_docs), n, True)
                 q2 = np.where(p2 > 0, np.clip(np.round(-np.log2(np.where(p2 > 0, p2, 1)) * GRAIN), 0, top - 2), top - 1).astype(np.int64)
                 q1 = np.where(p1 > 0, np.clip(np.round(-np.log2(np.where(p1 > 0, p1, 1)) * GRAIN), 0, top - 2), top - 1).astype(np.int64)
                 codes.append((bucket * top + q2) * top + q1)
+                held += len(q1)
+                if held > 1 << 20:
+                    count(codes)
+                    held = 0
             if codes:
-                cell, k = np.unique(np.concatenate(codes), return_counts=True)
-                for c, m in zip(cell.tolist(), k.tolist(), strict=True):
-                    found[c] = found.get(c, 0) + m
+                count(codes)
         yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.int64()), pa.array(list(found.values()), pa.int64())], ["cell", "n"])
 
     # a fixed grid, so what comes back has a fixed bound
@@ -270,8 +321,8 @@ def interpolated_scores(docs: DataFrame, held_out=None, id_col: str = "doc_id",
         base_of = np.log10(float(n + v + 1))
         for b in batches:
             base, full = [], []
-            for r in b.select(["c_w", "c_hw"]).to_pylist():
-                c_hw, c_h, c_w = _arrays(r, n_docs)
+            for one, two in _each(b):
+                c_hw, c_h, c_w = _arrays(one, two, n_docs)
                 bucket, p2, p1 = _estimates(c_hw, c_h, c_w, n, False)
                 w = weights[bucket]
                 full.append(float(np.log10(w[:, 0] * p2 + w[:, 1] * p1 + w[:, 2] / (v + 1)).sum()))
