@@ -10,6 +10,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: The tokenizer of all workloads: runs of letters and digits, lower-cased.
 TOKEN_SPLIT = r"[^\p{L}\p{N}]+"
@@ -112,12 +113,12 @@ def _pairwise(f, a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series(out)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def jaro(a: pd.Series, b: pd.Series) -> pd.Series:
     return _pairwise(jaro_value, a, b)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def jaro_winkler(a: pd.Series, b: pd.Series) -> pd.Series:
     return _pairwise(jaro_winkler_value, a, b)
 

@@ -6,12 +6,13 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Row, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import influence as I
 from . import similarity as S
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def dempster(theta: pd.Series) -> float:
     """Combined support of normalised confidences."""
     t = np.minimum(theta.to_numpy(dtype=float), 1 - 1e-12)
@@ -19,12 +20,12 @@ def dempster(theta: pd.Series) -> float:
     return 1 / (1 + np.exp(-np.clip(z, -700, 700)))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def t_central(q: pd.Series, dof: pd.Series) -> pd.Series:
     return pd.Series(I.central_t_np(q.to_numpy(dtype=float), dof.to_numpy(dtype=float)))
 
 
-@F.pandas_udf("int")
+@F.pandas_udf(T.IntegerType())
 def lcs_run(a: pd.Series, b: pd.Series) -> pd.Series:
     """Longest common run of two token arrays."""
 
@@ -41,7 +42,7 @@ def lcs_run(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([one(x, y) if x is not None and y is not None else 0 for x, y in zip(a, b, strict=True)])
 
 
-@F.udtf(returnType="family: string, token: string")
+@F.udtf(returnType=T.StructType([T.StructField("family", T.StringType()), T.StructField("token", T.StringType())]))
 class TokenFeatures:
     """Rows of shared and unshared tokens of two arrays."""
 

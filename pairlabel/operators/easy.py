@@ -74,8 +74,8 @@ def easy_accuracy(pairs: DataFrame, truth: DataFrame, ratios: list[float], share
         rows = easy_by_ratio(pairs, ratio, share).join(truth, "pair_id")
         one = rows.agg(
             F.lit(ratio).alias("ratio"),
-            (F.count_if("label = 1 and truth = 1") / F.greatest(F.count_if("label = 1"), F.lit(1))).alias("match_accuracy"),
-            (F.count_if("label = 0 and truth = 0") / F.greatest(F.count_if("label = 0"), F.lit(1))).alias("nonmatch_accuracy"),
+            (F.count_if(F.expr("label = 1 and truth = 1")) / F.greatest(F.count_if(F.expr("label = 1")), F.lit(1))).alias("match_accuracy"),
+            (F.count_if(F.expr("label = 0 and truth = 0")) / F.greatest(F.count_if(F.expr("label = 0")), F.lit(1))).alias("nonmatch_accuracy"),
         )
         out = one if out is None else out.unionAll(one)
     return out

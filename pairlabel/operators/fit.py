@@ -37,8 +37,8 @@ def fit(
     np.add.at(a, (row, col), theta * (x - lo[col]))
     np.add.at(a, (row, col + f), theta * (x - hi[col]))
     # step length from a bound of the curvature
-    norm = np.linalg.norm(a * np.sqrt(weight)[:, None], 2) if n else 0.0
-    rate = 1 / (norm**2 / 4 + ridge + 1e-12)
+    top = float(np.linalg.eigvalsh((a.T * weight) @ a)[-1]) if n else 0.0
+    rate = 1 / (max(top, 0.0) / 4 + ridge + 1e-12)
     v = np.full(2 * f, 0.5)
     y, t, size = v, 1.0, np.inf
     sign = weight

@@ -11,7 +11,7 @@ from ..settings import Settings
 
 def class_weight(labels: DataFrame) -> DataFrame:
     """w: weight of a match, non-matches over matches; 1 without matches."""
-    n1, n0 = F.count_if("label = 1"), F.count_if("label = 0")
+    n1, n0 = F.count_if(F.expr("label = 1")), F.count_if(F.expr("label = 0"))
     return labels.agg(F.coalesce(F.try_divide(n0.cast("double"), n1.cast("double")), F.lit(1.0)).alias("w"), n0.alias("n0"), n1.alias("n1"))
 
 
@@ -21,8 +21,8 @@ def feature_stats(incidence: DataFrame, labels: DataFrame) -> DataFrame:
     on = lambda y, v: F.coalesce(F.sum(F.when(F.col("label") == y, v)), F.lit(0.0))
     x = F.col("x")
     return rows.groupBy("feature_id").agg(
-        F.count_if("label = 0").alias("n0"), on(0, x).alias("s0"), on(0, x * x).alias("q0"),
-        F.count_if("label = 1").alias("n1"), on(1, x).alias("s1"), on(1, x * x).alias("q1"),
+        F.count_if(F.expr("label = 0")).alias("n0"), on(0, x).alias("s0"), on(0, x * x).alias("q0"),
+        F.count_if(F.expr("label = 1")).alias("n1"), on(1, x).alias("s1"), on(1, x * x).alias("q1"),
     )
 
 

@@ -28,11 +28,11 @@ def asof_join(left: DataFrame, right: DataFrame, keys: list[str], at: str, value
 
 def interval_join(left: DataFrame, right: DataFrame, keys: list[str], at: str, seconds: int) -> DataFrame:
     """Pairs of rows of equal keys at most so many seconds apart, right at or before left; buckets of that length make it an equi-join."""
-    sec = lambda c: F.unix_micros(c) / 1e6
+    sec = lambda c: F.unix_micros(c.cast("timestamp")) / 1e6
     a = left.withColumn("_b", F.floor(sec(F.col(at)) / seconds))
     r = right.select(*keys, *[F.col(c).alias(f"{c}_right") for c in right.columns if c not in keys])
     b = r.withColumn("_c", F.floor(sec(F.col(f"{at}_right")) / seconds)).withColumn("_b", F.explode(F.array(F.col("_c"), F.col("_c") + 1))).drop("_c")
-    gap = F.unix_micros(F.col(at)) - F.unix_micros(F.col(f"{at}_right"))
+    gap = F.unix_micros(F.col(at).cast("timestamp")) - F.unix_micros(F.col(f"{at}_right").cast("timestamp"))
     return a.join(b, [*keys, "_b"]).where((gap >= 0) & (gap <= seconds * 1_000_000)).drop("_b")
 
 

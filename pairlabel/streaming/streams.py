@@ -17,7 +17,20 @@ def read_stream(spark: SparkSession, sf_dir: str, table: str, files: int = 1) ->
     """A given table as a stream of files."""
     path = f"{sf_dir}/{table}.parquet"
     schema = spark.read.parquet(path).schema
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).parquet(path)
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    reader = spark.readStream.schema(schema).option("maxFilesPerTrigger", files)
+    if place.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(place).isDirectory():
+        rows = reader.parquet(path)
+    else:  # a stream watches a folder, so a single file is picked out of its own
+        rows = reader.option("pathGlobFilter", f"{table}.parquet").parquet(sf_dir)
+    # event time needs an instant; stored times without a zone are read in the session's
+    naive = [f.name for f in schema if f.dataType.simpleString() == "timestamp_ntz"]
+    return rows.withColumns({c: F.col(c).cast("timestamp") for c in naive}) if naive else rows
+
+
+def naive_times(df: DataFrame) -> DataFrame:
+    """Instants as times without a zone again."""
+    return df.select(*[F.col(c).cast("timestamp_ntz").alias(c) if t == "timestamp" else F.col(c) for c, t in df.dtypes])
 
 
 def run_once(stream: DataFrame, mode: str = "append", key: list[str] | None = None) -> DataFrame:
@@ -71,8 +84,8 @@ def evidence_stats(entries: DataFrame) -> DataFrame:
     on = lambda y, v: F.coalesce(F.sum(F.when(F.col("label") == y, v)), F.lit(0.0))
     x = F.col("x")
     return entries.groupBy("feature_id").agg(
-        F.count_if("label = 0").alias("n0"), on(0, x).alias("s0"), on(0, x * x).alias("q0"),
-        F.count_if("label = 1").alias("n1"), on(1, x).alias("s1"), on(1, x * x).alias("q1"),
+        F.count_if(F.expr("label = 0")).alias("n0"), on(0, x).alias("s0"), on(0, x * x).alias("q0"),
+        F.count_if(F.expr("label = 1")).alias("n1"), on(1, x).alias("s1"), on(1, x * x).alias("q1"),
     )
 
 
