@@ -9,6 +9,7 @@ from pyspark.ml.feature import PolynomialExpansion, VectorAssembler
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.planner import cut
 from . import easy as E
 from . import metrics as M
 from .workload import PARTS
@@ -66,7 +67,7 @@ def split(pairs: DataFrame, run: int, *shares: float):
 def svm_pairs(pairs: DataFrame, truth: DataFrame, train: float, runs: int = 10, cols: tuple[str, ...] = PARTS) -> DataFrame:
     """run, precision, recall, f1 on what was not used for training; classes are weighted, a quadratic expansion stands in for the kernel."""
     out = None
-    data = pairs.select("pair_id", *cols).join(truth, "pair_id").cache()
+    data = cut(pairs.select("pair_id", *cols).join(truth, "pair_id"), "svm-data")
     for run in range(runs):
         parted = data.withColumn("part", split(data, run, train))
         balance = parted.where("part = 0").agg(F.avg("truth")).first()[0]
@@ -91,7 +92,8 @@ def mlp_pairs(pairs: DataFrame, truth: DataFrame, train: float, valid: float = 0
     a, b = hashed("title_a"), hashed("title_b")
     extra = [f"d{k}" for k in range(dims)] + [f"m{k}" for k in range(dims)]
     data = pairs.select("pair_id", *cols, *[F.abs(x - y).alias(f"d{k}") for k, (x, y) in enumerate(zip(a, b, strict=True))], *[(x * y).alias(f"m{k}") for k, (x, y) in enumerate(zip(a, b, strict=True))])
-    data = VectorAssembler(inputCols=[*cols, *extra], outputCol="features").transform(data).select("pair_id", "features").join(truth, "pair_id").cache()
+    data = VectorAssembler(inputCols=[*cols, *extra], outputCol="features").transform(data).select("pair_id", "features").join(truth, "pair_id")
+    data = cut(data, "mlp-data")
     out = None
     for run in range(runs):
         rows = data.withColumn("part", split(data, run, train, valid))

@@ -20,6 +20,7 @@ from ..operators import infer
 from ..operators import metrics as M
 from ..operators import workload as W
 from ..settings import Settings
+from .planner import cut
 
 #: Many labels per round and fits only where the approximation is unsure: our form for larger runs.
 FAST = Settings(labels_per_round=10, k=10, fit_above=0.05)
@@ -36,33 +37,44 @@ class Workload:
     share: float
 
 
+_built: dict[tuple, Workload] = {}
+
+
 def build(spark: SparkSession, sf_dir: str, name: str) -> Workload:
+    """The named workload; its tables are written once per session."""
+    key = (spark.sparkContext.applicationId, id(spark), sf_dir, name)
+    if key not in _built:
+        _built[key] = _build(spark, sf_dir, name)
+    return _built[key]
+
+
+def _build(spark: SparkSession, sf_dir: str, name: str) -> Workload:
     """W1h (clean truth), W1v (variants count as different), W1b (balanced), W1t (title only: a stress), W2s (one table)."""
     left = W.document_records(W.load(spark, sf_dir, "documents"))
     right = W.corrupt(left)
     if name == "W2s":
         shift = left.agg(F.coalesce(F.max("rec_id"), F.lit(0)) + 1).first()[0]
         both = left.unionByName(right.withColumn("rec_id", F.col("rec_id") + shift))
-        pairs = W.w2s(spark, sf_dir).persist()
+        pairs = cut(W.w2s(spark, sf_dir), "pairs")
         own = W.strict_entities(left)
         entities = own.unionByName(own.withColumn("rec_id", F.col("rec_id") + shift))
         records = both
-        truth = W.truth(pairs, entities).persist()
+        truth = cut(W.truth(pairs, entities), "truth")
     else:
-        pairs = (W.w1h(spark, sf_dir, 60, 1) if name == "W1b" else W.w1h(spark, sf_dir)).persist()
+        pairs = cut(W.w1h(spark, sf_dir, 60, 1) if name == "W1b" else W.w1h(spark, sf_dir), "pairs")
         if name == "W1t":
             pairs = pairs.withColumn("sim", F.round("sim_title", 9))
         entities = W.cluster_entities(left) if name in ("W1h", "W1b") else W.strict_entities(left, 12 if name == "W1t" else W.PREFIX)
-        truth = W.truth(pairs, entities).persist()
+        truth = cut(W.truth(pairs, entities), "truth")
         records = left.unionByName(right)
     if name == "W1b":  # thin the false pairs to a true share of 45%
         n1, n = truth.agg(F.coalesce(F.sum("truth"), F.lit(0)), F.count(F.lit(1))).first()
         rate = min(1.0, n1 * 55 / 45 / max(1, n - n1))
-        truth = truth.where((F.col("truth") == 1) | (F.col("pair_id") * 48271 % 2147483647 < F.lit(int(2147483647 * rate)))).persist()
-        pairs = pairs.join(truth.select("pair_id"), "pair_id", "left_semi").persist()
+        truth = truth.where((F.col("truth") == 1) | (F.col("pair_id") * 48271 % 2147483647 < F.lit(int(2147483647 * rate))))
+        pairs = pairs.join(truth.select("pair_id"), "pair_id", "left_semi")
     cols = ("sim_title",) if name == "W1t" else W.PARTS
     share = B.cluster_pairs_fixed(pairs, cols, 25 if name == "W2s" else 10).agg(F.coalesce(F.avg("label"), F.lit(0.0))).first()[0]
-    return Workload(name, pairs, X.incidence(pairs, records).persist(), truth, share)
+    return Workload(name, pairs, cut(X.incidence(pairs, records), "incidence"), truth, share)
 
 
 @dataclass
@@ -78,7 +90,7 @@ def label_many(runs: list[Run]) -> DataFrame:
     table = None
     for k, r in enumerate(runs):
         w = r.workload
-        easy = E.easy_by_ratio(w.pairs, r.ratio, w.share)
+        easy = cut(E.easy_by_ratio(w.pairs, r.ratio, w.share), "easy")
         one = infer._one_table(w.pairs, X.informative(w.incidence, easy), easy, None).withColumn("shard", F.lit(k).cast("long"))
         table = one if table is None else table.unionAll(one)
     settings = [r.settings for r in runs]
@@ -101,7 +113,7 @@ def label_many(runs: list[Run]) -> DataFrame:
 
 def scored(runs: list[Run]) -> DataFrame:
     """workload, setting, precision, recall, f1, flips of each run."""
-    log = label_many(runs).persist()
+    log = cut(label_many(runs), "logs")
     out = None
     for k, r in enumerate(runs):
         own = log.where(F.col("run") == k)
@@ -148,10 +160,9 @@ def scalability(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (10_0
     w = build(spark, sf_dir, "W1h")
     rows = []
     for n in sizes:
-        pairs = W.resize(w.pairs, w.truth, n).persist()
-        part = Workload(w.name, pairs, w.incidence.join(pairs.select("pair_id"), "pair_id", "left_semi").persist(), w.truth, w.share)
+        pairs = cut(W.resize(w.pairs, w.truth, n).drop("truth"), "pairs")
+        part = Workload(w.name, pairs, cut(w.incidence.join(pairs.select("pair_id"), "pair_id", "left_semi"), "incidence"), w.truth, w.share)
         size = pairs.count()
-        part.incidence.count()
         began = time.time()
         label_many([Run(part, settings, ratio)]).write.format("noop").mode("overwrite").save()
         rows.append((size, time.time() - began))

@@ -16,6 +16,7 @@ from ..operators import infer
 from ..operators import metrics as M
 from ..operators import workload as W
 from ..plans import experiments as P
+from ..plans.planner import cut
 from ..settings import Settings
 from . import base as Q
 from .method import QUERIES as _ALL
@@ -112,7 +113,7 @@ def i27_items(spark, d):
 
 @query
 def c4_svm(spark, d):
-    return B.svm_pairs(Q.pairs(spark, d), Q.cluster_truth(spark, d), 0.1, runs=2)
+    return B.svm_pairs(Q.pairs(spark, d), Q.cluster_truth(spark, d), 0.1, runs=1)
 
 
 @query
@@ -177,9 +178,10 @@ def x3_natural(spark, d):
     """Natural near copies: documents paired within the table, truth by the similarity of their first tokens."""
     left = Q.left(spark, d)
     pairs = W.compare(W.block_within(left, 20, 1), left, left)
-    pairs = W.with_similarity(pairs, W.attribute_weights(left)).persist()
-    truth = W.truth(pairs, W.cluster_entities(left))
-    w = P.Workload("W3", pairs, X.incidence(pairs, left), truth, B.match_share(pairs))
+    pairs = W.with_similarity(pairs, W.attribute_weights(left))
+    pairs = cut(pairs, "pairs")
+    truth = cut(W.truth(pairs, W.cluster_entities(left)), "truth")
+    w = P.Workload("W3", pairs, cut(X.incidence(pairs, left), "incidence"), truth, B.match_share(pairs))
     return P.scored([P.Run(w, replace(P.FAST, labels_per_round=50, k=50), label="natural")])
 
 
@@ -204,5 +206,6 @@ def x7_control(spark, d):
     a = e.select("bucket", *[F.col(c).alias(f"{c}_a") for c in ("vec_id", "embedding", "label")])
     b = e.select("bucket", *[F.col(c).alias(f"{c}_b") for c in ("vec_id", "embedding", "label")])
     met = a.join(b, "bucket").where("vec_id_a < vec_id_b")
-    rows = met.select((F.col("vec_id_a") * 1000003 + F.col("vec_id_b")).alias("pair_id"), S.cosine(F.col("embedding_a"), F.col("embedding_b")).alias("sim"), (F.col("label_a") == F.col("label_b")).cast("int").alias("truth")).persist()
+    rows = met.select((F.col("vec_id_a") * 1000003 + F.col("vec_id_b")).alias("pair_id"), S.cosine(F.col("embedding_a"), F.col("embedding_b")).alias("sim"), (F.col("label_a") == F.col("label_b")).cast("int").alias("truth"))
+    rows = cut(rows, "vector-pairs")
     return M.quality(rows.select("pair_id", (F.col("sim") > 0.2).cast("int").alias("label")), rows.select("pair_id", "truth"))
