@@ -201,7 +201,11 @@ def x4_containment(spark, d):
 def x7_control(spark, d):
     """Negative control: vectors whose labels say nothing about their cosine."""
     e = W.load(spark, d, "embeddings").select("vec_id", "embedding", "label")
-    planes = [F.aggregate(F.transform("embedding", lambda x, i, k=k: F.when((i * 7 + k * 13) % 5 < 2, x).otherwise(-x)), F.lit(0.0), lambda s, v: s + v) > 0 for k in range(6)]
+    def side(k: int):
+        signed = F.transform("embedding", lambda x, i: F.when((i * 7 + k * 13) % 5 < 2, x).otherwise(-x).cast("double"))
+        return F.aggregate(signed, F.lit(0.0), lambda s, v: s + v) > 0
+
+    planes = [side(k) for k in range(6)]
     e = e.withColumn("bucket", F.concat(*[p.cast("int").cast("string") for p in planes]))
     a = e.select("bucket", *[F.col(c).alias(f"{c}_a") for c in ("vec_id", "embedding", "label")])
     b = e.select("bucket", *[F.col(c).alias(f"{c}_b") for c in ("vec_id", "embedding", "label")])
