@@ -17,8 +17,8 @@ that joins different components is ever lost.
    bounded size.
 4. Matrix. For each token the groups that hold it are counted. Each document's
    tokens are put in order, fewest groups first; of two linked documents the
-   smaller one's first size - ceil(6/7 size) + 1 tokens and the larger one's first
-   size - ceil(3/4 size) + 1 share one. That token leads from a document to the
+   smaller one asks, and its first size - ceil(6/7 size) + 1 tokens and the larger one's first
+   size - ceil(3/4 size) + 1 share one. That token leads from it to the
    blocks of other groups. A block stores its members' token union; the document's
    overlap with it bounds that with every member, and only blocks that reach the
    needed overlap are opened and their members compared exactly.
@@ -141,7 +141,7 @@ def _open_blobs(table: pa.Table, owner_bytes: int) -> tuple[np.ndarray, np.ndarr
     return np.concatenate(tokens), np.concatenate(owners)
 
 
-def prune(docs: DataFrame, classes: DataFrame, total: int, size: int = 5, id_col: str = "doc_id", text_col: str = "text", bucket_tokens: int = 1 << 21) -> DataFrame:
+def prune(docs: DataFrame, classes: DataFrame, total: int, size: int = 5, id_col: str = "doc_id", text_col: str = "text", bucket_tokens: int = 1 << 20) -> DataFrame:
     """Of classes (digest, rid, n, copies) those that may have a link to another."""
     n_buckets = max(1, total * 2 // 5 // bucket_tokens + 1)
     n_ranges = max(1, total // 400 // 200_000 + 1)
@@ -291,25 +291,31 @@ def follow_leaders(sets: DataFrame, key, most: int = 48, buffered: int = 256) ->
 
 
 def grouped(sets: DataFrame, salts: int = 8, block_rows: int = 256, leaders: int = 48) -> DataFrame:
-    """The sets with group (a leader's id) and block (a part of the group, of bounded size)."""
+    """The sets with group (a leader's id) and block (a part of the group, of bounded size). Labels are joined without the sets, hot ones spread."""
     salted = F.xxhash64("least", F.pmod(F.xxhash64("rid"), F.lit(salts)))
     led = materialize(follow_leaders(sets, salted, leaders), "leaders-1")
     left = sets.join(led.select("rid"), "rid", "left_anti")
     led2 = materialize(follow_leaders(left, F.col("least"), leaders), "leaders-2")
     led3 = materialize(follow_leaders(left.join(led2.select("rid"), "rid", "left_anti"), F.col("second"), leaders), "leaders-3")
-    out = sets
-    at = F.col("rid")
-    for k, led_k in enumerate((led, led2, led3)):
-        out = out.withColumn("_at", at).join(led_k.select(F.col("rid").alias("_at"), F.col("leader").alias(f"_l{k}")), "_at", "left").drop("_at")
-        at = F.coalesce(f"_l{k}", at)
-    out = out.withColumn("grp", at).drop("_l0", "_l1", "_l2")
-    counts = out.groupBy("grp").agg(F.count(F.lit(1)).alias("_n")).where(F.col("_n") > block_rows)
-    out = out.join(counts, "grp", "left")
-    parts = F.ceil(F.coalesce("_n", F.lit(1)) / block_rows)
-    return out.withColumn("part", F.pmod(F.xxhash64("rid"), parts).cast("int")).drop("_n").select("rid", "n", "tokens", "grp", "part")
-
-
-def matrix_links(sets: DataFrame, bucket_tokens: int = 1 << 21, share=SHARE) -> DataFrame:
+
+    def follow(rows: DataFrame, further: DataFrame) -> DataFrame:
+        """rid, leader with each leader replaced by the one it follows itself."""
+        sizes = rows.groupBy("leader").agg(F.count(F.lit(1)).alias("_n"))
+        onward = sizes.join(further.select(F.col("rid").alias("leader"), F.col("leader").alias("_to")), "leader", "left")
+        out = hot_join(rows, onward, "leader", "_n", rows.count(), F.col("rid"))
+        return out.select("rid", F.coalesce("_to", "leader").alias("leader"))
+
+    later = led3.unionByName(follow(led2, led3))
+    names = materialize(follow(led, later).unionByName(later).dropDuplicates(["rid"]), "leaders")
+    own = sets.select("rid").distinct().join(names, "rid", "left").select("rid", F.coalesce("leader", "rid").alias("grp"))
+    own = materialize(own, "group-names")
+    counts = own.groupBy("grp").agg(F.count(F.lit(1)).alias("_n"))
+    own = hot_join(own, counts, "grp", "_n", own.count(), F.col("rid"))
+    own = own.select("rid", "grp", F.pmod(F.xxhash64("rid"), F.ceil(F.col("_n") / block_rows)).cast("int").alias("part"))
+    return sets.select("rid", "n", "tokens").join(own, "rid")
+
+
+def matrix_links(sets: DataFrame, bucket_tokens: int = 1 << 20, share=SHARE) -> DataFrame:
     """grp, other: groups with a verified link between a document of one and a member of the other."""
     total = sets.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     n_buckets = max(1, total // bucket_tokens + 1)
@@ -343,16 +349,13 @@ def matrix_links(sets: DataFrame, bucket_tokens: int = 1 << 21, share=SHARE) ->
     lead = lead.select("rid", "n", "grp", "part", (F.col("at") < F.col("short")).alias("in_short"), (F.col("rest") - F.col("at")).alias("rest"), F.col("t.token").alias("token"))
     lead = materialize(lead, "prefixes")
 
-    # the token-group matrix, by token: blocks whose members have it in their long or short prefix, with their sizes
-    def matrix(rows: DataFrame) -> DataFrame:
-        return rows.groupBy("token", F.col("grp").alias("m_grp"), F.col("part").alias("m_part")).agg(F.min("n").alias("m_min"), F.max("n").alias("m_max"), F.max("rest").alias("m_rest"))
-
-    other = F.greatest(F.col("m_min"), F.ceil(F.col("n") * share[0] / share[1]))
-    enough = F.least("rest", "m_rest") >= F.ceil((F.col("n") + other) * share[0] / (share[0] + share[1]))
-    near = enough & (F.col("m_max") * share[1] >= F.col("n") * share[0]) & (F.col("n") * share[1] >= F.col("m_min") * share[0]) & (F.col("grp") != F.col("m_grp"))
-    smaller = lead.where("in_short").join(matrix(lead), "token").where(near & (F.col("m_max") >= F.col("n")))
-    larger = lead.join(matrix(lead.where("in_short")), "token").where(near & (F.col("m_min") <= F.col("n")))
-    asks = smaller.select("rid", "m_grp", "m_part").union(larger.select("rid", "m_grp", "m_part")).distinct()
+    # the token-group matrix, by token: blocks whose members have it in their prefix, with their sizes
+    matrix = lead.groupBy("token", F.col("grp").alias("m_grp"), F.col("part").alias("m_part")).agg(F.min("n").alias("m_min"), F.max("n").alias("m_max"), F.max("rest").alias("m_rest"))
+    # the smaller document of a pair asks: partners have at least its size, so it needs that overlap
+    partner = F.greatest(F.col("m_min"), F.col("n"))
+    enough = F.least("rest", "m_rest") >= F.ceil((F.col("n") + partner) * share[0] / (share[0] + share[1]))
+    sized = (F.col("m_max") >= F.col("n")) & (F.col("n") * share[1] >= F.col("m_min") * share[0])
+    asks = lead.where("in_short").join(matrix, "token").where(enough & sized & (F.col("grp") != F.col("m_grp"))).select("rid", "m_grp", "m_part").distinct()
     asks = materialize(asks, "asks")
 
     blocks = asks.select(F.col("m_grp").alias("grp"), F.col("m_part").alias("part")).distinct()
@@ -377,9 +380,9 @@ def matrix_links(sets: DataFrame, bucket_tokens: int = 1 << 21, share=SHARE) ->
                 where = np.searchsorted(union, s)
                 where[where == len(union)] = 0
                 overlap = int(np.count_nonzero(union[where] == s))
-                if overlap < pair_overlap(len(s), max(least, least_overlap(len(s)))):
+                if overlap < pair_overlap(len(s), max(least, len(s))):
                     continue
-                if any(linked(s, m) for m in members):
+                if any(len(m) >= len(s) and linked(s, m) for m in members):
                     done.add(own)
                     out.add((min(g, own), max(g, own)))
             yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out], pa.int64())], ["grp", "other"])
@@ -420,8 +423,9 @@ def jaccard_components(docs: DataFrame, size: int = 5, id_col: str = "doc_id", t
     links = materialize(matrix_links(sets), "matrix-links")
     roots = components(links)
     groups = sets.select("rid", "grp").join(roots, F.col("grp") == F.col("node"), "left").select("rid", F.coalesce("root", "grp").alias("top"))
-    tops = groups.groupBy("top").agg(F.min("rid").alias("least"))
-    labels = groups.join(tops, "top").select("rid", "least")
+    groups = materialize(groups, "tops")
+    tops = groups.groupBy("top").agg(F.min("rid").alias("least"), F.count(F.lit(1)).alias("_n"))
+    labels = hot_join(groups, tops, "top", "_n", n_survivors, F.col("rid")).select("rid", "least").dropDuplicates(["rid"])
     named = classes.join(labels, "rid", "left").select("digest", F.coalesce("least", "rid").alias("component_id"), "copies")
     out = hot_join(members, named, "digest", "copies", total[1], F.unhex(F.sha2(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), 256)))
     own = F.when(F.col("digest").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))

@@ -16,7 +16,7 @@ _powers: list[np.ndarray] = []
 def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     """Powers of the odd base modulo 2**64, and of its inverse."""
     if not _powers or len(_powers[0]) < n:
-        n = max(n, 1 << 21)
+        n = max(n, (1 << 20) + 1)
         inverse = _U(pow(int(_BASE), -1, 1 << 64))
         up, down = np.full(n, _BASE, dtype=_U), np.full(n, inverse, dtype=_U)
         up[0] = down[0] = 1
@@ -33,7 +33,7 @@ def mix(x: np.ndarray) -> np.ndarray:
         return x ^ (x >> _U(31))
 
 
-def text_slices(column: pa.Array, most_bytes: int = 1 << 21) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+def text_slices(column: pa.Array, most_bytes: int = 1 << 20) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """Of a string column: first row, bytes, and offsets (rows + 1), for runs of rows of about so many bytes; null counts as empty."""
     column = pa.concat_arrays([column]) if isinstance(column, pa.Array) else column.combine_chunks()
     column = column.cast(pa.large_string()).fill_null("")
