@@ -74,6 +74,7 @@ def token_pieces(docs: DataFrame, tokenizer: str, size: int = 2048, end_id: int
             types = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary()][: 6 if keep_ids else 5]
             names = ["doc_id", "piece", "start", "length", "ids_crc32", "ids"]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=False)], names[: len(types)])
+        enc.release()
 
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
     return rows.mapInArrow(pieces, PIECES + (", ids binary" if keep_ids else ""))

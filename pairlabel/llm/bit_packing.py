@@ -83,6 +83,7 @@ def write_ids(docs: DataFrame, tokenizer: str, end_id: int, path: str, id_col: s
                     start, block, size, ids, starts, got = start + size, block + 1, 0, [], [], []
         if ids:
             yield flush()
+        enc.release()
 
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
     ordered = rows.repartitionByRange("i").sortWithinPartitions("i")

@@ -56,7 +56,7 @@ class _Cache(dict):
 class WordEncoder:
     """encode(text) gives the ids as little-endian unsigned 32-bit integers."""
 
-    def __init__(self, path: str, max_words: int = 400_000):
+    def __init__(self, path: str, max_words: int = 250_000):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         self.library = Tokenizer.from_file(path)
@@ -84,6 +84,10 @@ class WordEncoder:
         words = self.pattern.findall(text.lower() if self.lower else text)
         return b"".join(map(self.cache.__getitem__, words))
 
+    def release(self) -> None:
+        """Frees the cache; workers outlive their tasks."""
+        self.cache.clear()
+
 
 @lru_cache(maxsize=4)
 def encoder(path: str) -> WordEncoder:
