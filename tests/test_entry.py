@@ -11,7 +11,7 @@ SLOW = {n for n in ALL if n.startswith(("x", "i2", "c4", "c5", "op1_", "op2_", "
 
 def rows(frame):
     def plain(v):
-        if v is None or v != v or str(v) in ("NaT", "<NA>"):
+        if v is None or str(v) in ("NaT", "<NA>", "nan"):
             return "-"
         if isinstance(v, float):
             return f"{v:.5g}"
