@@ -8,6 +8,7 @@ from pyspark.sql import Row, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..settings import Settings
 from . import influence as I
 from . import similarity as S
 
@@ -20,6 +21,16 @@ def dempster(theta: pd.Series) -> float:
     return 1 / (1 + np.exp(-np.clip(z, -700, 700)))
 
 
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
+def wls_curve(x: pd.Series, label: pd.Series, weight: pd.Series) -> list:
+    """tau, alpha, sigma of a feature's weighted line, with that weight of a match; null where it has no rising curve."""
+    ok = x.notna() & label.notna()
+    v, y = x[ok].to_numpy(dtype=float), label[ok].to_numpy()
+    sums = [f(v[y == k]) for k in (0, 1) for f in (len, np.sum, lambda u: (u * u).sum())]
+    curve = I.curves_np(np.array([sums], dtype=float), float(weight.iloc[0]) if len(weight) else 1.0, Settings())
+    return [float(curve[c][0]) for c in ("tau", "alpha", "sigma")] if curve["active"][0] else None
+
+
 @F.pandas_udf(T.DoubleType())
 def t_central(q: pd.Series, dof: pd.Series) -> pd.Series:
     return pd.Series(I.central_t_np(q.to_numpy(dtype=float), dof.to_numpy(dtype=float)))
@@ -55,10 +66,11 @@ class TokenFeatures:
 
 
 def register_all(spark: SparkSession) -> None:
-    """jaro, jaro_winkler, lcs_run, t_central, dempster, token_features."""
+    """jaro, jaro_winkler, lcs_run, t_central, dempster, wls_curve, token_features."""
     spark.udf.register("jaro", S.jaro)
     spark.udf.register("jaro_winkler", S.jaro_winkler)
     spark.udf.register("lcs_run", lcs_run)
     spark.udf.register("t_central", t_central)
     spark.udf.register("dempster", dempster)
+    spark.udf.register("wls_curve", wls_curve)
     spark.udtf.register("token_features", TokenFeatures)

@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from ..functions import sql as sql_functions
 from ..operators import relational as R
+from ..operators import vectors as V
+from ..operators import workload as W
 from ..plans.planner import prefix_join
 from ..settings import Settings
 from ..sources import io
@@ -228,6 +230,70 @@ def io_page_records(spark, d):
     return io.page_records(io.load(spark, d, "pages"))
 
 
+_FORMATS = ("csv", "json", "orc", "parquet")
+
+
+@query(" UNION ALL ".join(f"SELECT '{f}' AS format, n_nationkey, n_name, n_regionkey FROM nation" for f in _FORMATS))
+def io_formats(spark, d):
+    """Written and reread in each format with an explicit schema."""
+    rows = io.load(spark, d, "nation").select("n_nationkey", "n_name", "n_regionkey")
+    out = None
+    for f in _FORMATS:
+        path = f"{T.shared_dir(spark)}/nation-{f}-{T.uuid.uuid4().hex}"
+        rows.write.format(f).save(path)
+        one = io.read_records(spark, path, f, rows.schema, "fail").select(F.lit(f).alias("format"), *rows.columns)
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+# feature transforms for the baselines
+
+_TFIDF = "SELECT rec_id, token, tf * idf AS w, sqrt(sum(tf * idf * tf * idf) OVER (PARTITION BY rec_id)) AS size FROM (SELECT rec_id, token, count(*) AS tf FROM (SELECT rec_id, unnest(title) AS token FROM {0}) GROUP BY rec_id, token) JOIN idf USING (token)"
+
+
+@query(f"""{Q.PAIRS}, idf AS (SELECT token, ln((SELECT count(*) FROM records) / CAST(count(*) AS DOUBLE)) AS idf FROM (SELECT unnest(list_distinct(title)) AS token FROM records) GROUP BY token),
+lw AS ({_TFIDF.format('l')}), rw AS ({_TFIDF.format('r')}),
+s AS (SELECT pair_id, sum(a.w / a.size * b.w / b.size) AS c FROM pairs JOIN lw a ON a.rec_id = id_a JOIN rw b ON b.rec_id = id_b AND b.token = a.token WHERE a.size > 0 AND b.size > 0 GROUP BY pair_id)
+SELECT pair_id, round(coalesce(c, 0.0), 6) AS sim FROM pairs LEFT JOIN s USING (pair_id)""")
+def s9_tfidf_cosine(spark, d):
+    return rounded(V.tfidf_cosine(Q.pairs(spark, d), Q.left(spark, d), Q.right(spark, d)))
+
+
+_STANDARD = ", ".join(f"round(coalesce(({c} - avg({c}) OVER ()) / nullif(stddev_samp({c}) OVER (), 0), 0.0), 6) AS {c}" for c in W.PARTS)
+_RANGE = ", ".join(f"round(coalesce(({c} - min({c}) OVER ()) / nullif(max({c}) OVER () - min({c}) OVER (), 0), 0.0), 6) AS {c}" for c in W.PARTS)
+
+
+@query(f"{Q.PAIRS} SELECT pair_id, {_STANDARD} FROM pairs")
+def t_standard_scale(spark, d):
+    return rounded(V.scaled(Q.pairs(spark, d)))
+
+
+@query(f"{Q.PAIRS} SELECT pair_id, {_RANGE} FROM pairs")
+def t_range_scale(spark, d):
+    return rounded(V.scaled(Q.pairs(spark, d), how="range"))
+
+
+@query()
+def t_hashed_tokens(spark, d):
+    return V.token_vectors(Q.left(spark, d), "hashed")
+
+
+@query()
+def t_token_counts(spark, d):
+    return V.token_vectors(Q.left(spark, d), "counts")
+
+
+@query()
+def t_word_vectors(spark, d):
+    return V.token_vectors(Q.left(spark, d), "word2vec", 16)
+
+
+@query()
+def t_near_vectors(spark, d):
+    e = io.load(spark, d, "embeddings").where("embedding is not null").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v"))
+    return V.near_vectors(e, e, 0.5).where("id_a < id_b")
+
+
 # streams, run to their end
 
 @query("SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1, 2")
@@ -279,6 +345,11 @@ def st_interval_join(spark, d):
     return T.run_once(T.pairs_within(left, right, "user_id", 10))
 
 
+@query("SELECT user_id, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY user_id")
+def st_stateful(spark, d):
+    return rounded(T.run_once(T.user_runs(T.read_stream(spark, d, "events")), "update", ["user_id"]), 4)
+
+
 # the SQL surface
 
 
@@ -298,6 +369,17 @@ def sql_udaf_dempster(spark, d):
     return spark.sql("SELECT pair_id, round(dempster(theta), 4) AS support FROM entries GROUP BY pair_id")
 
 
+@query(f"{Q.PAIRS}, {Q.EASY}, {Q.INCIDENCE}, {Q.STATS}, {Q.CURVES} SELECT feature_id, round(tau, 4) AS tau, round(alpha, 4) AS alpha, round(sigma, 4) AS sigma FROM curves WHERE active")
+def sql_udaf_curve(spark, d):
+    from ..operators.graph import class_weight
+
+    sql_functions.register_all(spark)
+    easy = Q.easy(spark, d)
+    Q.incidence(spark, d).join(easy, "pair_id").join(F.broadcast(class_weight(easy).select("w"))).createOrReplaceTempView("evidence")
+    return spark.sql("""SELECT feature_id, round(c[0], 4) AS tau, round(c[1], 4) AS alpha, round(c[2], 4) AS sigma
+    FROM (SELECT feature_id, wls_curve(x, label, w) AS c FROM evidence GROUP BY feature_id) WHERE c IS NOT NULL""")
+
+
 @query(f"{Q.PAIRS} SELECT pair_id, 'same' AS family, unnest(list_intersect(title_a, title_b)) AS token FROM pairs UNION ALL SELECT pair_id, 'diff', unnest(list_distinct(list_concat(list_filter(title_a, lambda x: NOT list_contains(title_b, x)), list_filter(title_b, lambda x: NOT list_contains(title_a, x))))) FROM pairs")
 def sql_udtf_tokens(spark, d):
     sql_functions.register_all(spark)

@@ -9,6 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.types import BooleanType, StructField, StructType
 
 from ..plans.planner import shared_dir
 
@@ -60,6 +61,29 @@ def idempotent_sink(path: str) -> Callable[[DataFrame, int], None]:
     return write
 
 
+def late_split(stream: DataFrame, delay: int, at: str = "ts") -> tuple[DataFrame, DataFrame]:
+    """Rows on time, and late ones: more than so many seconds behind the latest time of all earlier batches, where a watermark would drop them.
+
+    Each batch's latest time is kept beside its rows, so a repeated batch is judged as before. Rows without a time are on time.
+    """
+    spark = stream.sparkSession
+    base = f"{shared_dir(spark)}/late-{uuid.uuid4().hex}"
+    kind = stream.schema[at].dataType
+    latest = lambda rows: rows.agg(F.max(at).cast(kind).alias("latest"))
+    latest(spark.createDataFrame([], stream.schema)).write.parquet(f"{base}/latest/batch=-1")
+
+    def write(batch: DataFrame, number: int) -> None:
+        before = spark.read.parquet(f"{base}/latest").where(F.col("batch") < number).agg(F.max("latest").alias("_before"))
+        late = F.col(at) < F.col("_before") - F.make_dt_interval(secs=F.lit(delay))
+        rows = batch.join(F.broadcast(before)).withColumn("_late", F.coalesce(late, F.lit(False))).drop("_before")  # one row
+        rows.write.mode("overwrite").parquet(f"{base}/rows/batch={number}")
+        latest(spark.read.parquet(f"{base}/rows/batch={number}")).write.mode("overwrite").parquet(f"{base}/latest/batch={number}")
+
+    stream.writeStream.option("checkpointLocation", f"{base}/state").trigger(availableNow=True).foreachBatch(write).start().awaitTermination()
+    rows = spark.read.schema(StructType([*stream.schema.fields, StructField("_late", BooleanType())])).parquet(f"{base}/rows/*")
+    return rows.where("not _late").drop("_late"), rows.where("_late").drop("_late")
+
+
 def tumbling(events: DataFrame, size: str = "1 hour", late: str = "1 day") -> DataFrame:
     w = events.withWatermark("ts", late).groupBy(F.window("ts", size), "event_type")
     return w.agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("value"), 4).alias("total")).select(F.col("window.start").alias("start"), "event_type", "n", "total")
