@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import similarity as S
 from ..operators import baselines as B
+from ..operators import containment
 from ..operators import easy as E
 from ..operators import features as X
 from ..operators import graph as G
@@ -187,14 +188,8 @@ def x3_natural(spark, d):
 
 @query
 def x4_containment(spark, d):
-    """Benchmark passages in documents: share of a passage's tokens that a document has, with the longest common run."""
-    a = W.load(spark, d, "benchmark").select("item_id", F.slice(S.tokens(F.col("text")), 1, 64).alias("t_a"))
-    b = W.load(spark, d, "documents").select("doc_id", S.tokens(F.col("text")).alias("t_b"))
-    df = b.select("doc_id", F.explode(F.array_distinct("t_b")).alias("t"))
-    rare = df.groupBy("t").agg(F.count(F.lit(1)).alias("df")).where("df <= 200").select("t")
-    met = a.select("item_id", F.explode(F.array_distinct("t_a")).alias("t")).join(rare, "t").join(df, "t").groupBy("item_id", "doc_id").agg(F.count(F.lit(1)).alias("n")).where("n >= 4").drop("n")
-    rows = met.join(a, "item_id").join(b, "doc_id")
-    return rows.select("item_id", "doc_id", F.round(S.containment(F.col("t_a"), F.col("t_b")), 6).alias("contained"), S.lcs_tokens(F.col("t_a"), F.slice("t_b", 1, 4000)).alias("run"))
+    """Benchmark passages in documents that share any token: share of a passage's tokens that a document has, with the longest common run; both texts whole."""
+    return containment.contained(W.load(spark, d, "benchmark"), W.load(spark, d, "documents"))
 
 
 @query
@@ -213,3 +208,17 @@ def x7_control(spark, d):
     rows = met.select((F.col("vec_id_a") * 1000003 + F.col("vec_id_b")).alias("pair_id"), S.cosine(F.col("embedding_a"), F.col("embedding_b")).alias("sim"), (F.col("label_a") == F.col("label_b")).cast("int").alias("truth"))
     rows = cut(rows, "vector-pairs")
     return M.quality(rows.select("pair_id", (F.col("sim") > 0.2).cast("int").alias("label")), rows.select("pair_id", "truth"))
+
+
+#: Runs by positions: equal tokens on one diagonal, numbered without gaps.
+SQL = {
+    "x4_containment": f"""
+WITH p AS MATERIALIZED (SELECT item_id, {Q.TOKENS} AS t FROM benchmark), q AS MATERIALIZED (SELECT doc_id, {Q.TOKENS} AS t FROM documents),
+a AS MATERIALIZED (SELECT item_id, unnest(t) AS w, generate_subscripts(t, 1) AS i FROM p), b AS MATERIALIZED (SELECT doc_id, unnest(t) AS w, generate_subscripts(t, 1) AS j FROM q),
+met AS MATERIALIZED (SELECT item_id, doc_id, w, i, i - j AS diag FROM a JOIN b USING (w)),
+islands AS (SELECT item_id, doc_id, diag, i - row_number() OVER (PARTITION BY item_id, doc_id, diag ORDER BY i) AS island FROM met),
+runs AS (SELECT item_id, doc_id, max(n) AS run FROM (SELECT item_id, doc_id, count(*) AS n FROM islands GROUP BY item_id, doc_id, diag, island) GROUP BY item_id, doc_id),
+shared AS (SELECT item_id, doc_id, count(DISTINCT w) AS n FROM met GROUP BY item_id, doc_id)
+SELECT item_id, doc_id, round(n / CAST(len(list_distinct(t)) AS DOUBLE), 6) AS contained, CAST(run AS INT) AS run
+FROM shared JOIN runs USING (item_id, doc_id) JOIN p USING (item_id)""",
+}

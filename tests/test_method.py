@@ -250,3 +250,24 @@ def test_support_product_form(spark):
     a, b = np.prod(rows.theta), np.prod(1 - rows.theta)
     assert got == pytest.approx(a / (a + b))
     assert replace(Settings(), k=3).k == 3
+
+
+def test_containment_whole_texts_and_common_tokens(spark):
+    """A passage in over 200 documents, one of over 64 tokens, one deep in a document, repeated tokens, odd rows."""
+    from pairlabel.operators.containment import contained
+
+    long = [f"w{k}" for k in range(90)]
+    passages = [(1, "one two three four five"), (2, " ".join(long)), (3, "a a b a a b c"), (4, None), (5, "..."), (6, "never met")]
+    docs = [(k, f"x{k} One, two three four five y{k}") for k in range(300)]
+    docs += [(1000, "z " * 5000 + " ".join(long)), (1001, "b a a b a"), (1002, None), (None, "c"), (1003, "a b"), (1003, "b a")]
+
+    def run(a, b):
+        return max((n for i in range(len(a)) for j in range(len(b)) for n in range(1, len(a) - i + 1) if a[i : i + n] == b[j : j + n]), default=0)
+
+    want = [(1, k, 1.0, 5) for k in range(300)] + [(2, 1000, 1.0, 90)]
+    words = "a a b a a b c".split()
+    want += [(3, k, round(len(set(words) & set(t.split())) / 3, 6), run(words, t.split())) for k, t in docs[301:] if t]
+    a, b = spark.createDataFrame(passages, "item_id long, text string"), spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
+    for block_tokens in (100_000, 6):
+        assert sorted(map(str, contained(a, b, block_tokens).collect())) == sorted(f"Row(item_id={i}, doc_id={k}, contained={c}, run={n})" for i, k, c, n in want)
+    assert contained(a.limit(0), b).count() == contained(a, b.limit(0)).count() == 0
