@@ -9,7 +9,10 @@ A block can only qualify if it holds one of the template's first
 (positional filter); what is left is counted exactly.
 
 A block is a line, or, in lines longer than ``window`` words, each window of so
-many words that starts at a multiple of half of it.
+many words that starts at a multiple of half of it. Notices wrapped over lines are
+met by the same windows over the words of the whole text: such a window is a block
+if it spans lines, and the words of lines that hold the template by themselves do
+not count in it, so a notice within a line is not found again from beside it.
 
 Defined results: null text counts as empty and gives zero counts, null places and
 empty label strings; repeated rows with one id each get the same result if their
@@ -105,7 +108,7 @@ def word_order(docs: DataFrame, text_col: str = "text") -> dict[str, int]:
 
 
 def template_matches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.85, window: int = 64) -> DataFrame:
-    """One row per qualifying block and template: doc_id, block (number in the text), template (label), containment."""
+    """One row per qualifying block and template: doc_id, block (line, or -1 if it spans lines, and window), template (label), containment."""
     spark = docs.sparkSession
     order = word_order(docs, text_col)
     templates, prefix = [], []
@@ -119,27 +122,45 @@ def template_matches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     least = min(x[3] for x in templates)
 
     starters = sorted({w for w, r in order.items() if any(r == x[0] for x in prefix)})
-    lines = docs.select(F.col(id_col).alias("doc_id"), F.posexplode(F.split(ascii_lower(F.col(text_col)), "\n")).alias("line_no", "line"))
-    lines = lines.withColumn("line", words_line(F.col("line"))).where(F.col("line").rlike(r"(^| )(" + "|".join(starters) + r")( |$)"))
-    w = F.split("line", " ")
-    lines = lines.withColumn("w", w)
-    half = window // 2
-    parts = F.when(F.size("w") <= window, F.array(F.col("w"))).otherwise(
-        F.transform(F.sequence(F.lit(0), F.size("w") - 1, F.lit(half)), lambda i: F.slice(F.col("w"), i + 1, F.lit(window)))
-    )
-    blocks = lines.select("doc_id", "line_no", F.posexplode(parts).alias("part", "w"))
+    rows = docs.select(F.col(id_col).alias("doc_id"), ascii_lower(F.col(text_col)).alias("text"))
+    rows = rows.where(words_line(F.col("text")).rlike(r"(^| )(" + "|".join(starters) + r")( |$)"))
     ranks = F.create_map(*[x for word, r in order.items() for x in (F.lit(word), F.lit(r))])
     vocabulary = F.array(*[F.lit(x) for x in order])
-    held = F.array_sort(F.transform(F.array_intersect("w", vocabulary), lambda x: F.element_at(ranks, x)))
-    blocks = blocks.select("doc_id", "line_no", "part", held.alias("b_words")).where(F.size("b_words") >= least)  # length filter
+    half = window // 2
+    starts = lambda w: F.sequence(F.lit(0), F.greatest(F.size(w) - 1, F.lit(0)), F.lit(half))
+    entry = lambda n, word: F.struct(n.alias("line"), F.element_at(ranks, word).alias("rank"))
+
+    def of_line(w: Column, n: Column) -> Column:
+        at = F.when(F.size(w) <= window, F.array(F.lit(0))).otherwise(starts(w))
+        return F.transform(at, lambda i, part: F.struct(n.alias("line_no"), part.alias("part"), F.transform(F.array_intersect(F.slice(w, i + 1, F.lit(window)), vocabulary), lambda x: entry(n, x)).alias("entries")))
+
+    def across(seq: Column) -> Column:
+        spans = F.filter(starts(seq), lambda i: F.get(seq, i)["line"] != F.get(seq, F.least(i + window, F.size(seq)) - 1)["line"])
+        held = lambda i: F.filter(F.slice(seq, i + 1, F.lit(window)), lambda x: x["word"].isin(*order))
+        return F.transform(spans, lambda i: F.struct(F.lit(-1).alias("line_no"), (i / half).cast("int").alias("part"), F.transform(held(i), lambda x: entry(x["line"], x["word"])).alias("entries")))
+
+    rows = rows.select("doc_id", F.sha2("text", 256).alias("text_key"), F.transform(F.split("text", "\n"), lambda x: F.split(words_line(x), " ")).alias("lines"))
+    seq = F.flatten(F.transform("lines", lambda w, n: F.transform(F.filter(w, lambda x: x != ""), lambda x: F.struct(n.alias("line"), x.alias("word")))))
+    rows = rows.withColumn("seq", seq)  # inline_outer below: for inline, Spark would test the size of blocks under the projections and build seq anew for each window
+    rows = rows.select("doc_id", "text_key", F.concat(F.flatten(F.transform("lines", of_line)), across(F.col("seq"))).alias("blocks"))
+    blocks = rows.select("doc_id", "text_key", F.inline_outer("blocks")).withColumn("b_words", F.array_sort(F.array_distinct("entries.rank"))).where(F.size("b_words") >= least)  # length filter
     entries = blocks.select("*", F.posexplode("b_words").alias("b_at", "rank"))
     joined = entries.join(F.broadcast(p), "rank").where(
         (F.size("b_words") >= F.col("need"))
         # the shared word is the first of both or follows at most b_at and t_at shared ones
         & (F.least(F.col("b_at"), F.col("t_at")) + F.least(F.size("b_words") - F.col("b_at"), F.col("size") - F.col("t_at")) >= F.col("need"))
     )
-    pairs = joined.groupBy("doc_id", "line_no", "part", "template_id").agg(F.first("b_words").alias("b_words"))
-    found = pairs.join(F.broadcast(t), "template_id").withColumn("shared", F.size(F.array_intersect("b_words", "t_words")))
+    shared = lambda es: F.size(F.array_intersect(F.transform(es, lambda e: e["rank"]), F.col("t_words")))
+    joined = joined.join(F.broadcast(t), "template_id").where(F.size(F.array_intersect("b_words", "t_words")) >= F.col("t_need"))
+    # the blocks of one text that hold a template, each once
+    pairs = joined.groupBy("doc_id", "text_key", "template_id").agg(F.collect_set(F.struct("line_no", "part", "entries")).alias("blocks")).join(F.broadcast(t), "template_id")
+    whole = F.filter("blocks", lambda x: x["line_no"] >= 0)
+    pairs = pairs.withColumn("own_lines", F.array_distinct(F.transform(whole, lambda x: x["line_no"])))
+    counted = F.transform("blocks", lambda x: F.struct(
+        x["line_no"].alias("line_no"), x["part"].alias("part"),
+        shared(F.when(x["line_no"] >= 0, x["entries"]).otherwise(F.filter(x["entries"], lambda e: ~F.array_contains("own_lines", e["line"])))).alias("shared"),
+    ))
+    found = pairs.select("doc_id", "template", "t_need", "t_size", F.inline(counted))
     return found.where(F.col("shared") >= F.col("t_need")).select(
         "doc_id", F.struct("line_no", "part").alias("block"), "template", (F.col("shared") / F.col("t_size")).alias("containment")
     )

@@ -460,3 +460,25 @@ def test_template_join_is_exact(spark):
             if k >= -(-len(ws) * 800 // 1000):
                 want[i, label, round(k / len(ws), 9)] += 1
     assert got == want and len(want) > 50
+
+
+def test_notices_wrapped_over_lines(spark):
+    permission = "Permission is hereby granted, free of charge, to any person obtaining a copy\nof this software and associated documentation files"
+    texts = [
+        "licensed under the apache\nlicense version 2.0",
+        permission,
+        "word " * 150 + "\n\n" + "Licensed under\r\n# the Apache License,\n# Version 2.0" + "\nmore words" * 100,
+        "\n".join("released under the mit license".split()),
+        "Licensed under the Apache License, Version 2.0\nsee the version under the license",  # a whole line, not found again with its neighbour
+        "Licensed under the Apache License, Version 2.0\nlicensed under the apache\nlicense version 2.0",
+        "licensed under the apache\n" + "word " * 100 + "\nlicense version 2.0",
+        "x\n" * 20 + "é all rights\nreserved\n\nunauthorized copying of this\nfile is strictly prohibited",
+    ]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r for r in license_scan.license_scan(df).collect()}
+    assert [got[k].labels for k in range(8)] == ["apache-2", "mit", "apache-2", "mit", "apache-2", "apache-2", "", "proprietary,reserved"]
+    assert [got[k].score for k in range(8)] == [1, 1, 1, 1, 1, 1, 0, 1]
+    assert [got[k].template_blocks for k in (0, 1, 3, 4, 5, 6)] == [1, 1, 1, 1, 2, 0]
+    words = permission.split()
+    broken = spark.createDataFrame([(k, " ".join(words[:k]) + "\n" + " ".join(words[k:])) for k in range(1, len(words))], "doc_id long, text string")
+    assert {r.labels for r in license_scan.license_scan(broken).collect()} == {"mit"}  # wherever the line breaks
