@@ -3,7 +3,9 @@
 A bin has three capacities: tokens, documents and attention cost (the sum of
 squared lengths). Pieces are placed longest first, each into the bin that fits
 best under every constraint: least weighted norm of the residual capacities, or
-greatest weighted dot product of demand and residual.
+greatest weighted dot product of demand and residual, each capacity as a share of
+its limit. A piece must fit an empty bin, so texts are cut at the length that all
+three limits allow.
 
 A piece's demand depends on its length alone, so the packing runs over the
 histogram of lengths, which has at most as many entries as a sequence has tokens,
@@ -37,17 +39,21 @@ PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 @dataclass(frozen=True)
 class Capacity:
-    """tokens: length of a sequence. docs, attention: None for no limit beyond what tokens imply. weights: of the three; mode: norm or dot."""
+    """tokens: length of a sequence. docs, attention: None for what tokens imply. weights: of the three; mode: norm or dot."""
 
     tokens: int = 2048
-    docs: int | None = None
+    docs: int | None = 256
     attention: float | None = None
-    weights: tuple[float, float, float] = (1.0, 0.0, 0.0)
+    weights: tuple[float, float, float] = (1.0, 1.0, 1.0)
     mode: str = "norm"
 
     def limits(self) -> np.ndarray:
         return np.array([self.tokens, self.docs or self.tokens, self.attention or float(self.tokens) ** 2])
 
+    def piece(self) -> int:
+        """The longest piece that an empty bin takes."""
+        return max(1, min(self.tokens, int(np.floor(np.sqrt(self.limits()[2]) + 1e-9))))
+
 
 def cut(length: int, size: int) -> list[tuple[int, int]]:
     """(start, length) of each piece."""
@@ -170,7 +176,7 @@ def pack_pieces(pieces: DataFrame, capacity: Capacity = Capacity()) -> DataFrame
 
 def pack_documents(docs: DataFrame, tokenizer: str, capacity: Capacity = Capacity(), end_id: int = 0, keep_ids: bool = True, **options) -> DataFrame:
     """Tokenises once into the shared folder, then packs. One row per piece."""
-    pieces = materialize(token_pieces(docs, tokenizer, capacity.tokens, end_id, keep_ids=keep_ids, **options), "pieces")
+    pieces = materialize(token_pieces(docs, tokenizer, capacity.piece(), end_id, keep_ids=keep_ids, **options), "pieces")
     return pack_pieces(pieces, capacity)
 
 
