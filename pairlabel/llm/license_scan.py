@@ -15,9 +15,9 @@ if it spans lines, and the words of lines that hold the template by themselves d
 not count in it, so a notice within a line is not found again from beside it.
 
 Defined results: null text counts as empty and gives zero counts, null places and
-empty label strings; repeated rows with one id each get the same result if their
-texts are equal; a row with a null id is scored like any other; templates and
-phrases are fixed values, so what is broadcast has a fixed size; an empty table
+empty label strings; rows that repeat an id are scored apart, each by its own text
+(matches are joined by id and digest of the text), and so are rows with a null id;
+templates and phrases are fixed values, so what is broadcast has a fixed size; an empty table
 gives an empty result; columns other than the two named ones play no part.
 """
 
@@ -59,9 +59,9 @@ def _template_rows() -> list[tuple[int, str, list[str]]]:
 
 
 def phrase_places(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", phrases: dict[str, str] = PHRASES) -> DataFrame:
-    """doc_id, n_words, n_base, first_word, last_word, base (array of labels), per row of docs."""
-    line = words_line(ascii_lower(F.col(text_col)))
-    rows = docs.select(F.col(id_col).alias("doc_id"), line.alias("line")).withColumn("n_words", _word_count(F.col("line")))
+    """doc_id, text_key (digest of the lowered text), n_words, n_base, first_word, last_word, base (array of labels), per row of docs."""
+    rows = docs.select(F.col(id_col).alias("doc_id"), ascii_lower(F.col(text_col)).alias("text"))
+    rows = rows.select("doc_id", F.sha2("text", 256).alias("text_key"), words_line(F.col("text")).alias("line")).withColumn("n_words", _word_count(F.col("line")))
     padded = F.concat(F.lit(" "), F.col("line"), F.lit(" "))
     any_phrase = None
     for p in phrases:
@@ -89,6 +89,7 @@ def phrase_places(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     rows = rows.withColumn("places", F.filter(at, lambda x: x["label"].isNotNull()))
     return rows.select(
         "doc_id",
+        "text_key",
         "n_words",
         F.size("places").cast("bigint").alias("n_base"),
         F.array_min(F.col("places.at")).alias("first_word"),
@@ -108,7 +109,7 @@ def word_order(docs: DataFrame, text_col: str = "text") -> dict[str, int]:
 
 
 def template_matches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.85, window: int = 64) -> DataFrame:
-    """One row per qualifying block and template: doc_id, block (line, or -1 if it spans lines, and window), template (label), containment."""
+    """One row per distinct text of an id, qualifying block and template: doc_id, text_key, block (line, or -1 if it spans lines, and window), template (label), containment."""
     spark = docs.sparkSession
     order = word_order(docs, text_col)
     templates, prefix = [], []
@@ -160,9 +161,9 @@ def template_matches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
         x["line_no"].alias("line_no"), x["part"].alias("part"),
         shared(F.when(x["line_no"] >= 0, x["entries"]).otherwise(F.filter(x["entries"], lambda e: ~F.array_contains("own_lines", e["line"])))).alias("shared"),
     ))
-    found = pairs.select("doc_id", "template", "t_need", "t_size", F.inline(counted))
+    found = pairs.select("doc_id", "text_key", "template", "t_need", "t_size", F.inline(counted))
     return found.where(F.col("shared") >= F.col("t_need")).select(
-        "doc_id", F.struct("line_no", "part").alias("block"), "template", (F.col("shared") / F.col("t_size")).alias("containment")
+        "doc_id", "text_key", F.struct("line_no", "part").alias("block"), "template", (F.col("shared") / F.col("t_size")).alias("containment")
     )
 
 
@@ -171,10 +172,10 @@ def license_scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     base = phrase_places(docs, id_col, text_col)
     found = (
         template_matches(docs, id_col, text_col, threshold)
-        .groupBy(F.col("doc_id").alias("m_id"))
+        .groupBy(F.col("doc_id").alias("m_id"), F.col("text_key").alias("m_key"))
         .agg(F.collect_set("template").alias("found"), F.max("containment").alias("containment"), F.count(F.lit(1)).alias("template_blocks"))
     )
-    out = base.join(found, F.col("doc_id").eqNullSafe(F.col("m_id")), "left")
+    out = base.join(found, F.col("doc_id").eqNullSafe(F.col("m_id")) & (F.col("text_key") == F.col("m_key")), "left")
     none = F.array().cast("array<string>")
     labels = F.array_sort(F.array_distinct(F.concat(F.col("base"), F.coalesce("found", none))))
     score = F.when(F.col("n_base") > 0, F.lit(1.0)).otherwise(F.coalesce("containment", F.lit(0.0)))
