@@ -2,15 +2,16 @@
 
 A shard is one file; its rows are blocks, in ascending document order. A block
 holds whole documents: at least ``block_ids`` ids, unless the shard ends. Columns:
-shard, block, start (ids of the shard before it), n_ids, width, doc_ids,
-doc_starts (place of each document's first id within the block), payload (id k in
-bits k*width to (k+1)*width, lowest bit first, zero padding to whole bytes). The
-places of a block and of a document give random access to any id; a block unpacks
-with a few numpy operations. Files are written by Spark's own committer, so a
+shard, block, first_id and last_id (least and greatest document id), start (ids of
+the shard before it), n_ids, width, doc_ids, doc_starts (place of each document's
+first id within the block), payload (id k in bits k*width to (k+1)*width, lowest
+bit first, zero padding to whole bytes). Blocks lie in id order, so the range of
+ids in the footers leads to a document's block, and the places of blocks and
+documents lead to any token position; a block unpacks with a few numpy operations. Files are written by Spark's own committer, so a
 lost executor leaves none half done, and to any store that Spark reaches.
 
 Defined results: null and empty texts give just the end id; rows that repeat a
-doc_id stand next to each other; null ids come first; an empty table gives an
+doc_id stand next to each other in the order of their texts; null ids come first; an empty table gives an
 empty result; columns other than the two named ones play no part. A document
 always lies in one block, so a very long one makes a long block.
 """
@@ -27,7 +28,9 @@ from pyspark.sql import functions as F
 from .common import shared_path
 from .tokens import encoder
 
-BLOCK = "shard int, block int, start long, n_ids long, width int, doc_ids array<long>, doc_starts array<long>, payload binary"
+BLOCK = "shard int, block int, first_id long, last_id long, start long, n_ids long, width int, doc_ids array<long>, doc_starts array<long>, payload binary"
+
+ROW_GROUP_BYTES = 1 << 22
 
 
 def width_of(vocab_size: int) -> int:
@@ -66,9 +69,11 @@ def write_ids(docs: DataFrame, tokenizer: str, end_id: int, path: str, id_col: s
         size = start = block = 0
 
         def flush() -> pa.RecordBatch:
-            cols = [[shard], [block], [start], [size], [width], [ids], [starts], [pack(np.frombuffer(b"".join(got), "<u4"), width)]]
-            types = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary()]
-            names = ["shard", "block", "start", "n_ids", "width", "doc_ids", "doc_starts", "payload"]
+            known = [i for i in ids if i is not None]
+            first, last = (known[0], known[-1]) if known else (None, None)
+            cols = [[shard], [block], [first], [last], [start], [size], [width], [ids], [starts], [pack(np.frombuffer(b"".join(got), "<u4"), width)]]
+            types = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary()]
+            names = ["shard", "block", "first_id", "last_id", "start", "n_ids", "width", "doc_ids", "doc_starts", "payload"]
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names)
 
         for b in batches:
@@ -86,8 +91,9 @@ def write_ids(docs: DataFrame, tokenizer: str, end_id: int, path: str, id_col: s
         enc.release()
 
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
-    ordered = rows.repartitionByRange("i").sortWithinPartitions("i")
-    ordered.mapInArrow(blocks, BLOCK).write.option("compression", "zstd").parquet(path)
+    ordered = rows.repartitionByRange("i").sortWithinPartitions("i", "t")
+    # small row groups, so that a reader of one block skips the others of a file
+    ordered.mapInArrow(blocks, BLOCK).write.option("compression", "zstd").option("parquet.block.size", ROW_GROUP_BYTES).parquet(path)
 
 
 def shard_starts(blocks: DataFrame) -> DataFrame:
@@ -119,8 +125,9 @@ def read_documents(blocks: DataFrame) -> DataFrame:
 
 
 def read_document(blocks: DataFrame, doc_id: int) -> np.ndarray | None:
-    """Random access to one document's ids: only its block is read."""
-    found = blocks.where(F.array_contains("doc_ids", doc_id)).select("doc_ids", "doc_starts", "n_ids", "width", "payload").first()
+    """Random access to one document's ids: the range of ids is pushed to the files, so only row groups that can hold it are read."""
+    here = F.col("first_id").isNotNull() & (F.col("first_id") <= doc_id) & (F.col("last_id") >= doc_id)
+    found = blocks.where(here & F.array_contains("doc_ids", doc_id)).select("doc_ids", "doc_starts", "n_ids", "width", "payload").first()
     if found is None:
         return None
     k = found["doc_ids"].index(doc_id)
@@ -128,6 +135,17 @@ def read_document(blocks: DataFrame, doc_id: int) -> np.ndarray | None:
     return unpack(bytes(found["payload"]), found["width"], s, e - s)
 
 
+def read_span(blocks: DataFrame, start: int, n: int) -> np.ndarray:
+    """Random access by position: n ids from the start-th of the whole corpus on (fewer at its end); of each block only the bits asked for are unpacked."""
+    at = F.col("base") + F.col("start")
+    met = blocks.join(F.broadcast(shard_starts(blocks)), "shard").withColumn("at", at).where((F.col("at") < start + n) & (F.col("at") + F.col("n_ids") > start))
+    out = [np.zeros(0, "<u4")]
+    for r in met.select("at", "n_ids", "width", "payload").orderBy("at").toLocalIterator():
+        lo, hi = max(start - r["at"], 0), min(start + n - r["at"], r["n_ids"])
+        out.append(unpack(bytes(r["payload"]), r["width"], lo, hi - lo))
+    return np.concatenate(out)
+
+
 def pack_corpus(docs: DataFrame, tokenizer: str, end_id: int, path: str | None = None, **options) -> DataFrame:
     """Writes the ids (to the shared folder unless path is given) and returns what the files hold, one row per block."""
     path = path or shared_path(docs.sparkSession, "token-ids")
@@ -140,4 +158,4 @@ def crc32_of(column: str = "ids"):
     return F.crc32(F.col(column))
 
 
-__all__ = ["crc32_of", "pack", "pack_corpus", "read_document", "read_documents", "shard_starts", "unpack", "width_of", "write_ids"]
+__all__ = ["crc32_of", "pack", "pack_corpus", "read_document", "read_documents", "read_span", "shard_starts", "unpack", "width_of", "write_ids"]
