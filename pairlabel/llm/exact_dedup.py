@@ -6,15 +6,16 @@ combine only if their whole normalised texts are equal; the digest alone never
 decides. A hot text costs each task one row, whatever the number of its copies.
 
 Defined results: null and empty texts are equal to each other; rows that repeat
-a doc_id within a group all count as kept if the id is the largest; a group
-whose ids are all null keeps them; an empty table gives an empty result; columns
+a doc_id within a group all count as kept if the id is the largest, but
+``drop_copies`` leaves one row of each group; a group whose ids are all null keeps
+them (``drop_copies``: one of them); an empty table gives an empty result; columns
 other than the two named ones play no part. Two different texts with one
 SHA-256 digest would stop the job with an error rather than be merged.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import ascii_lower, materialize
@@ -67,7 +68,16 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 
 def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", salts: int = 8) -> DataFrame:
-    """The documents that stay, with all their columns; of rows that also repeat the id, one."""
-    groups = dedup_groups(docs, id_col, text_col, salts).select(F.col("keep_id").alias("_keep_id"))
-    kept = docs.join(groups, F.col(id_col).eqNullSafe(F.col("_keep_id")), "left_semi")
-    return kept
+    """One row of each group of equal texts, with all its columns: one with the largest id; of rows that repeat that id too, the first by text, then by a hash of the other columns.
+
+    Rows and winners meet by digest and id together, so the copies of a hot text, which differ in their ids, go to many tasks.
+    """
+    names = docs.columns
+    groups = dedup_groups(docs, id_col, text_col, salts)
+    id_key = F.coalesce(F.col(id_col).cast("string"), F.lit("null"))
+    rows = docs.withColumn("_digest", F.unhex(F.sha2(ascii_lower(F.col(text_col)), 256))).withColumn("_id", id_key)
+    winners = groups.select(F.col("digest").alias("_digest"), F.coalesce(F.col("keep_id").cast("string"), F.lit("null")).alias("_id"))
+    plain = [F.col(f"`{c}`").cast("string") for c in names]
+    one = Window.partitionBy("_digest", "_id").orderBy(F.coalesce(F.col(text_col), F.lit("")), F.xxhash64(*plain))
+    kept = rows.join(winners, ["_digest", "_id"], "left_semi").withColumn("_copy", F.row_number().over(one)).where(F.col("_copy") == 1)
+    return kept.select(*[F.col(f"`{c}`") for c in names])
