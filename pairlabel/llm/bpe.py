@@ -6,9 +6,10 @@ in its derivation) is taken by an earlier merge (that piece, x); whether that on
 happens depends in turn on the right end of x. Following such chains gives for
 each merge the number of bytes behind it that can matter: the length of the next
 merge's right part plus that merge's own reach. The greatest over all merges is
-the sufficient lookahead: once so many bytes behind a token's end are known, the
-token can't change and is emitted. A word is encoded whole if it is short; a long
-one goes through a window of bounded size.
+the sufficient lookahead: once so many bytes behind a token's end are known, or the
+word has ended there, the token can't change and is emitted. Every word goes
+through this transducer, which holds at most a window of bytes; a bounded cache
+keeps what it has emitted for a word.
 
 Decoding maps ids to bytes and feeds them to an incremental UTF-8 decoder that
 replaces what is invalid.
@@ -126,7 +127,7 @@ class Transducer:
         return [i for i in ids if i is not None]
 
     def stream(self, chunks: Iterable[bytes]) -> Iterator[int]:
-        """Ids of one word that comes in chunks; holds at most a window."""
+        """Ids of one word that comes in chunks, each emitted once it is stable; holds at most a window. The end of the chunks is the end of the word, where the rest is stable."""
         held = b""
         for chunk in chunks:
             for s in range(0, len(chunk), self.window):
@@ -146,10 +147,7 @@ class Transducer:
 
     def _word(self, word: str) -> bytes:
         data = word.encode("utf-8", "surrogatepass")
-        if len(data) < self.window:
-            ids = self.merge(data)
-        else:
-            ids = list(self.stream(data[s : s + self.window] for s in range(0, len(data), self.window)))
+        ids = list(self.stream(data[s : s + self.window] for s in range(0, len(data), self.window)))
         return _packer(len(ids)).pack(*ids)
 
     def encode_parts(self, text: str, part: int = 1 << 16) -> Iterator[bytes]:
