@@ -94,7 +94,7 @@ def _parts(template: Template) -> Column:
 
 
 def formatted(conversations: DataFrame, template: Template = INSTRUCT) -> DataFrame:
-    """One row per conversation: conv_id, formatted (the whole string), spans (start, length, loss per segment), valid, complete."""
+    """One row per conversation: conv_id, formatted (the whole string), spans (length, loss per segment), valid, complete."""
     rows = segments(conversations, template)
     ordered = F.array_sort(F.collect_list(F.struct("turn_no", "part", "segment", "loss")))
     by_conv = rows.groupBy("conv_id").agg(ordered.alias("s"), F.min("valid").alias("valid"))
@@ -109,7 +109,7 @@ def formatted(conversations: DataFrame, template: Template = INSTRUCT) -> DataFr
 
 
 def read_back(texts: DataFrame, template: Template = INSTRUCT) -> DataFrame:
-    """conv_id, formatted, spans, turns (array of role and text), all read from the formatted string."""
+    """conv_id, formatted, spans, slices (the formatted string cut into turns), turns (array of role and text), all read from the formatted string."""
     before, after = template.before, template.after
     pieces = [f"{_java(before[r])}(.*?){_java(after[r])}" for r in before]
     a, b, c = template.other
@@ -127,11 +127,22 @@ def read_back(texts: DataFrame, template: Template = INSTRUCT) -> DataFrame:
             out = F.when(x.startswith(before[r]), F.struct(F.lit(r).alias("role"), text.alias("text"))).otherwise(out)
         return out
 
-    turns = F.transform(F.transform(whole, role_text), lambda t: F.struct(t["role"].alias("role"), unescape(t["text"]).alias("text")))
-    return texts.withColumn("turns", turns)
+    turns = F.transform(F.transform("slices", role_text), lambda t: F.struct(t["role"].alias("role"), unescape(t["text"]).alias("text")))
+    return texts.withColumn("slices", whole).withColumn("turns", turns)
 
 
-def loss_text(turns: Column, spans: Column) -> Column:
-    """What the loss mask covers, unescaped: the texts of the turns whose middle span bears loss, in order."""
-    masked = F.filter(turns, lambda t, i: F.get(spans, i * 3 + 1)["loss"])
-    return F.array_join(F.transform(masked, lambda t: t["text"]), "")
+def loss_text(slices: Column, spans: Column) -> Column:
+    """What the loss mask covers of the formatted string, unescaped: each turn's slice is cut at the lengths that its three spans record, and the cuts under the mask follow each other.
+
+    Slices that do not have their spans' length stop the job: the mask would then cover other text.
+    """
+
+    def under(x: Column, i: Column) -> Column:
+        own = [F.get(spans, i * 3 + k) for k in range(3)]
+        at, cuts = F.lit(1), []
+        for span in own:
+            cuts.append(F.when(span["loss"], x.substr(at.cast("int"), span["length"].cast("int"))).otherwise(""))
+            at = at + span["length"]
+        return F.when(F.length(x) + 1 == at, F.concat(*cuts)).otherwise(F.raise_error(F.lit("a turn's length differs from its spans")).cast("string"))
+
+    return unescape(F.array_join(F.transform(slices, under), ""))

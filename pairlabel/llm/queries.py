@@ -38,7 +38,7 @@ def op6_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id", "turn", "role", "text").unionByName(more)
     read = chat_format.read_back(chat_format.formatted(turns))
     told = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
-    loss = chat_format.loss_text(F.col("turns"), F.col("spans"))
+    loss = chat_format.loss_text(F.col("slices"), F.col("spans"))
     return read.withColumn("loss_text", loss).select(
         "conv_id",
         F.size("turns").cast("long").alias("n_turns"),
