@@ -1,17 +1,19 @@
 """Nearest neighbours by largest inner product with a hierarchical k-means tree and best-bin-first traversal.
 
-The tree is fitted on a bounded sample (``sample_rows``) and has at most
-``max_leaves`` leaves, so what is broadcast has a fixed bound; every row is then
-put into its leaf. A query walks the tree through a priority queue of nodes, by
+The tree is fitted on a bounded sample (``sample_rows``); it has a leaf for about
+``leaf_rows`` rows, but at most ``max_leaves``, so what is broadcast has a fixed
+bound; every row is then put into its leaf. A query walks the tree through a priority queue of nodes, by
 the inner product with the centre plus the part of the query's norm that the
 node's radius can add, and visits leaves in that order. How many leaves are
 visited is calibrated: the true neighbours of a bounded number of queries are
 found against all rows, and visits widen until the mean recall on these reaches
-``target_recall``.
+``target_recall``. A query whose leaves hold too few candidates goes on through its
+queue until they hold enough.
 
 Rows and queries meet in cells of bounded size: a group of leaves is split by row
 id into cells of about ``cell_rows`` rows, so a very common vector is spread over
-many cells, and queries go in blocks of about ``query_rows``. Scores are exact, in
+many cells, and the queries that ask for a group go in blocks of about
+``query_rows``; a group's rows are sent once for each block that asks for them. Scores are exact, in
 double precision, on the original vectors.
 
 Defined results: vectors that are null, zero, of another length than most, or that
@@ -61,14 +63,15 @@ class Tree:
                 node[own] = self.first[i] + np.argmax(x[own] @ c.T - (c * c).sum(1) / 2, axis=1)
         return self.leaf[node]
 
-    def order(self, q: np.ndarray, visits: int) -> list[int]:
-        """The first ``visits`` leaves in best-bin-first order."""
+    def order(self, q: np.ndarray, visits: int, rows: np.ndarray | None = None, least: int = 0) -> list[int]:
+        """The first ``visits`` leaves in best-bin-first order, and further ones until they hold ``least`` rows; rows: of each leaf."""
         score = self.centres @ q + np.linalg.norm(q) * self.radius * 0.5
-        heap, out = [(-score[0], 0)], []
-        while heap and len(out) < visits:
+        heap, out, held = [(-score[0], 0)], [], 0
+        while heap and (len(out) < visits or (rows is not None and held < least)):
             _, i = heapq.heappop(heap)
             if not self.count[i]:
                 out.append(int(self.leaf[i]))
+                held += int(rows[out[-1]]) if rows is not None else 0
             for k in range(self.first[i], self.first[i] + self.count[i]):
                 heapq.heappush(heap, (-score[k], k))
         return out
@@ -150,13 +153,13 @@ def nearest(
     target_recall: float = 0.96,
     sample_rows: int = 20_000,
     max_leaves: int = 1024,
-    leaf_rows: int = 128,
+    leaf_rows: int = 16,
     calibration_queries: int = 128,
     cell_rows: int = 16_384,
     query_rows: int = 4096,
     visits: int | None = None,
 ) -> DataFrame:
-    """query_id, rank (from 1), vec_id, score, visits (leaves each query opens)."""
+    """query_id, rank (from 1), vec_id, score, visits (leaves that each query opens, if they hold enough). is_query must be the same for rows of one id."""
     spark = vectors.sparkSession
     schema = "query_id long, rank int, vec_id long, score double, visits int"
     rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).alias("v"), is_query.alias("is_query")).where(usable(F.col("v")) & F.col("vec_id").isNotNull())
@@ -187,6 +190,8 @@ def nearest(
 
     # groups of neighbouring leaves, split into cells of bounded size
     counts = {r["leaf"]: r["n"] for r in index.groupBy("leaf").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most max_leaves rows
+    in_leaf = np.array([counts.get(leaf, 0) for leaf in range(leaves)])
+    same = index.where("is_query").groupBy("vec_id").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0]  # rows of one id are no candidates of each other
     group_of, cells_of, group, held = {}, [], 0, 0
     for leaf in range(leaves):
         group_of[leaf] = group
@@ -194,29 +199,30 @@ def nearest(
         if held >= cell_rows or leaf == leaves - 1:
             cells_of.append(max(1, -(-held // cell_rows)))
             group, held = group + 1, 0
-    blocks = max(1, -(-n_queries // query_rows))
     groups = np.array([group_of[i] for i in range(leaves)])
 
     def visiting(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            out = {"query_id": [], "q": [], "grp": [], "salt": [], "block": [], "leaves": []}
+            out = {"query_id": [], "q": [], "grp": [], "leaves": []}
             for i, v in zip(b.column("vec_id").to_pylist(), b.column("v").to_pylist(), strict=True):
-                order = np.array(shared.value.order(np.asarray(v, dtype=np.float64), visits))
+                order = np.array(shared.value.order(np.asarray(v, dtype=np.float64), visits, in_leaf, k + same))
                 of = groups[order]
                 for g in np.unique(of).tolist():
-                    own = order[of == g].tolist()
-                    for salt in range(cells_of[g]):
-                        for name, value in zip(out, (i, v, g, salt, i * 2654435761 % (1 << 32) % blocks, own), strict=True):
-                            out[name].append(value)
-            types = [pa.int64(), b.schema.field("v").type, pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int32())]
+                    for name, value in zip(out, (i, v, g, order[of == g].tolist()), strict=True):
+                        out[name].append(value)
+            types = [pa.int64(), b.schema.field("v").type, pa.int32(), pa.list_(pa.int32())]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out.values(), types, strict=True)], list(out))
 
-    queries = index.where("is_query").select("vec_id", "v").mapInArrow(visiting, f"query_id long, q {element}, grp int, salt int, block int, leaves array<int>")
-    leaf_group = F.array(*[F.lit(int(g)) for g in groups])
-    group_cells = F.array(*[F.lit(int(c)) for c in cells_of])
-    cells = index.withColumn("grp", F.get(leaf_group, F.col("leaf")))
-    cells = cells.withColumn("salt", F.pmod(by_hash, F.get(group_cells, F.col("grp"))).cast("int"))
-    cells = cells.select("grp", "salt", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), "vec_id", "v", "leaf")
+    asked_for = materialize(index.where("is_query").select("vec_id", "v").mapInArrow(visiting, f"query_id long, q {element}, grp int, leaves array<int>"), "visits")
+    askers = {r["grp"]: r["n"] for r in asked_for.groupBy("grp").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most max_leaves rows
+    blocks_of = [-(-askers.get(g, 0) // query_rows) for g in range(len(cells_of))]
+    numbers = lambda values: F.array(*[F.lit(int(x)) for x in values])
+    upto = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
+    block = F.pmod(F.xxhash64("query_id"), F.get(numbers(blocks_of), F.col("grp"))).cast("int")
+    queries = asked_for.select("query_id", "q", "grp", block.alias("block"), "leaves", upto(F.get(numbers(cells_of), F.col("grp"))).alias("salt"))
+    cells = index.withColumn("grp", F.get(numbers(groups), F.col("leaf")))
+    cells = cells.withColumn("salt", F.pmod(by_hash, F.get(numbers(cells_of), F.col("grp"))).cast("int")).withColumn("blocks", F.get(numbers(blocks_of), F.col("grp")))
+    cells = cells.where("blocks > 0").select("grp", "salt", upto(F.col("blocks")).alias("block"), "vec_id", "v", "leaf")
 
     def search(data: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
         if data.empty or asked.empty:
