@@ -3,7 +3,11 @@
 P(w | h) = a2[b] * c(h, w) / c(h) + a1[b] * c(w) / N + a0[b] / (V + 1), where b is a
 bucket of the context's frequency. The weights a are learned by expectation
 maximisation on deleted counts: each training token is predicted from all other
-training tokens, its own occurrence taken out of every count.
+training tokens, its own occurrence taken out of every count. Tokens whose two
+deleted estimates lie within the same sixteenths of a power of two enter the
+maximisation together, by the means of their estimates, so what the driver gets has
+a fixed bound; within a step of that size the estimates differ from their mean by at
+most 2.2 %, whose square bounds the error of a token's share.
 
 Counts come from all training documents. Texts are dealt into blocks of bounded
 size. A block asks for the counts of its distinct n-grams: sorted 64-bit keys, cut
@@ -36,7 +40,7 @@ _U = np.uint64
 _END = _U(0x2545F4914F6CDD1D)
 _START = _U(0x8E9D5A3C71B46F27)
 BUCKETS = 20  # by powers of two of the context's count; 0: unseen
-GRAIN = 8  # steps per power of two in which deleted estimates are gathered
+GRAIN = 16  # steps per power of two by which deleted estimates are gathered; within a step their means are exact
 
 
 def token_keys(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -288,34 +292,37 @@ def interpolated_scores(docs: DataFrame, held_out=None, id_col: str = "doc_id",
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         top = 64 * GRAIN
-        found: dict[int, int] = {}
+        found: dict[int, np.ndarray] = {}
         for b in batches:
             codes, held = [], 0
 
-            def count(codes: list[np.ndarray]) -> None:
-                cell, k = np.unique(np.concatenate(codes), return_counts=True)
-                for c, m in zip(cell.tolist(), k.tolist(), strict=True):
-                    found[c] = found.get(c, 0) + m
+            def count(codes: list[tuple]) -> None:
+                cells, two, one = (np.concatenate(x) for x in zip(*codes, strict=True))
+                cell, where = np.unique(cells, return_inverse=True)
+                sums = np.column_stack([np.bincount(where), np.bincount(where, two), np.bincount(where, one)])
+                for c, s in zip(cell.tolist(), sums, strict=True):
+                    found[c] = found[c] + s if c in found else s
                 codes.clear()
 
             for c_w, c_hw in _each(b):
                 bucket, p2, p1 = _estimates(*_arrays(c_w, c_hw, n_docs), n, True)
                 q2 = np.where(p2 > 0, np.clip(np.round(-np.log2(np.where(p2 > 0, p2, 1)) * GRAIN), 0, top - 2), top - 1).astype(np.int64)
                 q1 = np.where(p1 > 0, np.clip(np.round(-np.log2(np.where(p1 > 0, p1, 1)) * GRAIN), 0, top - 2), top - 1).astype(np.int64)
-                codes.append((bucket * top + q2) * top + q1)
+                codes.append(((bucket * top + q2) * top + q1, p2, p1))
                 held += len(q1)
                 if held > 1 << 20:
                     count(codes)
                     held = 0
             if codes:
                 count(codes)
-        yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.int64()), pa.array(list(found.values()), pa.int64())], ["cell", "n"])
+        sums = np.array(list(found.values())).reshape(-1, 3)
+        yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.int64()), *[pa.array(sums[:, k], pa.float64()) for k in range(3)]], ["cell", "n", "two", "one"])
 
     # a fixed grid, so what comes back has a fixed bound
-    grid = rows.where(~F.col("held_out")).select("c_w", "c_hw").mapInArrow(gather, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).collect()
+    cells = rows.where(~F.col("held_out")).select("c_w", "c_hw").mapInArrow(gather, "cell long, n double, two double, one double")
+    grid = cells.groupBy("cell").agg(F.sum("n").alias("n"), F.sum("two").alias("two"), F.sum("one").alias("one")).collect()
     top = 64 * GRAIN
-    value = lambda q: 0.0 if q == top - 1 else 2.0 ** (-q / GRAIN)
-    weights = learn_weights([(r["cell"] // top // top, value(r["cell"] // top % top), value(r["cell"] % top), r["n"]) for r in grid], 1 / (v + 1))
+    weights = learn_weights([(r["cell"] // top // top, r["two"] / r["n"], r["one"] / r["n"], r["n"]) for r in grid], 1 / (v + 1))
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         base_of = np.log10(float(n + v + 1))
