@@ -9,7 +9,7 @@ for many labels per round.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+import heapq
 
 import numpy as np
 import pandas as pd
@@ -19,44 +19,40 @@ from pyspark.sql import functions as F
 from ..functions import influence as I
 from ..settings import Settings
 from . import graph
-from .fit import fit
+from .fit import Own, fit, fit_many
 
-LOG = "pair_id long, label int, round int, support double, p_approx double, p double, h double, flipped boolean, unsupported boolean, easy boolean"
+LOG = "pair_id long, label int, round int, support double, p_approx double, p double, h double, flipped boolean, unsupported boolean, easy boolean, fits int"
 _HASH_MOD = 2147483647
 
 
-@dataclass
-class Run:
-    labels: dict[int, int] = field(default_factory=dict)
-    log: list[tuple] = field(default_factory=list)
-    fits: int = 0
-
-
 def _cap_order(ids: np.ndarray) -> np.ndarray:
     return np.array([i * 48271 % _HASH_MOD for i in ids.tolist()])
 
 
 class Kernel:
-    """State of one workload: pairs, incidence in both directions, statistics, and what each entry adds to its pair."""
+    """State of one workload: pairs, incidence in both directions, statistics, capped evidence, and what each entry adds to its pair."""
 
     def __init__(self, pair_ids: np.ndarray, sim: np.ndarray, entries: pd.DataFrame, settings: Settings):
         self.s = settings
         order = np.argsort(pair_ids)
         self.ids, self.sim = pair_ids[order], sim[order]
         n = len(self.ids)
-        names, self.f = np.unique(entries["feature_id"].to_numpy(), return_inverse=True)
+        self.names, self.f = np.unique(entries["feature_id"].to_numpy(), return_inverse=True)
         self.p = np.searchsorted(self.ids, entries["pair_id"].to_numpy())
         self.x = entries["x"].to_numpy(dtype=float)
         o = np.lexsort((self.f, self.p))
         self.p, self.f, self.x = self.p[o], self.f[o], self.x[o]
-        self.names = names
         self.starts = np.searchsorted(self.p, np.arange(n + 1))
-        by_f = np.lexsort((_cap_order(self.ids[self.p]), self.f)) if len(self.f) else np.zeros(0, int)
-        self.by_f = by_f
-        self.f_starts = np.searchsorted(self.f[by_f], np.arange(len(names) + 1))
-        self.bin = np.clip(np.floor(self.x * settings.bins), 0, settings.bins - 1).astype(int)
+        self.by_f = np.argsort(self.f, kind="stable")
+        self.f_starts = np.searchsorted(self.f[self.by_f], np.arange(len(self.names) + 1))
+        self.cell = self.f * settings.bins + np.clip(np.floor(self.x * settings.bins), 0, settings.bins - 1).astype(int)
+        self.order = _cap_order(self.ids)
+        self.cells: dict[int, list[tuple[int, int, int]]] = {}  # the first entries of a feature's interval in the order of the cap, the last of them on top
+        self.gathered: dict[int, np.ndarray] = {}
         self.label = np.full(n, -1)
-        self.stats = np.zeros((len(names), 6))
+        self.stats = np.zeros((len(self.names), 6))
+        self.open = np.arange(len(self.x))  # entries of unlabeled pairs, now and then with some of labeled ones
+        self.live: tuple | None = None  # those of active features, with their feature, value and pair
         self.theta = np.zeros(len(self.x))
         self.on = np.zeros(len(self.x), dtype=bool)
         self.logit = np.zeros(len(self.x))
@@ -64,11 +60,15 @@ class Kernel:
         self.support = np.zeros(n)
         self.z = np.zeros(n)
         self.count = np.zeros(n)
-        self.since = np.zeros(len(names))
+        self.since = np.zeros(len(self.names))
         self.curves: dict[str, np.ndarray] = {}
-        self.version = np.zeros(len(names), dtype=np.int64)
+        self.central = I.CentralT()
+        self.version = np.zeros(len(self.names), dtype=np.int64)
         self.fits = 0
         self.known: dict[int, tuple[int, float]] = {}
+        self.last: dict[int, dict[int, tuple[float, float]]] = {}  # where a target's last fit ended
+        self.near: dict[int, tuple[float, float]] = {}  # where any target's last fit ended, by feature
+        self.place = np.full(n, -1)
 
     def weight(self) -> float:
         n1, n0 = int((self.label == 1).sum()), int((self.label == 0).sum())
@@ -80,21 +80,37 @@ class Kernel:
             e = slice(self.starts[p], self.starts[p + 1])
             f, x = self.f[e], self.x[e]
             at = 3 * y
-            np.add.at(self.stats, (f, at), 1)
-            np.add.at(self.stats, (f, at + 1), x)
-            np.add.at(self.stats, (f, at + 2), x * x)
+            self.stats[f, at] += 1  # a pair has a feature once
+            self.stats[f, at + 1] += x
+            self.stats[f, at + 2] += x * x
             self.since[f] += 1
+            rank = (-int(self.order[p]), -p)
+            for k, c, own in zip(range(e.start, e.stop), self.cell[e].tolist(), f.tolist(), strict=True):
+                cell = self.cells.setdefault(c, [])
+                if len(cell) < self.s.interval_cap:
+                    heapq.heappush(cell, (*rank, k))
+                elif heapq.heappushpop(cell, (*rank, k))[2] == k:
+                    continue
+                self.gathered.pop(own, None)
+            self.last.pop(p, None)
+            self.known.pop(p, None)
+
+    def evidence(self, f: int) -> np.ndarray:
+        """The feature's entries of labeled pairs, at most the cap in each interval."""
+        if f not in self.gathered:
+            bins = self.s.bins
+            self.gathered[f] = np.array([k for c in range(f * bins, (f + 1) * bins) for _, _, k in self.cells.get(c, ())], dtype=np.int64)
+        return self.gathered[f]
 
     def refresh(self, all_: bool = False) -> None:
-        """New curves, and new confidences of the entries of features with enough new evidence."""
+        """New curves, and new confidences of the entries of unlabeled pairs; with a setting of refresh, only of features with enough new evidence."""
         w = self.weight()
-        nobs = self.stats[:, 0] + self.stats[:, 3]
-        moved = abs(w - getattr(self, "w", np.inf)) > self.s.refresh * w
-        if all_ or moved:
+        every = all_ or self.s.refresh == 0 or abs(w - getattr(self, "w", np.inf)) > self.s.refresh * w
+        if every:
             stale = np.arange(len(self.names))
             self.w = w
         else:
-            stale = np.nonzero(self.since > np.maximum(self.s.refresh * nobs, 0.5 if self.s.refresh else 0))[0]
+            stale = np.nonzero(self.since > self.s.refresh * (self.stats[:, 0] + self.stats[:, 3]))[0]
         if not len(stale):
             return
         own = I.curves_np(self.stats[stale], self.w, self.s)
@@ -104,63 +120,132 @@ class Kernel:
             self.curves[k][stale] = v
         self.since[stale] = 0
         self.version[stale] += 1
-        spans = [self.by_f[self.f_starts[f] : self.f_starts[f + 1]] for f in stale.tolist()]
-        e = np.concatenate(spans) if spans else np.zeros(0, int)
+        self.lines = I.confidence_lines(self.curves, self.s, self.central)
+        if every:
+            self._refresh_all()
+            return
+        e = np.concatenate([self.by_f[self.f_starts[f] : self.f_starts[f + 1]] for f in stale.tolist()])
         e = e[self.label[self.p[e]] < 0]  # only unlabeled pairs need them
-        theta = I.confidence_np(self.curves, self.f[e], self.x[e], self.s)
+        self.live = None
         on = self.curves["active"][self.f[e]]
-        tn = (1 + theta) / 2 if self.s.confidence_scale == "normalized" else theta
+        f, x = self.f[e], self.x[e]
+        theta = self.theta_at(f, x)
         with np.errstate(all="ignore"):
-            t = np.minimum(tn, 1 - 1e-12)
+            t = np.minimum(theta, 1 - 1e-12)
             logit = np.where(on, np.log(t / (1 - t)), 0.0)
-            force = np.where(on, tn * self.curves["tau"][self.f[e]] * (self.x[e] - self.curves["alpha"][self.f[e]]), 0.0)
-        p = self.p[e]
-        np.add.at(self.support, p, logit - self.logit[e])
-        np.add.at(self.z, p, force - self.force[e])
-        np.add.at(self.count, p, on.astype(float) - self.on[e])
-        self.theta[e], self.on[e], self.logit[e], self.force[e] = tn, on, logit, force
+            force = np.where(on, theta * self.curves["tau"][f] * (x - self.curves["alpha"][f]), 0.0)
+        p, n = self.p[e], len(self.ids)
+        self.support += np.bincount(p, logit - self.logit[e], n)
+        self.z += np.bincount(p, force - self.force[e], n)
+        self.count += np.bincount(p, on.astype(float) - self.on[e], n)
+        self.theta[e], self.on[e], self.logit[e], self.force[e] = theta, on, logit, force
+
+    def _refresh_all(self) -> None:
+        """Support and approximation of all unlabeled pairs anew; what does not depend on the curves is kept between rounds."""
+        active, n = self.curves["active"], len(self.ids)
+        if self.live is None or not np.array_equal(active, self.live[0]) or (self.label[self.live[4]] < 0).sum() < 0.97 * len(self.live[4]):
+            self.open = self.open[self.label[self.p[self.open]] < 0]
+            on = active[self.f[self.open]]
+            self.on[self.open] = on
+            e = self.open[on]
+            self.count = np.bincount(self.p[e], minlength=n).astype(float)
+            self.live = (active.copy(), e, self.f[e], self.x[e], self.p[e])
+        _, e, f, x, p = self.live
+        theta = self.theta_at(f, x)
+        t = np.minimum(theta, 1 - 1e-12)
+        logit, force = np.log(t / (1 - t)), theta * self.curves["tau"][f] * (x - self.curves["alpha"][f])
+        self.support, self.z = np.bincount(p, logit, n), np.bincount(p, force, n)
+        self.theta[e] = theta
+        if self.s.refresh:
+            self.logit[:], self.force[:] = 0.0, 0.0
+            self.logit[e], self.force[e] = logit, force
 
     def theta_at(self, f: np.ndarray, x: np.ndarray) -> np.ndarray:
-        t = I.confidence_np(self.curves, f, x, self.s)
+        t = self.central.along(self.lines, f, x)
         return (1 + t) / 2 if self.s.confidence_scale == "normalized" else t
 
-    def infer(self, target: int) -> float:
-        """Probability of one pair by a fit on its capped subgraph."""
-        e = np.arange(self.starts[target], self.starts[target + 1])
-        e = e[self.on[e]]
-        if not len(e):
-            return 0.5
-        stamp = hash((tuple(self.version[self.f[e]].tolist()),))
-        if target in self.known and self.known[target][0] == stamp:
-            return self.known[target][1]
-        feats = self.f[e]
-        rows, cols, xs, ev = [], [], [], []
-        for c, f in enumerate(feats.tolist()):
-            own = self.by_f[self.f_starts[f] : self.f_starts[f + 1]]
-            own = own[self.label[self.p[own]] >= 0]
-            b = self.bin[own]
-            o = np.argsort(b, kind="stable")  # keeps the hash order within an interval
-            own, b = own[o], b[o]
-            own = own[np.arange(len(b)) - np.searchsorted(b, b, side="left") < self.s.interval_cap]
-            ev.append(self.p[own])
-            cols.append(np.full(len(own), c))
-            xs.append(self.x[own])
-        pairs, rows = np.unique(np.concatenate(ev), return_inverse=True)
-        cols, xs = np.concatenate(cols), np.concatenate(xs)
-        theta = self.theta_at(feats[cols], xs)
-        lo, hi = self.curves["lo"][feats], self.curves["hi"][feats]
-        alpha, tau, _ = fit(rows, cols, theta, xs, self.label[pairs], lo, hi, self.s.tau_max, self.w)
-        self.fits += 1
-        z = float((self.theta[e] * tau * (self.x[e] - alpha)).sum())
-        p = 1 / (1 + np.exp(-np.clip(z, -700, 700)))
-        self.known[target] = (stamp, p)
-        return p
+    def infer(self, targets: list[int]) -> np.ndarray:
+        """Probabilities of pairs, each by a fit on its own capped subgraph. What the subgraphs share, which is most, is laid out once."""
+        out = np.full(len(targets), 0.5)
+        mine = {}
+        for j, t in enumerate(targets):
+            e = np.arange(self.starts[t], self.starts[t + 1])
+            e = e[self.on[e]]
+            if not len(e):
+                continue
+            stamp = hash(tuple(self.version[self.f[e]].tolist()))
+            if self.known.get(t, (None,))[0] == stamp:
+                out[j] = self.known[t][1]
+                continue
+            mine[j] = e
+            self.known[t] = (stamp, 0.5)
+        if not mine:
+            return out
+        feats = {j: self.f[e] for j, e in mine.items()}
+        each, held = np.unique(np.concatenate(list(feats.values())), return_counts=True)
+        common = each[held == len(feats)]
+        apart = {j: own[held[np.searchsorted(each, own)] < len(feats)] for j, own in feats.items()}
+        d = len(common)
+        parts = [self.evidence(f) for f in common.tolist()]
+        entries = np.concatenate([*parts, np.zeros(0, np.int64)])
+        column = np.repeat(np.arange(d), [len(x) for x in parts])
+        place = self.place
+        place[self.p[entries]] = 0
+        rows = np.nonzero(place == 0)[0]
+        place[rows] = np.arange(len(rows))
+        beyond = {j: [self.evidence(f) for f in own.tolist()] for j, own in apart.items()}
+        loose = np.concatenate([*(x for xs in beyond.values() for x in xs), np.zeros(0, np.int64)])
+        met = self.p[loose]
+        met = met[place[met] < 0]
+        place[met] = len(place)  # a mark beyond all places
+        more = np.nonzero(place == len(place))[0]
+        place[more] = len(rows) + np.arange(len(more))
+        pairs = np.concatenate([rows, more])
+        both = np.concatenate([entries, loose])
+        lo, hi = self.curves["lo"], self.curves["hi"]
+        f, x = self.f[both], self.x[both]
+        theta = self.theta_at(f, x)
+        a, b = theta * (x - lo[f]), theta * (x - hi[f])
+        shared = np.zeros((len(pairs), 2 * d))
+        where = place[self.p[entries]]
+        shared[where, column], shared[where, d + column] = a[: len(entries)], b[: len(entries)]
+        owns, at = [], len(entries)
+        for xs in beyond.values():
+            size = [len(x) for x in xs]
+            span = slice(at, at + sum(size))
+            at = span.stop
+            own_rows, back = np.unique(place[self.p[both[span]]], return_inverse=True)
+            col = np.repeat(np.arange(len(xs)), size)
+            columns = np.zeros((len(own_rows), 2 * len(xs)))
+            columns[back, col], columns[back, len(xs) + col] = a[span], b[span]
+            owns.append(Own(own_rows, columns))
+        place[pairs] = -1
+        layout = {j: [*common.tolist(), *own.tolist()] for j, own in apart.items()}
+        width = max(map(len, layout.values()))
+        start = np.zeros((len(layout), 2, width))
+        for r, (j, own) in enumerate(layout.items()):
+            was = self.last.get(targets[j], {})
+            start[r, :, : len(own)] = np.array([was.get(f) or self.near.get(f) or (0.5, 0.5) for f in own]).T
+        v, _ = fit_many(shared, len(rows), self.label[pairs], owns, self.s.tau_max, self.w, start)
+        self.fits += len(owns)
+        for r, (j, own) in enumerate(layout.items()):
+            ended = dict(zip(own, v[r, :, : len(own)].T.tolist(), strict=True))
+            self.last[targets[j]] = ended
+            self.near.update(ended)
+            e, k = mine[j], feats[j]
+            p, q = np.array([ended[f] for f in k.tolist()]).T
+            z = float((self.theta[e] * (p * (self.x[e] - lo[k]) + q * (self.x[e] - hi[k]))).sum())
+            out[j] = 1 / (1 + np.exp(-np.clip(z, -700, 700)))
+            self.known[targets[j]] = (self.known[targets[j]][0], out[j])
+        return out
 
-    def run(self, easy: dict[int, int]) -> list[tuple]:
-        s, log = self.s, []
+    def begin(self, easy: dict[int, int]) -> list[tuple]:
         at = np.searchsorted(self.ids, np.array(sorted(easy), dtype=np.int64))
         self.add(at, np.array([easy[i] for i in sorted(easy)], dtype=int))
-        log += [(int(self.ids[p]), int(self.label[p]), 0, None, None, float(self.label[p]), 0.0, False, False, True) for p in at.tolist()]
+        return [(int(self.ids[p]), int(self.label[p]), 0, None, None, float(self.label[p]), 0.0, False, False, True, 0) for p in at.tolist()]
+
+    def run(self, easy: dict[int, int]) -> list[tuple]:
+        s, log = self.s, self.begin(easy)
         self.refresh(all_=True)
         rounds = 0
         while True:
@@ -175,10 +260,14 @@ class Kernel:
                 left = np.concatenate([sure, tie[: s.m - len(sure)]])  # ids ascend, so ties go to the smaller
             p = 1 / (1 + np.exp(-np.clip(self.z[left], -700, 700)))
             h = np.round(I.entropy_np(p), 9)
-            top = np.lexsort((left, h))[: max(s.k, s.labels_per_round)]
+            most = max(s.k, s.labels_per_round)
+            near = np.nonzero(h <= np.partition(h, most - 1)[most - 1])[0] if len(h) > most else np.arange(len(h))
+            top = near[np.lexsort((left[near], h[near]))[:most]]
             cand, p_a = left[top], p[top]
-            fit_it = s.use_mle & (h[top] >= s.fit_above)
-            p_m = np.array([self.infer(c) if f else a for c, a, f in zip(cand.tolist(), p_a.tolist(), fit_it.tolist(), strict=True)])
+            p_m, before = p_a.copy(), self.fits
+            fit_it = np.nonzero(s.use_mle & (h[top] >= s.fit_above))[0]
+            if len(fit_it):
+                p_m[fit_it] = self.infer(cand[fit_it].tolist())
             h_m = np.round(I.entropy_np(p_m), 9)
             first = np.lexsort((cand, h_m))
             chosen = [j for r, j in enumerate(first[: s.labels_per_round].tolist()) if r == 0 or s.h_max is None or h_m[j] <= s.h_max]
@@ -191,22 +280,22 @@ class Kernel:
                     y = 0 if s.unsupported == "nonmatch" else int(self.sim[c] >= s.threshold)
                 labels.append(y)
                 sup = 1 / (1 + np.exp(-np.clip(self.support[c], -700, 700)))
-                log.append((int(self.ids[c]), y, rounds, float(sup), float(p_a[j]), float(p_m[j]), float(h_m[j]), bool((p_a[j] >= s.threshold) != (p_m[j] >= s.threshold)), bool(alone), False))
+                fits = self.fits - before if j == chosen[0] else 0
+                log.append((int(self.ids[c]), y, rounds, float(sup), float(p_a[j]), float(p_m[j]), float(h_m[j]), bool((p_a[j] >= s.threshold) != (p_m[j] >= s.threshold)), bool(alone), False, fits))
             self.add(cand[chosen], np.array(labels, dtype=int))
-            self.refresh(all_=s.refresh == 0)
+            self.refresh()
         for c in np.nonzero(self.label < 0)[0].tolist():  # what a limit of rounds has left is decided by the approximation
             p = float(1 / (1 + np.exp(-np.clip(self.z[c], -700, 700))))
-            log.append((int(self.ids[c]), int(p >= s.threshold), rounds + 1, None, p, p, float(I.entropy_np(np.array([p]))[0]), False, bool(self.count[c] == 0), False))
+            log.append((int(self.ids[c]), int(p >= s.threshold), rounds + 1, None, p, p, float(I.entropy_np(np.array([p]))[0]), False, bool(self.count[c] == 0), False, 0))
         return log
 
 
 def label_exact_np(kernel: Kernel, easy: dict[int, int], batch: int = 1) -> list[tuple]:
-    """The exact mode: one joint fit on all evidence per round, every unlabeled pair scored, the surest labeled."""
-    s, log, k = kernel.s, [], kernel
-    at = np.searchsorted(k.ids, np.array(sorted(easy), dtype=np.int64))
-    k.add(at, np.array([easy[i] for i in sorted(easy)], dtype=int))
-    log += [(int(k.ids[p]), int(k.label[p]), 0, None, None, float(k.label[p]), 0.0, False, False, True) for p in at.tolist()]
+    """The exact mode: one joint fit on all evidence per round, every unlabeled pair scored, the surest labeled. A fit starts where the last one ended."""
+    s, k = kernel.s, kernel
+    log = k.begin(easy)
     rounds = 0
+    ended = np.full((2, len(k.names)), 0.5)
     while (k.label < 0).any():
         k.refresh(all_=True)
         rounds += 1
@@ -216,15 +305,18 @@ def label_exact_np(kernel: Kernel, easy: dict[int, int], batch: int = 1) -> list
         pairs, row = np.unique(k.p[ev], return_inverse=True)
         alpha, tau = np.zeros(len(k.names)), np.zeros(len(k.names))
         if len(ev):
-            a, t, _ = fit(row, col, k.theta_at(k.f[ev], k.x[ev]), k.x[ev], k.label[pairs], k.curves["lo"][feats], k.curves["hi"][feats], s.tau_max, k.w, steps=100)
+            lo, hi = k.curves["lo"][feats], k.curves["hi"][feats]
+            a, t, _ = fit(row, col, k.theta_at(k.f[ev], k.x[ev]), k.x[ev], k.label[pairs], lo, hi, s.tau_max, k.w, start=ended[:, feats].ravel())
             alpha[feats], tau[feats] = a, t
-        z = np.bincount(k.p[on], k.theta[on] * tau[k.f[on]] * (k.x[on] - alpha[k.f[on]]), minlength=len(k.ids))
+            ended[0, feats], ended[1, feats] = t * (hi - a) / (hi - lo), t * (a - lo) / (hi - lo)
+        open_ = on[k.label[k.p[on]] < 0]
+        z = np.bincount(k.p[open_], k.theta[open_] * tau[k.f[open_]] * (k.x[open_] - alpha[k.f[open_]]), minlength=len(k.ids))
         left = np.nonzero(k.label < 0)[0]
         p = 1 / (1 + np.exp(-np.clip(z[left], -700, 700)))
         h = np.round(I.entropy_np(p), 9)
-        for j in np.lexsort((left, h))[:batch].tolist():
+        for r, j in enumerate(np.lexsort((left, h))[:batch].tolist()):
             y = int(p[j] >= s.threshold)
-            log.append((int(k.ids[left[j]]), y, rounds, None, None, float(p[j]), float(h[j]), False, bool(k.count[left[j]] == 0), False))
+            log.append((int(k.ids[left[j]]), y, rounds, None, None, float(p[j]), float(h[j]), False, bool(k.count[left[j]] == 0), False, int(r == 0 and len(ev) > 0)))
             k.add(left[[j]], np.array([y]))
     return log
 
@@ -245,7 +337,7 @@ def label_kernel(pairs: DataFrame, incidence: DataFrame, easy: DataFrame, settin
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         base = rows["feature_id"].isna().to_numpy()
         own, entries = rows[base], rows[~base]
-        if len(own) > (5000 if exact else max_pairs):
+        if len(own) > (50_000 if exact else max_pairs):
             raise ValueError(f"{len(own)} pairs in one shard; give a shard column or use label_rounds")
         k = Kernel(own["pair_id"].to_numpy(), own["x"].to_numpy(dtype=float), entries, settings)
         known = own[own["label"].notna()]
@@ -273,9 +365,12 @@ def fit_targets(sub: DataFrame, curves: DataFrame, weight: float, settings: Sett
         pairs, row = np.unique(g["pair_id"].to_numpy(), return_inverse=True)
         label = np.zeros(len(pairs), dtype=int)
         label[row] = g["label"].to_numpy()
-        alpha, tau, _ = fit(row, col, scale(raw(col, x)), x, label, curve["lo"], curve["hi"], settings.tau_max, weight)
+        theta, columns = scale(raw(col, x)), np.zeros((len(pairs), 2 * len(feats)))
+        columns[row, col], columns[row, len(feats) + col] = theta * (x - curve["lo"][col]), theta * (x - curve["hi"][col])
+        own = [Own(np.arange(len(pairs)), columns)]
+        v, _ = fit_many(np.zeros((len(pairs), 0)), 0, label, own, settings.tau_max, weight, np.full((1, 2, len(feats)), 0.5))
         tx = first["target_x"].to_numpy()
-        z = float((scale(raw(np.arange(len(feats)), tx)) * tau * (tx - alpha)).sum())
+        z = float((scale(raw(np.arange(len(feats)), tx)) * (v[0, 0] * (tx - curve["lo"]) + v[0, 1] * (tx - curve["hi"]))).sum())
         return pd.DataFrame({"target": [g["target"].iloc[0]], "p": [1 / (1 + np.exp(-np.clip(z, -700, 700)))]})
 
     return rows.groupBy("target").applyInPandas(run, "target long, p double")
@@ -290,7 +385,7 @@ def label_rounds(pairs: DataFrame, incidence: DataFrame, easy: DataFrame, settin
     pairs = cut(pairs.select("pair_id", "sim"), "pairs")
     one = F.lit(None).cast("double")
     log = cut(
-        easy.select("pair_id", F.col("label").cast("int").alias("label"), F.lit(0).alias("round"), one.alias("support"), one.alias("p_approx"), F.col("label").cast("double").alias("p"), F.lit(0.0).alias("h"), F.lit(False).alias("flipped"), F.lit(False).alias("unsupported"), F.lit(True).alias("easy")),
+        easy.select("pair_id", F.col("label").cast("int").alias("label"), F.lit(0).alias("round"), one.alias("support"), one.alias("p_approx"), F.col("label").cast("double").alias("p"), F.lit(0.0).alias("h"), F.lit(False).alias("flipped"), F.lit(False).alias("unsupported"), F.lit(True).alias("easy"), F.lit(0).alias("fits")),
         "round-0",
     )
     rounds = 0
@@ -311,10 +406,11 @@ def label_rounds(pairs: DataFrame, incidence: DataFrame, easy: DataFrame, settin
         top = cut(graph.top_certain(approx, max(s.k, s.labels_per_round)), "by-certainty")
         if s.use_mle:
             asked = top.where(F.round("h", 9) >= s.fit_above)
+            fits = asked.where("features > 0").count()
             p = fit_targets(graph.subgraph(incidence.join(curves.where("active").select("feature_id"), "feature_id", "left_semi"), labels, asked, s.interval_cap), curves, w, s)
             top = top.join(p, top["pair_id"] == p["target"], "left").withColumn("p", F.coalesce("p", "p_approx"))
         else:
-            top = top.withColumn("p", F.col("p_approx"))
+            top, fits = top.withColumn("p", F.col("p_approx")), 0
         top = top.withColumn("h", I.entropy(F.col("p"))).orderBy(F.round("h", 9), "pair_id").limit(s.labels_per_round)
         if s.h_max is not None and s.labels_per_round > 1:
             best = top.agg(F.min(F.struct(F.round("h", 9), "pair_id"))["pair_id"].alias("best"))
@@ -327,7 +423,7 @@ def label_rounds(pairs: DataFrame, incidence: DataFrame, easy: DataFrame, settin
             y = F.when(F.col("features") == 0, (F.col("sim") >= s.threshold).cast("int")).otherwise(y)
         new = top.select(
             "pair_id", y.alias("label"), F.lit(rounds).alias("round"), I.logistic(F.col("log_odds")).alias("support"), "p_approx", "p", "h",
-            ((F.col("p") >= s.threshold) != (F.col("p_approx") >= s.threshold)).alias("flipped"), (F.col("features") == 0).alias("unsupported"), F.lit(False).alias("easy"),
+            ((F.col("p") >= s.threshold) != (F.col("p_approx") >= s.threshold)).alias("flipped"), (F.col("features") == 0).alias("unsupported"), F.lit(False).alias("easy"), F.lit(fits).alias("fits"),
         )
         log = log.unionByName(cut(new, f"round-{rounds}"))
         if rounds % 10 == 0:

@@ -23,7 +23,7 @@ from ..settings import Settings
 from .planner import cut
 
 #: Many labels per round and fits only where the approximation is unsure: our form for larger runs.
-FAST = Settings(labels_per_round=10, k=10, fit_above=0.05)
+FAST = Settings(labels_per_round=10, k=10, fit_above=0.05, refresh=0.01)
 
 
 @dataclass

@@ -29,8 +29,8 @@ class Settings:
     h_max: float | None = None  # of further labels in one round
     max_rounds: int | None = None
     use_mle: bool = True
-    fit_above: float = 0.0  # fit only candidates whose approximate entropy is over this; 0: all
-    refresh: float = 0.01  # a feature is refreshed when its evidence has grown by this share; 0: always
+    fit_above: float = 0.0  # ours: fit only candidates whose approximate entropy is over this; 0: all, as the method asks
+    refresh: float = 0.0  # ours: a feature is refreshed when its evidence has grown by this share; 0: in every round
     unsupported: str = "match"  # pairs without an active feature: match, nonmatch or similarity
     seed: int = 42
 
