@@ -18,7 +18,7 @@ def main(sf_dir: str, *what: str) -> None:
     spark.sparkContext.setLogLevel("ERROR")
     tell = lambda name, df: [print(json.dumps({"experiment": name} | r.asDict()), flush=True) for r in df.collect()]
     if "comparison" in what:
-        tell("comparison", P.comparison(spark, sf_dir, ("W1b", "W1h", "W1v", "W2s"), runs=10))
+        tell("comparison", P.comparison(spark, sf_dir, ("W1b", "W1h", "W1v", "W2s")))
     if "sensitivity" in what:
         for name, values in (("easy_ratio", (0.3, 0.4, 0.5)), ("m", (500, 1000, 2000)), ("k", (1, 5, 10)), ("interval_cap", (50, 100, 200))):
             tell(name, P.sensitivity(spark, sf_dir, name, values, ("W1b", "W1h", "W1v", "W2s")))

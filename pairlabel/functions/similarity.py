@@ -138,6 +138,46 @@ def lcs_share(a: Column, b: Column) -> Column:
     return _ratio(lcs_tokens(a, b), F.least(F.size(a), F.size(b)))
 
 
+def lcs_run_value(a: np.ndarray, b: np.ndarray) -> int:
+    """Length of the longest run of consecutive tokens that both have; a row of the table at a time, so memory is that of the longer text."""
+    if len(a) > len(b):
+        a, b = b, a
+    both = set(a.tolist()) & set(b.tolist())
+    if not both:
+        return 0
+    code = {t: k for k, t in enumerate(both, 1)}
+    long = np.array([code.get(t, -1) for t in b.tolist()], dtype=np.int64)
+    places: dict[int, np.ndarray] = {}
+    row, best = np.zeros(len(long) + 1, dtype=np.int64), 0
+    touched = np.zeros(0, dtype=np.int64)
+    for t in a.tolist():
+        c = code.get(t)
+        if c is None:
+            row[touched] = 0
+            touched = touched[:0]
+            continue
+        if c not in places:
+            places[c] = np.nonzero(long == c)[0]
+        at = places[c]
+        runs = row[at] + 1
+        row[touched] = 0
+        row[at + 1] = runs
+        touched = at + 1
+        best = max(best, int(runs.max()))
+    return best
+
+
+@F.pandas_udf(T.DoubleType())
+def lcs_share_long(a: pd.Series, b: pd.Series) -> pd.Series:
+    """The longest common run over the shorter side's length, for long texts: work grows with the places at which tokens meet."""
+    empty = np.zeros(0, dtype=object)
+    out = []
+    for x, y in zip(a, b, strict=True):
+        x, y = (empty if v is None else np.asarray(v, dtype=object) for v in (x, y))
+        out.append(lcs_run_value(x, y) / min(len(x), len(y)) if len(x) and len(y) else 0.0)
+    return pd.Series(out, dtype=float)
+
+
 def weighted_similarity(parts: dict[str, float], drop_missing: bool = False) -> Column:
     """Weighted mean of the named columns; drop_missing leaves out nulls and their weights."""
     if not drop_missing:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.ml import Pipeline
 from pyspark.ml.classification import LinearSVC, MultilayerPerceptronClassifier
 from pyspark.ml.clustering import KMeans
@@ -106,3 +108,109 @@ def mlp_pairs(pairs: DataFrame, truth: DataFrame, train: float, valid: float = 0
         one = M.quality(test, truth).select(F.lit("mlp").alias("method"), F.lit(run).alias("run"), "precision", "recall", "f1")
         out = one if out is None else out.unionAll(one)
     return out
+
+
+# many runs at once: each run is one task, which suits workloads of some hundred thousand pairs
+
+
+def train_svm(x: np.ndarray, y: np.ndarray, regular: float = 1e-3, rounds: int = 25):
+    """A classifier (rows to 0 or 1): squared hinge with balanced classes on a quadratic expansion, by Newton steps."""
+    mean, scale = x.mean(0), x.std(0) + 1e-9
+    upper = np.triu_indices(x.shape[1])
+
+    def wide(x: np.ndarray) -> np.ndarray:
+        z = (x - mean) / scale
+        return np.column_stack([z, z[:, upper[0]] * z[:, upper[1]], np.ones(len(z))])
+
+    a, sign = wide(x), np.where(y > 0, 1.0, -1.0)
+    weight = np.where(y > 0, 0.5 / max(1, (y > 0).sum()), 0.5 / max(1, (y <= 0).sum()))
+    w = np.zeros(a.shape[1])
+    for _ in range(rounds):
+        gap = 1 - sign * (a @ w)
+        on = gap > 0
+        g = regular * w - a[on].T @ (weight[on] * sign[on] * gap[on])
+        h = (a[on] * weight[on][:, None]).T @ a[on] + regular * np.eye(len(w))
+        step = np.linalg.solve(h, g)
+        w = w - step
+        if np.abs(step).max() < 1e-9:
+            break
+    return lambda x: (wide(x) @ w >= 0).astype(int)
+
+
+def train_mlp(x: np.ndarray, y: np.ndarray, valid: tuple[np.ndarray, np.ndarray], layers: tuple[tuple[int, ...], ...] = ((16,), (32, 16)), epochs: int = 80, batch: int = 64, rate: float = 3e-3, seed: int = 42):
+    """A classifier (rows to 0 or 1): a perceptron with rectified layers and Adam steps; the validation part picks layers and epoch by F1."""
+    mean, scale = x.mean(0), x.std(0) + 1e-9
+    norm = lambda x: (x - mean) / scale
+    rng = np.random.default_rng(seed)
+
+    def forward(par, z):
+        kept = [z]
+        for k in range(0, len(par) - 2, 2):
+            z = np.maximum(z @ par[k] + par[k + 1], 0)
+            kept.append(z)
+        return kept, 1 / (1 + np.exp(-np.clip((z @ par[-2] + par[-1])[:, 0], -60, 60)))
+
+    def f1(par) -> float:
+        got, truth = forward(par, norm(valid[0]))[1] >= 0.5, valid[1] > 0
+        return 2 * (got & truth).sum() / max(1, got.sum() + truth.sum())
+
+    best = (-1.0, None)
+    data = norm(x)
+    for hidden in layers:
+        sizes = [x.shape[1], *hidden, 1]
+        par = [p for a, b in zip(sizes, sizes[1:], strict=False) for p in (rng.normal(0, np.sqrt(2 / a), (a, b)), np.zeros(b))]
+        m1, m2, t = [np.zeros_like(p) for p in par], [np.zeros_like(p) for p in par], 0
+        for epoch in range(epochs):
+            order = rng.permutation(len(data))
+            for at in range(0, len(order), batch):
+                own = order[at : at + batch]
+                kept, p = forward(par, data[own])
+                d = ((p - y[own]) / len(own))[:, None]
+                grads = []
+                for k in range(len(par) - 2, -1, -2):
+                    z = kept[k // 2]
+                    grads = [z.T @ d, d.sum(0), *grads]
+                    d = (d @ par[k].T) * (z > 0)
+                t += 1
+                for k, g in enumerate(grads):
+                    m1[k] = 0.9 * m1[k] + 0.1 * g
+                    m2[k] = 0.999 * m2[k] + 0.001 * g * g
+                    par[k] = par[k] - rate * (m1[k] / (1 - 0.9**t)) / (np.sqrt(m2[k] / (1 - 0.999**t)) + 1e-8)
+            if epoch % 4 == 3 and (score := f1(par)) > best[0]:
+                best = (score, [p.copy() for p in par])
+    return lambda x: (forward(best[1], norm(x))[1] >= 0.5).astype(int)
+
+
+def supervised_runs(pairs: DataFrame, truth: DataFrame, method: str, shares: tuple[float, ...] = (0.1, 0.2, 0.3), runs: int = 10, valid: float = 0.05, cols: tuple[str, ...] = PARTS, dims: int = 24, max_pairs: int = 500_000) -> DataFrame:
+    """method, share, run, precision, recall, f1 of svm or mlp on what was not used for training; all runs at all shares in one job, a task each.
+
+    mlp also sees hashed title vectors (their difference and product), and of its share ``valid`` validates. Larger workloads: svm_pairs, mlp_pairs.
+    """
+    if (n := pairs.count()) > max_pairs:
+        raise ValueError(f"{n} pairs exceed {max_pairs}; use svm_pairs or mlp_pairs")
+    x = F.array(*cols)
+    if method == "mlp":
+        slots = lambda c: F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda k: F.size(F.filter(F.col(c), lambda t: F.pmod(F.xxhash64(t), F.lit(dims)) == k)) / F.greatest(F.size(c), F.lit(1)))
+        a, b = slots("title_a"), slots("title_b")
+        x = F.concat(x, F.zip_with(a, b, lambda p, q: F.abs(p - q)), F.zip_with(a, b, lambda p, q: p * q))
+    data = cut(pairs.select("pair_id", x.alias("x")).join(truth, "pair_id"), "supervised")
+    tasks = F.explode(F.array(*[F.struct(F.lit(s).alias("share"), F.lit(r).alias("run")) for s in shares for r in range(runs)]))
+    rows = data.select("pair_id", "x", "truth", tasks.alias("t")).select("x", "truth", "t.share", "t.run", (F.pmod(F.xxhash64("pair_id", F.col("t.run")), F.lit(1_000_000)) / 1e6).alias("u"))
+
+    def one(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values("u", kind="stable")
+        share, run = float(rows["share"].iloc[0]), int(rows["run"].iloc[0])
+        x, y, u = np.array(rows["x"].tolist(), dtype=float), rows["truth"].to_numpy(), rows["u"].to_numpy()
+        held = valid if method == "mlp" else 0.0
+        train, check, test = u < share - held, (u >= share - held) & (u < share), u >= share
+        if len(set(y[train].tolist())) < 2:
+            got = np.full(test.sum(), int(y[train].mean() >= 0.5) if train.any() else 0)
+        elif method == "svm":
+            got = train_svm(x[train], y[train])(x[test])
+        else:
+            got = train_mlp(x[train], y[train], (x[check], y[check]), seed=42 + run)(x[test])
+        tp = float((got & y[test]).sum())
+        p, r = tp / max(1, got.sum()), tp / max(1, y[test].sum())
+        return pd.DataFrame({"method": [method], "share": [share], "run": [run], "precision": [p], "recall": [r], "f1": [2 * p * r / (p + r) if p + r else 0.0]})
+
+    return rows.groupBy("share", "run").applyInPandas(one, "method string, share double, run int, precision double, recall double, f1 double")

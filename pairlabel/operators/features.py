@@ -25,10 +25,18 @@ def attr_features(pairs: DataFrame, attrs: tuple[str, ...] = PARTS) -> DataFrame
     return rows.select("pair_id", F.lit("attr").alias("family"), "attr", F.lit("").alias("token"), "x")
 
 
+def title_metrics() -> dict[str, Column]:
+    """Metrics that a short attribute can have besides the set similarity: Jaro-Winkler, edit, and the mean of set and edit similarity."""
+    a, b = F.col("title_a"), F.col("title_b")
+    whole_a, whole_b = F.array_join(a, " "), F.array_join(b, " ")
+    return {"jw_title": S.jaro_winkler(whole_a, whole_b), "edit_title": S.edit_sim(whole_a, whole_b), "hybrid_title": S.hybrid(a, b)}
+
+
 def lcs_features(pairs: DataFrame, attrs: tuple[str, ...] = ("title",)) -> DataFrame:
+    """Of an attribute other than the title, which may be very long, in Arrow batches."""
     out = None
     for a in attrs:
-        x = S.lcs_share(F.col(f"{a}_a"), F.col(f"{a}_b"))
+        x = (S.lcs_share if a == "title" else S.lcs_share_long)(F.col(f"{a}_a"), F.col(f"{a}_b"))
         one = pairs.select("pair_id", F.lit("lcs").alias("family"), F.lit(a).alias("attr"), F.lit("").alias("token"), x.alias("x"))
         out = one if out is None else out.unionAll(one)
     return out
@@ -66,13 +74,22 @@ def informative(incidence: DataFrame, labels: DataFrame) -> DataFrame:
     return incidence.join(kept.select("feature_id"), "feature_id", "left_semi")
 
 
-def incidence(pairs: DataFrame, records: DataFrame, idf_min: float = 3.0, df_min: int = 2, scope: str = "attr", token_attrs: tuple[str, ...] = ("title",)) -> DataFrame:
-    """pair_id, feature_id, family, attr, token, x. scope: a token counts per attribute or over the whole record."""
-    out = attr_features(pairs).unionByName(lcs_features(pairs))
-    for a in token_attrs:
+def incidence(pairs: DataFrame, records: DataFrame, idf_min: float = 3.0, df_min: int = 2, scope: str = "attr", token_attrs: tuple[str, ...] = ("title",), lcs_attrs: tuple[str, ...] = ("title",), same_attrs: tuple[str, ...] = (), metrics: tuple[str, ...] = ()) -> DataFrame:
+    """pair_id, feature_id, family, attr, token, x.
+
+    scope: a token counts per attribute or over the whole record; token_attrs: attributes with shared and unshared tokens;
+    same_attrs: with shared ones alone, for long texts, which differ in hundreds; metrics: names of title_metrics.
+    Bodies are needed (with_bodies) where an attribute is the body.
+    """
+    of_title = title_metrics()
+    extra = pairs.withColumns({m: of_title[m] for m in metrics}) if metrics else pairs
+    out = attr_features(extra, (*PARTS, *metrics)).unionByName(lcs_features(pairs, lcs_attrs))
+    for a in (*token_attrs, *same_attrs):
         rare = discriminating_tokens(records, idf_min, df_min, a).select("token")
-        both = same_token_features(pairs, a).unionByName(diff_token_features(pairs, a)).join(rare, "token", "left_semi")
-        out = out.unionByName(both)
+        both = same_token_features(pairs, a)
+        if a in token_attrs:
+            both = both.unionByName(diff_token_features(pairs, a))
+        out = out.unionByName(both.join(rare, "token", "left_semi"))
     if scope == "record":
         out = out.withColumn("attr", F.when(F.col("family").isin("same", "diff"), F.lit("record")).otherwise(F.col("attr")))
         out = out.groupBy("pair_id", "family", "attr", "token").agg(F.max("x").alias("x"))

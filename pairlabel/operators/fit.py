@@ -93,7 +93,7 @@ class Own:
     columns: np.ndarray
 
 
-def fit_many(shared: np.ndarray, n_shared: int, label: np.ndarray, owns: list[Own], top: float, match_weight: float, start: np.ndarray, ridge: float = 1e-6, tol: float = 1e-8, rounds: int = 60) -> tuple[np.ndarray, np.ndarray]:
+def fit_many(shared: np.ndarray, n_shared: int, label: np.ndarray, owns: list[Own], top: float, match_weight: float, start: np.ndarray, ridge: float = 1e-6, tol: float = 1e-7, rounds: int = 60) -> tuple[np.ndarray, np.ndarray]:
     """p and q (targets x 2 x features: the shared ones first) of each target, and the norms of their projected gradients.
 
     shared: rows x 2d, p columns before q columns, nil beyond the first n_shared rows; these rows count for all targets, further ones for those that own them.

@@ -26,6 +26,11 @@ def feature_stats(incidence: DataFrame, labels: DataFrame) -> DataFrame:
     )
 
 
+def add_stats(stats: DataFrame, more: DataFrame) -> DataFrame:
+    """The sums of both: statistics are additive, so new evidence never needs the old evidence's entries."""
+    return stats.unionByName(more).groupBy("feature_id").agg(*[F.sum(c).alias(c) for c in ("n0", "s0", "q0", "n1", "s1", "q1")])
+
+
 def fit_curves(stats: DataFrame, weight: DataFrame, settings: Settings) -> DataFrame:
     """feature_id, tau, alpha, sigma, xbar, dev, nobs, active, lo, hi; weight is the one row of class_weight."""
     rows = stats.join(F.broadcast(weight.select("w")))

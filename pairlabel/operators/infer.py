@@ -29,6 +29,55 @@ def _cap_order(ids: np.ndarray) -> np.ndarray:
     return np.array([i * 48271 % _HASH_MOD for i in ids.tolist()])
 
 
+def fit_together(feats, evidence, p, f, x, label, lo, hi, theta_at, tau_max, weight, known, near, place) -> list[dict[int, tuple[float, float]]]:
+    """Fits of several targets, each on its own capped subgraph; what these share, which is most, is laid out once. Per target: p and q of each of its features.
+
+    feats: features of each target; evidence: of a feature the numbers of its capped entries, whose pair, feature and value are p, f, x; label: of pairs;
+    known, near: where the fits of this target, and of any target, ended last; place: room of a number per pair, all -1, which is left so.
+    """
+    each, held = np.unique(np.concatenate(feats), return_counts=True)
+    common = each[held == len(feats)]
+    apart = [own[held[np.searchsorted(each, own)] < len(feats)] for own in feats]
+    d = len(common)
+    parts = [evidence(k) for k in common.tolist()]
+    entries = np.concatenate([*parts, np.zeros(0, np.int64)])
+    column = np.repeat(np.arange(d), [len(e) for e in parts])
+    place[p[entries]] = 0
+    rows = np.nonzero(place == 0)[0]
+    place[rows] = np.arange(len(rows))
+    further = [[evidence(k) for k in own.tolist()] for own in apart]
+    loose = np.concatenate([*(e for es in further for e in es), np.zeros(0, np.int64)])
+    met = p[loose]
+    met = met[place[met] < 0]
+    place[met] = len(place)  # a mark beyond all places
+    more = np.nonzero(place == len(place))[0]
+    place[more] = len(rows) + np.arange(len(more))
+    pairs, both = np.concatenate([rows, more]), np.concatenate([entries, loose])
+    of, at_x = f[both], x[both]
+    theta = theta_at(of, at_x)
+    a, b = theta * (at_x - lo[of]), theta * (at_x - hi[of])
+    shared = np.zeros((len(pairs), 2 * d))
+    where = place[p[entries]]
+    shared[where, column], shared[where, d + column] = a[: len(entries)], b[: len(entries)]
+    owns, at = [], len(entries)
+    for es in further:
+        size = [len(e) for e in es]
+        span = slice(at, at + sum(size))
+        at = span.stop
+        own_rows, back = np.unique(place[p[both[span]]], return_inverse=True)
+        col = np.repeat(np.arange(len(es)), size)
+        columns = np.zeros((len(own_rows), 2 * len(es)))
+        columns[back, col], columns[back, len(es) + col] = a[span], b[span]
+        owns.append(Own(own_rows, columns))
+    place[pairs] = -1
+    layout = [[*common.tolist(), *own.tolist()] for own in apart]
+    start = np.zeros((len(layout), 2, max(map(len, layout))))
+    for r, (own, was) in enumerate(zip(layout, known, strict=True)):
+        start[r, :, : len(own)] = np.array([was.get(k) or near.get(k) or (0.5, 0.5) for k in own]).T
+    v, _ = fit_many(shared, len(rows), label[pairs], owns, tau_max, weight, start)
+    return [dict(zip(own, v[r, :, : len(own)].T.tolist(), strict=True)) for r, own in enumerate(layout)]
+
+
 class Kernel:
     """State of one workload: pairs, incidence in both directions, statistics, capped evidence, and what each entry adds to its pair."""
 
@@ -181,59 +230,15 @@ class Kernel:
             self.known[t] = (stamp, 0.5)
         if not mine:
             return out
-        feats = {j: self.f[e] for j, e in mine.items()}
-        each, held = np.unique(np.concatenate(list(feats.values())), return_counts=True)
-        common = each[held == len(feats)]
-        apart = {j: own[held[np.searchsorted(each, own)] < len(feats)] for j, own in feats.items()}
-        d = len(common)
-        parts = [self.evidence(f) for f in common.tolist()]
-        entries = np.concatenate([*parts, np.zeros(0, np.int64)])
-        column = np.repeat(np.arange(d), [len(x) for x in parts])
-        place = self.place
-        place[self.p[entries]] = 0
-        rows = np.nonzero(place == 0)[0]
-        place[rows] = np.arange(len(rows))
-        beyond = {j: [self.evidence(f) for f in own.tolist()] for j, own in apart.items()}
-        loose = np.concatenate([*(x for xs in beyond.values() for x in xs), np.zeros(0, np.int64)])
-        met = self.p[loose]
-        met = met[place[met] < 0]
-        place[met] = len(place)  # a mark beyond all places
-        more = np.nonzero(place == len(place))[0]
-        place[more] = len(rows) + np.arange(len(more))
-        pairs = np.concatenate([rows, more])
-        both = np.concatenate([entries, loose])
+        feats = [self.f[e] for e in mine.values()]
+        known = [self.last.get(targets[j], {}) for j in mine]
         lo, hi = self.curves["lo"], self.curves["hi"]
-        f, x = self.f[both], self.x[both]
-        theta = self.theta_at(f, x)
-        a, b = theta * (x - lo[f]), theta * (x - hi[f])
-        shared = np.zeros((len(pairs), 2 * d))
-        where = place[self.p[entries]]
-        shared[where, column], shared[where, d + column] = a[: len(entries)], b[: len(entries)]
-        owns, at = [], len(entries)
-        for xs in beyond.values():
-            size = [len(x) for x in xs]
-            span = slice(at, at + sum(size))
-            at = span.stop
-            own_rows, back = np.unique(place[self.p[both[span]]], return_inverse=True)
-            col = np.repeat(np.arange(len(xs)), size)
-            columns = np.zeros((len(own_rows), 2 * len(xs)))
-            columns[back, col], columns[back, len(xs) + col] = a[span], b[span]
-            owns.append(Own(own_rows, columns))
-        place[pairs] = -1
-        layout = {j: [*common.tolist(), *own.tolist()] for j, own in apart.items()}
-        width = max(map(len, layout.values()))
-        start = np.zeros((len(layout), 2, width))
-        for r, (j, own) in enumerate(layout.items()):
-            was = self.last.get(targets[j], {})
-            start[r, :, : len(own)] = np.array([was.get(f) or self.near.get(f) or (0.5, 0.5) for f in own]).T
-        v, _ = fit_many(shared, len(rows), self.label[pairs], owns, self.s.tau_max, self.w, start)
-        self.fits += len(owns)
-        for r, (j, own) in enumerate(layout.items()):
-            ended = dict(zip(own, v[r, :, : len(own)].T.tolist(), strict=True))
-            self.last[targets[j]] = ended
-            self.near.update(ended)
-            e, k = mine[j], feats[j]
-            p, q = np.array([ended[f] for f in k.tolist()]).T
+        ended = fit_together(feats, self.evidence, self.p, self.f, self.x, self.label, lo, hi, self.theta_at, self.s.tau_max, self.w, known, self.near, self.place)
+        self.fits += len(feats)
+        for (j, e), k, end in zip(mine.items(), feats, ended, strict=True):
+            self.last[targets[j]] = end
+            self.near.update(end)
+            p, q = np.array([end[f] for f in k.tolist()]).T
             z = float((self.theta[e] * (p * (self.x[e] - lo[k]) + q * (self.x[e] - hi[k]))).sum())
             out[j] = 1 / (1 + np.exp(-np.clip(z, -700, 700)))
             self.known[targets[j]] = (self.known[targets[j]][0], out[j])
@@ -351,29 +356,48 @@ def label_kernel(pairs: DataFrame, incidence: DataFrame, easy: DataFrame, settin
     return _one_table(pairs, incidence, easy, shard).groupBy("shard").applyInPandas(run, LOG)
 
 
-def fit_targets(sub: DataFrame, curves: DataFrame, weight: float, settings: Settings) -> DataFrame:
-    """target, p of each subgraph, fitted in its own group: rows are bounded by the cap."""
-    rows = sub.join(curves.where("active"), "feature_id")
+def fit_targets(asked: DataFrame, evidence: DataFrame, curves: DataFrame, weight: float, settings: Settings, batch: int = 16, n_targets: int | None = None) -> DataFrame:
+    """target, p: each target fitted on its capped subgraph. Targets go in batches of about ``batch``; a batch's evidence is sent once, though its targets share most of it.
 
-    def run(g: pd.DataFrame) -> pd.DataFrame:
-        feats, col = np.unique(g["feature_id"].to_numpy(), return_inverse=True)
-        first = g.drop_duplicates("feature_id").set_index("feature_id").loc[feats]
+    asked: target, feature_id, target_x; evidence: feature_id, pair_id, x, label, capped. A batch's memory is bounded by the cap and the features of its targets.
+    """
+    from ..plans.planner import cut
+
+    asked = asked.join(curves.where("active"), "feature_id")
+    n = n_targets if n_targets is not None else asked.select("target").distinct().count()
+    batches = max(1, -(-n // batch))
+    asked = cut(asked.withColumn("batch", F.pmod(F.xxhash64("target"), F.lit(batches)).cast("int")), "asked")
+    needed = asked.select(F.col("batch").alias("part"), F.col("feature_id").alias("_f")).distinct()
+    sent = evidence.select("feature_id", "pair_id", "x", "label").join(needed, F.col("feature_id") == F.col("_f")).drop("_f")
+
+    def run(own: pd.DataFrame, rows: pd.DataFrame) -> pd.DataFrame:
+        if own.empty:
+            return pd.DataFrame({"target": [], "p": []})
+        names, own_f = np.unique(own["feature_id"].to_numpy(), return_inverse=True)
+        first = own.drop_duplicates("feature_id").set_index("feature_id").loc[names]
         curve = {c: first[c].to_numpy() for c in ("tau", "alpha", "sigma", "xbar", "dev", "nobs", "active", "lo", "hi")}
-        x = g["x"].to_numpy()
-        raw = lambda f, v: I.confidence_np(curve, f, v, settings)
         scale = (lambda t: (1 + t) / 2) if settings.confidence_scale == "normalized" else (lambda t: t)
-        pairs, row = np.unique(g["pair_id"].to_numpy(), return_inverse=True)
+        theta_at = lambda f, x: scale(I.confidence_np(curve, f, x, settings))
+        rows = rows.sort_values(["feature_id", "pair_id"])
+        f, x = np.searchsorted(names, rows["feature_id"].to_numpy()), rows["x"].to_numpy(dtype=float)
+        pairs, p = np.unique(rows["pair_id"].to_numpy(), return_inverse=True)
         label = np.zeros(len(pairs), dtype=int)
-        label[row] = g["label"].to_numpy()
-        theta, columns = scale(raw(col, x)), np.zeros((len(pairs), 2 * len(feats)))
-        columns[row, col], columns[row, len(feats) + col] = theta * (x - curve["lo"][col]), theta * (x - curve["hi"][col])
-        own = [Own(np.arange(len(pairs)), columns)]
-        v, _ = fit_many(np.zeros((len(pairs), 0)), 0, label, own, settings.tau_max, weight, np.full((1, 2, len(feats)), 0.5))
-        tx = first["target_x"].to_numpy()
-        z = float((scale(raw(np.arange(len(feats)), tx)) * (v[0, 0] * (tx - curve["lo"]) + v[0, 1] * (tx - curve["hi"]))).sum())
-        return pd.DataFrame({"target": [g["target"].iloc[0]], "p": [1 / (1 + np.exp(-np.clip(z, -700, 700)))]})
-
-    return rows.groupBy("target").applyInPandas(run, "target long, p double")
+        label[p] = rows["label"].to_numpy()
+        spans = np.searchsorted(f, np.arange(len(names) + 1))
+        targets, at = np.unique(own["target"].to_numpy(), return_inverse=True)
+        order = np.lexsort((own_f, at))
+        cuts = np.searchsorted(at[order], np.arange(len(targets) + 1))
+        mine = [order[s:e] for s, e in zip(cuts, cuts[1:], strict=False)]
+        feats = [own_f[m] for m in mine]
+        ended = fit_together(feats, lambda k: np.arange(spans[k], spans[k + 1]), p, f, x, label, curve["lo"], curve["hi"], theta_at, settings.tau_max, weight, [{}] * len(feats), {}, np.full(len(pairs), -1))
+        out, tx = [], own["target_x"].to_numpy(dtype=float)
+        for m, k, end in zip(mine, feats, ended, strict=True):
+            v = np.array([end[c] for c in k.tolist()])
+            z = float((theta_at(k, tx[m]) * (v[:, 0] * (tx[m] - curve["lo"][k]) + v[:, 1] * (tx[m] - curve["hi"][k]))).sum())
+            out.append(1 / (1 + np.exp(-np.clip(z, -700, 700))))
+        return pd.DataFrame({"target": targets, "p": out})
+
+    return asked.groupBy("batch").cogroup(sent.groupBy("part")).applyInPandas(run, "target long, p double")
 
 
 def label_rounds(pairs: DataFrame, incidence: DataFrame, easy: DataFrame, settings: Settings = Settings()) -> DataFrame:
@@ -389,6 +413,7 @@ def label_rounds(pairs: DataFrame, incidence: DataFrame, easy: DataFrame, settin
         "round-0",
     )
     rounds = 0
+    stats = cut(graph.feature_stats(incidence, log), "stats")
     while True:
         labels = log.select("pair_id", "label")
         left = pairs.join(labels, "pair_id", "left_anti")
@@ -397,7 +422,7 @@ def label_rounds(pairs: DataFrame, incidence: DataFrame, easy: DataFrame, settin
         rounds += 1
         weight = cut(graph.class_weight(labels), "weight")
         w = weight.first()["w"] if s.class_weight else 1.0
-        curves = cut(graph.fit_curves(graph.feature_stats(incidence, labels), weight, s), "curves")
+        curves = cut(graph.fit_curves(stats, weight, s), "curves")
         entries = graph.with_confidence(incidence.join(left.select("pair_id"), "pair_id", "left_semi"), curves, s)
         sup = left.select("pair_id").join(graph.support(entries, s), "pair_id", "left").select("pair_id", F.coalesce("log_odds", F.lit(0.0)).alias("log_odds"), F.coalesce("features", F.lit(0)).alias("features"))
         cand = cut(graph.top_support(sup, s.m), "by-support")
@@ -407,7 +432,8 @@ def label_rounds(pairs: DataFrame, incidence: DataFrame, easy: DataFrame, settin
         if s.use_mle:
             asked = top.where(F.round("h", 9) >= s.fit_above)
             fits = asked.where("features > 0").count()
-            p = fit_targets(graph.subgraph(incidence.join(curves.where("active").select("feature_id"), "feature_id", "left_semi"), labels, asked, s.interval_cap), curves, w, s)
+            own = graph.own_features(incidence, asked)
+            p = fit_targets(own, graph.capped(graph.evidence_of(incidence, labels, asked), s.interval_cap, 8), curves, w, s, n_targets=max(s.k, s.labels_per_round))
             top = top.join(p, top["pair_id"] == p["target"], "left").withColumn("p", F.coalesce("p", "p_approx"))
         else:
             top, fits = top.withColumn("p", F.col("p_approx")), 0
@@ -425,7 +451,9 @@ def label_rounds(pairs: DataFrame, incidence: DataFrame, easy: DataFrame, settin
             "pair_id", y.alias("label"), F.lit(rounds).alias("round"), I.logistic(F.col("log_odds")).alias("support"), "p_approx", "p", "h",
             ((F.col("p") >= s.threshold) != (F.col("p_approx") >= s.threshold)).alias("flipped"), (F.col("features") == 0).alias("unsupported"), F.lit(False).alias("easy"), F.lit(fits).alias("fits"),
         )
-        log = log.unionByName(cut(new, f"round-{rounds}"))
+        new = cut(new, f"round-{rounds}")
+        stats = cut(graph.add_stats(stats, graph.feature_stats(incidence, F.broadcast(new.select("pair_id", "label")))), "stats")  # at most labels_per_round rows
+        log = log.unionByName(new)
         if rounds % 10 == 0:
             log = cut(log, "log")
     return log

@@ -7,43 +7,45 @@ from pyspark.sql import functions as F
 
 from ..functions import similarity as S
 
-TITLE, PREFIX = 12, 42
-PAIR_BASE = 1 << 31  # pair_id = id_a * PAIR_BASE + id_b, so ids lie below it
+TITLE = 12
+PAIR_BASE = 1 << 31
 
 
 def pair_id(a: Column, b: Column) -> Column:
-    return a * F.lit(PAIR_BASE) + b
+    """a * PAIR_BASE + b where both ids lie in [0, PAIR_BASE); else a negative number from their 64-bit hash (two of 10^8 such pairs agree with a chance of 1 in 1,800)."""
+    small = (a >= 0) & (b >= 0) & (a < PAIR_BASE) & (b < PAIR_BASE)
+    return F.when(small, a * F.lit(PAIR_BASE) + b).otherwise(F.xxhash64(a, b).bitwiseOR(F.lit(-(1 << 63))))
 
 
-def document_records(docs: DataFrame) -> DataFrame:
-    """rec_id, title, body (token arrays), source, n_chars, all tokens of the prefix."""
-    t = F.slice(S.tokens(F.col("text")), 1, PREFIX)
-    rows = docs.select(F.col("doc_id").alias("rec_id"), t.alias("prefix"), "source", F.col("n_chars").cast("double").alias("n_chars"))
-    return _split(rows)
+def beyond(tokens: str | Column, n: int) -> Column:
+    """The tokens behind the first n."""
+    return F.slice(tokens, n + 1, F.greatest(F.size(tokens) - n, F.lit(0)))
 
 
-def _split(rows: DataFrame) -> DataFrame:
-    return rows.select("rec_id", F.slice("prefix", 1, TITLE).alias("title"), F.slice("prefix", TITLE + 1, PREFIX - TITLE).alias("body"), "source", "n_chars", "prefix")
+def document_records(docs: DataFrame) -> DataFrame:
+    """rec_id, title (the first tokens), body (all others), source, n_chars, words (all tokens of the text)."""
+    rows = docs.select(F.col("doc_id").alias("rec_id"), S.tokens(F.col("text")).alias("words"), "source", F.col("n_chars").cast("double").alias("n_chars"))
+    return rows.select("rec_id", F.slice("words", 1, TITLE).alias("title"), beyond("words", TITLE).alias("body"), "source", "n_chars", "words")
 
 
 def corrupt(records: DataFrame) -> DataFrame:
     """Deterministic dirty twin, by index arithmetic alone: tokens are lost or lose a letter, sources and lengths drift."""
     r = F.col("rec_id")
     kept = F.transform(
-        "prefix",
+        "words",
         lambda x, i: F.when((r * 7919 + i * 104729 + r * i * 31) % 100 < 5 + (r * 31) % 60, F.lit(None).cast("string"))
         .when(((r * 13 + i * 17) % 10 == 0) & (F.length(x) > 3), F.concat(F.substring(x, 1, 1), x.substr(F.lit(3), F.length(x))))
         .otherwise(x),
     )
     rows = records.withColumn("kept", kept)
-    part = lambda a, n: F.filter(F.slice("kept", a, n), lambda x: x.isNotNull())
+    left = lambda c: F.filter(c, lambda x: x.isNotNull())
     return rows.select(
         "rec_id",
-        part(1, TITLE).alias("title"),
-        part(TITLE + 1, PREFIX - TITLE).alias("body"),
+        left(F.slice("kept", 1, TITLE)).alias("title"),
+        left(beyond("kept", TITLE)).alias("body"),
         F.when(r % 4 == 0, F.concat(F.lit("src"), (r % 20).cast("string"))).otherwise(F.col("source")).alias("source"),
         (F.col("n_chars") * (1 + (r % 7 - 3) / F.lit(50.0))).alias("n_chars"),
-        F.filter("kept", lambda x: x.isNotNull()).alias("prefix"),
+        left(F.col("kept")).alias("words"),
     )
 
 
@@ -91,12 +93,26 @@ def block_sorted(records: DataFrame, key: Column, window: int, buckets: int = 64
     return ahead.join(at.withColumnRenamed("rec_id", "id_b"), "at").select(F.least("id_a", "id_b").alias("id_a"), F.greatest("id_a", "id_b").alias("id_b"))
 
 
+MINHASH_PRIME = 4294967291
+
+
+def minhash_step(s: int) -> tuple[int, int]:
+    """Factor and addend of the s-th hash of a token's 32 leading MD5 bits."""
+    return ((s + 1) * 630360016 + 12345) % (1 << 30) | 1, (s + 7) * 1101513973 % (1 << 31)
+
+
 def block_minhash(left: DataFrame, right: DataFrame, tokens_col: str = "title", bands: int = 16, rows: int = 2) -> DataFrame:
     """Pairs that agree in one band of minimum hashes."""
 
     def banded(records: DataFrame, name: str) -> DataFrame:
-        hashes = F.array(*[F.xxhash64(*[F.array_min(F.transform(tokens_col, lambda t, s=b * rows + k: F.xxhash64(t, F.lit(s)))) for k in range(rows)]) for b in range(bands)])
-        return records.where(F.size(tokens_col) > 0).select(F.col("rec_id").alias(name), F.posexplode(hashes).alias("band", "h"))
+        def least(s: int) -> Column:
+            a, b = minhash_step(s)
+            return F.array_min(F.transform("codes", lambda c: (c * a + b) % MINHASH_PRIME))
+
+        codes = F.transform(tokens_col, lambda t: F.conv(F.substring(F.md5(t), 1, 8), 16, 10).cast("bigint"))
+        hashes = F.array(*[F.array(*[least(b * rows + k) for k in range(rows)]) for b in range(bands)])
+        coded = records.where(F.size(tokens_col) > 0).select(F.col("rec_id").alias(name), codes.alias("codes"))
+        return coded.select(name, F.posexplode(hashes).alias("band", "h"))
 
     return banded(left, "id_a").join(banded(right, "id_b"), ["band", "h"]).select("id_a", "id_b").distinct()
 
@@ -121,7 +137,7 @@ def attribute_weights(*tables: DataFrame, approximate: bool = False) -> dict[str
 
 
 def compare(blocked: DataFrame, left: DataFrame, right: DataFrame, source: str = "exact") -> DataFrame:
-    """Attribute similarities of candidate pairs; keeps both records' tokens for the features."""
+    """Attribute similarities of candidate pairs over whole texts; keeps both titles for the features. Bodies are joined again by with_bodies where a feature needs them."""
     side = lambda t, s: t.select(F.col("rec_id").alias(f"id_{s}"), *[F.col(c).alias(f"{c}_{s}") for c in ("title", "body", "source", "n_chars")])
     rows = blocked.select("id_a", "id_b").join(side(left, "a"), "id_a").join(side(right, "b"), "id_b")
     same = S.exact_sim(F.col("source_a"), F.col("source_b")) if source == "exact" else S.jaro_winkler("source_a", "source_b")
@@ -131,10 +147,15 @@ def compare(blocked: DataFrame, left: DataFrame, right: DataFrame, source: str =
         S.jaccard(F.col("body_a"), F.col("body_b")).alias("sim_body"),
         same.alias("sim_source"),
         S.number_sim(F.col("n_chars_a"), F.col("n_chars_b")).alias("sim_num"),
-        "title_a", "title_b", "body_a", "body_b",
+        "title_a", "title_b",
     )
 
 
+def with_bodies(pairs: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
+    side = lambda t, s: t.select(F.col("rec_id").alias(f"id_{s}"), F.col("body").alias(f"body_{s}"))
+    return pairs.join(side(left, "a"), "id_a").join(side(right, "b"), "id_b")
+
+
 PARTS = ("sim_title", "sim_body", "sim_source", "sim_num")
 
 
@@ -145,21 +166,24 @@ def with_similarity(pairs: DataFrame, weights: dict[str, float]) -> DataFrame:
 # truth
 
 
-def strict_entities(records: DataFrame, length: int = PREFIX) -> DataFrame:
-    """rec_id, entity_id: the least id with exactly the same first tokens."""
-    own = records.select("rec_id", F.array_join(F.slice("prefix", 1, length), " ").alias("k"))
+def strict_entities(records: DataFrame, length: int | None = None) -> DataFrame:
+    """rec_id, entity_id: the least id with exactly the same tokens, or the same first ones."""
+    own = records.select("rec_id", F.sha2(F.array_join(F.slice("words", 1, length) if length else F.col("words"), " "), 256).alias("k"))
     least = own.groupBy("k").agg(F.min("rec_id").alias("entity_id"))
     return own.join(least, "k").select("rec_id", "entity_id")
 
 
 def cluster_entities(records: DataFrame, threshold: float = 0.5) -> DataFrame:
-    """rec_id, entity_id: the least id of the component linked by Jaccard of the first tokens' sets."""
+    """rec_id, entity_id: the least id of the component linked by Jaccard of the texts' token sets. Records with equal sets are one before any two sets are compared."""
     from ..plans.planner import connected_components, similarity_join
 
-    sets = records.select("rec_id", F.array_distinct("prefix").alias("s"))
-    links = similarity_join(sets, sets, threshold).where("id_a < id_b")
+    sets = records.select("rec_id", F.array_sort(F.array_distinct("words")).alias("s"))
+    keyed = sets.select("rec_id", F.when(F.size("s") > 0, F.sha2(F.array_join("s", " "), 256)).alias("k"), "s")
+    one = keyed.where("k is not null").groupBy("k").agg(F.min_by("s", "rec_id").alias("s"), F.min("rec_id").alias("rec_id"))
+    links = similarity_join(one.select("rec_id", "s"), one.select("rec_id", "s"), threshold).where("id_a < id_b")
     roots = connected_components(links, "id_a", "id_b")
-    return sets.select("rec_id").join(roots, F.col("rec_id") == F.col("node"), "left").select("rec_id", F.coalesce("root", "rec_id").alias("entity_id"))
+    named = one.select("k", "rec_id").join(roots, F.col("rec_id") == F.col("node"), "left").select("k", F.coalesce("root", "rec_id").alias("entity_id"))
+    return keyed.select("rec_id", "k").join(named, "k", "left").select("rec_id", F.coalesce("entity_id", "rec_id").alias("entity_id"))
 
 
 def truth(pairs: DataFrame, left_entities: DataFrame, right_entities: DataFrame | None = None) -> DataFrame:

@@ -65,6 +65,10 @@ def easy(spark: SparkSession, d: str) -> DataFrame:
     return kept(spark, d, "easy", lambda: E.easy_by_bounds(pairs(spark, d), LO, HI))
 
 
+def with_bodies(spark: SparkSession, d: str) -> DataFrame:
+    return W.with_bodies(pairs(spark, d), left(spark, d), right(spark, d))
+
+
 def incidence(spark: SparkSession, d: str) -> DataFrame:
     return kept(spark, d, "incidence", lambda: X.incidence(pairs(spark, d), records(spark, d)))
 
@@ -78,15 +82,15 @@ def share(spark: SparkSession, d: str) -> float:
 TOKENS = r"list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^\p{L}\p{N}]+'), lambda x: x <> '')"
 
 RECORDS = rf"""
-prefixes AS MATERIALIZED (SELECT doc_id AS rec_id, {TOKENS}[1:42] AS prefix, source, CAST(n_chars AS DOUBLE) AS n_chars FROM documents),
-l AS MATERIALIZED (SELECT rec_id, prefix[1:12] AS title, prefix[13:42] AS body, source, n_chars, prefix FROM prefixes),
-dirty AS (SELECT *, list_transform(range(0, len(prefix)), lambda i:
+texts AS MATERIALIZED (SELECT doc_id AS rec_id, {TOKENS} AS words, source, CAST(n_chars AS DOUBLE) AS n_chars FROM documents),
+l AS MATERIALIZED (SELECT rec_id, words[1:12] AS title, words[13:] AS body, source, n_chars, words FROM texts),
+dirty AS (SELECT *, list_transform(range(0, len(words)), lambda i:
     CASE WHEN (rec_id * 7919 + i * 104729 + rec_id * i * 31) % 100 < 5 + (rec_id * 31) % 60 THEN NULL
-         WHEN (rec_id * 13 + i * 17) % 10 = 0 AND length(prefix[i + 1]) > 3 THEN prefix[i + 1][1:1] || prefix[i + 1][3:]
-         ELSE prefix[i + 1] END) AS k FROM prefixes),
-r AS MATERIALIZED (SELECT rec_id, list_filter(k[1:12], lambda x: x IS NOT NULL) AS title, list_filter(k[13:42], lambda x: x IS NOT NULL) AS body,
+         WHEN (rec_id * 13 + i * 17) % 10 = 0 AND length(words[i + 1]) > 3 THEN words[i + 1][1:1] || words[i + 1][3:]
+         ELSE words[i + 1] END) AS k FROM texts),
+r AS MATERIALIZED (SELECT rec_id, list_filter(k[1:12], lambda x: x IS NOT NULL) AS title, list_filter(k[13:], lambda x: x IS NOT NULL) AS body,
     CASE WHEN rec_id % 4 = 0 THEN 'src' || (rec_id % 20) ELSE source END AS source, n_chars * (1 + (rec_id % 7 - 3) / 50.0) AS n_chars,
-    list_filter(k, lambda x: x IS NOT NULL) AS prefix FROM dirty),
+    list_filter(k, lambda x: x IS NOT NULL) AS words FROM dirty),
 records AS (SELECT * FROM l UNION ALL SELECT * FROM r)"""
 
 BLOCKED = """
@@ -106,7 +110,7 @@ _NUM = "CASE WHEN x.n_chars IS NULL OR y.n_chars IS NULL THEN 0.0 WHEN x.n_chars
 COMPARED = f"""
 compared AS MATERIALIZED (SELECT id_a * 2147483648 + id_b AS pair_id, id_a, id_b, {jaccard_sql('x.title', 'y.title')} AS sim_title, {jaccard_sql('x.body', 'y.body')} AS sim_body,
     CASE WHEN x.source IS NULL OR y.source IS NULL THEN 0.0 WHEN x.source = y.source THEN 1.0 ELSE 0.0 END AS sim_source, {_NUM} AS sim_num,
-    x.title AS title_a, y.title AS title_b, x.body AS body_a, y.body AS body_b
+    x.title AS title_a, y.title AS title_b
     FROM blocked JOIN l x ON x.rec_id = id_a JOIN r y ON y.rec_id = id_b),
 weights AS (SELECT count(DISTINCT title) AS wt, count(DISTINCT body) AS wb, count(DISTINCT source) AS ws, count(DISTINCT n_chars) AS wn FROM records),
 pairs AS MATERIALIZED (SELECT compared.*, round(sim_title * (wt / CAST(wt + wb + ws + wn AS DOUBLE)) + sim_body * (wb / CAST(wt + wb + ws + wn AS DOUBLE))
@@ -115,20 +119,27 @@ pairs AS MATERIALIZED (SELECT compared.*, round(sim_title * (wt / CAST(wt + wb +
 PAIRS = f"WITH {RECORDS}, {BLOCKED}, {COMPARED}"
 
 STRICT = """
-named AS (SELECT rec_id, array_to_string(prefix, ' ') AS k FROM l),
+named AS (SELECT rec_id, array_to_string(words, ' ') AS k FROM l),
 entities AS (SELECT rec_id, min(rec_id) OVER (PARTITION BY k) AS entity_id FROM named),
 truth AS MATERIALIZED (SELECT pair_id, CAST(ea.entity_id = eb.entity_id AS INT) AS truth FROM pairs JOIN entities ea ON ea.rec_id = id_a JOIN entities eb ON eb.rec_id = id_b)"""
 
 LABELS = "labels_ AS (SELECT pair_id, CAST(sim >= 0.5 AS INT) AS label FROM pairs)"
 EASY = f"easy AS MATERIALIZED (SELECT pair_id, CASE WHEN sim >= {HI} THEN 1 ELSE 0 END AS label FROM pairs WHERE sim >= {HI} OR sim <= {LO})"
 
-#: Longest common run by positions: equal tokens on one diagonal, numbered without gaps.
-LCS = """
-ta AS (SELECT pair_id, unnest(title_a) AS t, generate_subscripts(title_a, 1) AS i FROM pairs),
-tb AS (SELECT pair_id, unnest(title_b) AS t, generate_subscripts(title_b, 1) AS j FROM pairs),
+BODIES = "WITH_BODIES AS (SELECT pairs.*, x.body AS body_a, y.body AS body_b FROM pairs JOIN l x ON x.rec_id = id_a JOIN r y ON y.rec_id = id_b)"
+
+
+def lcs_sql(attr: str = "title", table: str = "pairs") -> str:
+    """Longest common run by positions: equal tokens on one diagonal, numbered without gaps."""
+    return f"""
+ta AS (SELECT pair_id, unnest({attr}_a) AS t, generate_subscripts({attr}_a, 1) AS i FROM {table}),
+tb AS (SELECT pair_id, unnest({attr}_b) AS t, generate_subscripts({attr}_b, 1) AS j FROM {table}),
 meets AS (SELECT ta.pair_id, i - j AS diag, i, i - row_number() OVER (PARTITION BY ta.pair_id, i - j ORDER BY i) AS island FROM ta JOIN tb ON ta.pair_id = tb.pair_id AND ta.t = tb.t),
 lcs AS MATERIALIZED (SELECT pair_id, max(n) AS run FROM (SELECT pair_id, diag, island, count(*) AS n FROM meets GROUP BY 1, 2, 3) GROUP BY pair_id)"""
 
+
+LCS = lcs_sql()
+
 FEATURE_ID = "CAST(('0x' || substr(md5(family || '|' || attr || '|' || token), 1, 15)) AS BIGINT)"
 
 INCIDENCE = f"""

@@ -164,12 +164,18 @@ def b4_block_key(spark, d):
     return W.block_by_key(key(Q.left(spark, d)), key(Q.right(spark, d)), ["source", "first"])
 
 
-@query(f"WITH {Q.RECORDS}, o AS (SELECT rec_id, row_number() OVER (ORDER BY array_to_string(prefix, ' '), rec_id) AS at FROM l) SELECT least(a.rec_id, b.rec_id) AS id_a, greatest(a.rec_id, b.rec_id) AS id_b FROM o a JOIN o b ON b.at > a.at AND b.at <= a.at + 5")
+@query(f"WITH {Q.RECORDS}, o AS (SELECT rec_id, row_number() OVER (ORDER BY array_to_string(words, ' '), rec_id) AS at FROM l) SELECT least(a.rec_id, b.rec_id) AS id_a, greatest(a.rec_id, b.rec_id) AS id_b FROM o a JOIN o b ON b.at > a.at AND b.at <= a.at + 5")
 def b5_block_sorted(spark, d):
-    return W.block_sorted(Q.left(spark, d), F.array_join("prefix", " "), 5)
+    return W.block_sorted(Q.left(spark, d), F.array_join("words", " "), 5)
 
 
-@query()
+def _minhash_sql(table: str, name: str, bands: int = 16, rows: int = 2) -> str:
+    least = lambda s: "list_min(list_transform(title, lambda t: (CAST(('0x' || substr(md5(t), 1, 8)) AS BIGINT) * {} + {}) % {}))".format(*W.minhash_step(s), W.MINHASH_PRIME)
+    keys = ", ".join("[" + ", ".join(least(b * rows + k) for k in range(rows)) + "]" for b in range(bands))
+    return f"(SELECT {name}, unnest(k) AS h, generate_subscripts(k, 1) AS band FROM (SELECT rec_id AS {name}, [{keys}] AS k FROM {table} WHERE len(title) > 0))"
+
+
+@query(f"WITH {Q.RECORDS} SELECT DISTINCT id_a, id_b FROM {_minhash_sql('l', 'id_a')} JOIN {_minhash_sql('r', 'id_b')} USING (band, h)")
 def b6_block_minhash(spark, d):
     return W.block_minhash(Q.left(spark, d), Q.right(spark, d))
 
@@ -190,14 +196,13 @@ def b9_truth(spark, d):
     return Q.strict_truth(spark, d)
 
 
-_CLUSTER = f"""WITH RECURSIVE {Q.RECORDS}, sets AS (SELECT rec_id, list_distinct(prefix) AS s FROM l), tk AS (SELECT rec_id, unnest(s) AS t, len(s) AS n FROM sets),
+CLUSTER = f"""WITH RECURSIVE {Q.RECORDS}, sets AS (SELECT rec_id, list_distinct(words) AS s FROM l), tk AS (SELECT rec_id, unnest(s) AS t, len(s) AS n FROM sets),
 ov AS (SELECT a.rec_id AS x, b.rec_id AS y, count(*) AS o, any_value(a.n) AS na, any_value(b.n) AS nb FROM tk a JOIN tk b ON a.t = b.t AND a.rec_id <> b.rec_id GROUP BY 1, 2),
 links AS MATERIALIZED (SELECT x, y FROM ov WHERE o / CAST(na + nb - o AS DOUBLE) >= 0.5),
-walk(node, root) AS (SELECT rec_id, rec_id FROM sets UNION SELECT y, root FROM walk JOIN links ON node = x)
-SELECT node AS rec_id, min(root) AS entity_id FROM walk GROUP BY node"""
+walk(node, root) AS (SELECT rec_id, rec_id FROM sets UNION SELECT y, root FROM walk JOIN links ON node = x)"""
 
 
-@query(_CLUSTER)
+@query(f"{CLUSTER} SELECT node AS rec_id, min(root) AS entity_id FROM walk GROUP BY node")
 def b9_cluster_entities(spark, d):
     return W.cluster_entities(Q.left(spark, d))
 
@@ -342,6 +347,32 @@ def f4_diff(spark, d):
     return rounded(X.diff_token_features(Q.pairs(spark, d)))
 
 
+@query(f"{Q.PAIRS}, {Q.BODIES}, {Q.lcs_sql('body', 'WITH_BODIES')} SELECT pair_id, 'lcs' AS family, 'body' AS attr, '' AS token, round(coalesce(run / nullif(CAST(least(len(body_a), len(body_b)) AS DOUBLE), 0), 0.0), 6) AS x FROM WITH_BODIES LEFT JOIN lcs USING (pair_id)")
+def f2_lcs_body(spark, d):
+    """Of the long attribute, over whole texts."""
+    return rounded(X.lcs_features(Q.with_bodies(spark, d), ("body",)))
+
+
+@query(f"{Q.PAIRS}, {Q.BODIES} SELECT pair_id, 'same' AS family, 'body' AS attr, token, round(sim, 6) AS x FROM (SELECT pair_id, sim, unnest(list_intersect(body_a, body_b)) AS token FROM WITH_BODIES) SEMI JOIN (SELECT token FROM (SELECT unnest(list_distinct(body)) AS token FROM records) GROUP BY token HAVING count(*) >= 2 AND ln((SELECT count(*) FROM records) / CAST(count(*) AS DOUBLE)) >= 3.0) USING (token)")
+def f3_same_body(spark, d):
+    rare = X.discriminating_tokens(Q.records(spark, d), tokens_col="body").select("token")
+    return rounded(X.same_token_features(Q.with_bodies(spark, d), "body").join(rare, "token", "left_semi").select("pair_id", "family", "attr", "token", "x"))
+
+
+@query(f"{Q.PAIRS}, {Q.BODIES} SELECT pair_id, len(list_distinct(list_concat(body_a, body_b))) - len(list_intersect(body_a, body_b)) AS tokens, round(sim, 6) AS x FROM WITH_BODIES WHERE len(list_distinct(list_concat(body_a, body_b))) > len(list_intersect(body_a, body_b))")
+def f4_diff_body(spark, d):
+    """Hundreds of tokens a pair: counted here."""
+    rows = X.diff_token_features(Q.with_bodies(spark, d), "body")
+    return rows.groupBy("pair_id").agg(F.count_distinct("token").alias("tokens"), R6(F.first("x")).alias("x"))
+
+
+@query(f"{Q.PAIRS}, t AS (SELECT pair_id, {_TA} AS a, {_TB} AS b, {_EDIT} AS e, {Q.jaccard_sql(f"list_transform(title_a, lambda x: {_fold_sql('x')})", f"list_transform(title_b, lambda x: {_fold_sql('x')})")} AS j FROM pairs) SELECT pair_id, round(CASE WHEN a = '' OR b = '' THEN 0.0 ELSE jaro_winkler_similarity(a, b) END, 6) AS jw_title, round(e, 6) AS edit_title, round((e + j) / 2, 6) AS hybrid_title FROM t")
+def f1_metrics(spark, d):
+    """Edit, Jaro-Winkler and hybrid metrics of the title as features."""
+    rows = Q.pairs(spark, d).withColumns({f"title_{s}": F.transform(f"title_{s}", _fold) for s in "ab"})
+    return rows.select("pair_id", *[R6(c).alias(n) for n, c in X.title_metrics().items()])
+
+
 @query(f"WITH {Q.RECORDS}, idf AS (SELECT token, count(*) AS df, ln((SELECT count(*) FROM records) / CAST(count(*) AS DOUBLE)) AS idf FROM (SELECT unnest(list_distinct(title)) AS token FROM records) GROUP BY token) SELECT token, df, round(idf, 6) AS idf FROM idf WHERE idf >= 3.0 AND df >= 2")
 def f5_tokens(spark, d):
     return rounded(X.discriminating_tokens(Q.records(spark, d)))
@@ -437,11 +468,11 @@ def i11_top_m(spark, d):
     return G.top_support(G.support(_entries(spark, d)), 2000).select("pair_id")
 
 
-_TOP = f"top AS (SELECT pair_id FROM sup ORDER BY round(log_odds, 9) DESC, pair_id LIMIT 500), {Q.APPROX}, p_ AS (SELECT pair_id, {Q.LOGISTIC.format('z')} AS p FROM approx SEMI JOIN top USING (pair_id)), ph AS (SELECT pair_id, p, {Q.entropy_sql('p')} AS h FROM p_)"
+_TOP = f"top AS (SELECT pair_id FROM sup ORDER BY round(log_odds, 9) DESC, pair_id LIMIT 2000), {Q.APPROX}, p_ AS (SELECT pair_id, {Q.LOGISTIC.format('z')} AS p FROM approx SEMI JOIN top USING (pair_id)), ph AS (SELECT pair_id, p, {Q.entropy_sql('p')} AS h FROM p_)"
 
 
 def _approx(spark, d):
-    top = G.top_support(G.support(_entries(spark, d)), 500)
+    top = G.top_support(G.support(_entries(spark, d)), DEFAULT.m)
     return G.approx_probability(_entries(spark, d).join(F.broadcast(top.select("pair_id")), "pair_id", "left_semi"))
 
 
@@ -461,39 +492,43 @@ def i14_top_k(spark, d):
     return G.top_certain(_approx(spark, d), 10).select("pair_id", R4("h").alias("h"))
 
 
-_TARGETS = f"targets AS (SELECT pair_id FROM pairs WHERE sim > {Q.LO} AND sim < {Q.HI} ORDER BY pair_id LIMIT 10)"
+#: The targets of a round: the k surest of the m best supported.
+_ROUND = f"{Q.ROUND}, {Q.SUPPORT}, {_TOP}, targets AS MATERIALIZED (SELECT pair_id FROM ph ORDER BY round(h, 9), pair_id LIMIT {DEFAULT.k})"
 
 
-def _targets(spark, d):
-    return Q.pairs(spark, d).where((F.col("sim") > Q.LO) & (F.col("sim") < Q.HI)).orderBy("pair_id").limit(10).select("pair_id")
+def targets(spark, d):
+    return Q.kept(spark, d, "targets", lambda: G.top_certain(_approx(spark, d), DEFAULT.k).select("pair_id"))
 
 
-@query(f"{Q.PAIRS}, {Q.INCIDENCE}, {_TARGETS} SELECT pair_id AS target, feature_id, round(x, 6) AS target_x FROM incidence SEMI JOIN targets USING (pair_id)")
+@query(f"{_ROUND} SELECT pair_id AS target, feature_id, round(x, 6) AS target_x FROM incidence SEMI JOIN targets USING (pair_id)")
 def i15_own_features(spark, d):
-    return rounded(G.own_features(Q.incidence(spark, d), _targets(spark, d)))
+    return rounded(G.own_features(Q.incidence(spark, d), targets(spark, d)))
 
 
-_EVIDENCE = f"asked AS (SELECT DISTINCT feature_id FROM incidence SEMI JOIN targets USING (pair_id)), evidence AS (SELECT feature_id, pair_id, x, label, CAST(least(greatest(floor(x * 10), 0), 9) AS INT) AS bin FROM incidence SEMI JOIN asked USING (feature_id) JOIN easy USING (pair_id))"
+_EVIDENCE = "asked AS (SELECT DISTINCT feature_id FROM incidence SEMI JOIN targets USING (pair_id)), evidence AS (SELECT feature_id, pair_id, x, label, CAST(least(greatest(floor(x * 10), 0), 9) AS INT) AS bin FROM incidence SEMI JOIN asked USING (feature_id) JOIN easy USING (pair_id))"
 
 
-@query(f"{Q.PAIRS}, {Q.EASY}, {Q.INCIDENCE}, {_TARGETS}, {_EVIDENCE} SELECT feature_id, bin, label, count(*) AS n FROM evidence GROUP BY 1, 2, 3")
+@query(f"{_ROUND}, {_EVIDENCE} SELECT feature_id, bin, label, count(*) AS n FROM evidence GROUP BY 1, 2, 3")
 def i16_evidence(spark, d):
-    return G.evidence_of(Q.incidence(spark, d), Q.easy(spark, d), _targets(spark, d)).groupBy("feature_id", "bin", "label").agg(F.count(F.lit(1)).alias("n"))
+    return G.evidence_of(Q.incidence(spark, d), Q.easy(spark, d), targets(spark, d)).groupBy("feature_id", "bin", "label").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(f"{Q.PAIRS}, {Q.EASY}, {Q.INCIDENCE}, {_TARGETS}, {_EVIDENCE} SELECT feature_id, pair_id, bin FROM (SELECT *, row_number() OVER (PARTITION BY feature_id, bin ORDER BY pair_id * CAST(48271 AS HUGEINT) % 2147483647, pair_id) AS r FROM evidence) WHERE r <= 50")
+@query(f"{_ROUND}, {_EVIDENCE} SELECT feature_id, pair_id, bin FROM (SELECT *, row_number() OVER (PARTITION BY feature_id, bin ORDER BY pair_id * CAST(48271 AS HUGEINT) % 2147483647, pair_id) AS r FROM evidence) WHERE r <= 50")
 def i17_cap(spark, d):
-    return G.capped(G.evidence_of(Q.incidence(spark, d), Q.easy(spark, d), _targets(spark, d)), 50, salts=4).select("feature_id", "pair_id", "bin")
+    return G.capped(G.evidence_of(Q.incidence(spark, d), Q.easy(spark, d), targets(spark, d)), 50, salts=4).select("feature_id", "pair_id", "bin")
 
 
-@query(f"{Q.PAIRS}, {Q.INCIDENCE}, {_TARGETS}, tok AS (SELECT pair_id, feature_id FROM incidence WHERE family IN ('same', 'diff')) SELECT DISTINCT a.pair_id AS target, b.pair_id FROM tok a SEMI JOIN targets USING (pair_id) JOIN tok b ON a.feature_id = b.feature_id")
+_HOP = "tok AS MATERIALIZED (SELECT pair_id, feature_id FROM incidence WHERE family IN ('same', 'diff')), hop1 AS MATERIALIZED (SELECT DISTINCT a.pair_id AS target, b.pair_id FROM tok a SEMI JOIN targets USING (pair_id) JOIN tok b ON a.feature_id = b.feature_id)"
+
+
+@query(f"{_ROUND}, {_HOP} SELECT target, pair_id FROM hop1")
 def i18_hop1(spark, d):
-    return G.hops(Q.incidence(spark, d).where("family in ('same', 'diff')"), _targets(spark, d), 1)
+    return G.hops(Q.incidence(spark, d).where("family in ('same', 'diff')"), targets(spark, d), 1)
 
 
-@query()
+@query(f"{_ROUND}, {_HOP}, met AS (SELECT DISTINCT target, feature_id FROM hop1 JOIN tok USING (pair_id)) SELECT DISTINCT target, tok.pair_id FROM met JOIN tok USING (feature_id)")
 def i18_hop2(spark, d):
-    return G.hops(Q.incidence(spark, d).where("family in ('same', 'diff')"), _targets(spark, d).limit(2), 2)
+    return G.hops(Q.incidence(spark, d).where("family in ('same', 'diff')"), targets(spark, d), 2)
 
 
 # baselines

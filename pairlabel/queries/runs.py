@@ -20,6 +20,7 @@ from ..plans import experiments as P
 from ..plans.planner import cut
 from ..settings import Settings
 from . import base as Q
+from . import method
 from .method import QUERIES as _ALL
 from .method import rounded
 
@@ -46,33 +47,38 @@ def staged(spark, d, settings: Settings = P.FAST, easy: DataFrame | None = None)
 
 @query
 def i19_fit(spark, d):
-    """Likelihood fits on the capped subgraphs of ten targets."""
-    targets = Q.pairs(spark, d).where((F.col("sim") > 0.4) & (F.col("sim") < 0.55)).orderBy("pair_id").limit(10).select("pair_id")
+    """Likelihood fits of a round's k targets on their capped subgraphs."""
+    targets = method.targets(spark, d)
     labels = Q.easy(spark, d)
     weight = G.class_weight(labels)
     curves = G.fit_curves(G.feature_stats(Q.incidence(spark, d), labels), weight, Settings())
-    sub = G.subgraph(Q.incidence(spark, d), labels, targets, 200)
-    return rounded(infer.fit_targets(sub, curves, weight.first()["w"], Settings()), 4)
+    evidence = G.capped(G.evidence_of(Q.incidence(spark, d), labels, targets), 200, salts=8)
+    return rounded(infer.fit_targets(G.own_features(Q.incidence(spark, d), targets), evidence, curves, weight.first()["w"], Settings()), 4)
 
 
 @query
 def i20_exact(spark, d):
-    """The exact mode, which suits small workloads: the pairs of one title token neighbourhood in 64."""
-    pairs = Q.pairs(spark, d).withColumn("shard", F.pmod(F.xxhash64(F.array_min("title_a")), F.lit(64)))
-    return infer.label_kernel(pairs, _incidence(spark, d), _easy(spark, d), replace(P.FAST, labels_per_round=25), shard="shard", exact=True)
+    """The exact mode, which suits small workloads: joint fits of all features on all evidence of one undivided graph, 50 labels a fit."""
+    return infer.label_kernel(Q.pairs(spark, d), _incidence(spark, d), _easy(spark, d), Settings(labels_per_round=50), exact=True)
 
 
 @query
 def i22_scalable(spark, d):
-    """The method as described: one label per round; fits where the approximation is unsure."""
-    return staged(spark, d, Settings(fit_above=0.05))
+    """The method as described: in every round fresh curves, all k candidates fitted, and one label."""
+    return staged(spark, d, Settings())
+
+
+@query
+def i22_fast(spark, d):
+    """Ours, for larger runs: ten labels a round, fits only where the approximation is unsure, curves renewed by growth of evidence."""
+    return staged(spark, d, P.FAST)
 
 
 @query
 def i22_rounds(spark, d):
-    """The same rounds as Spark jobs, with large batches."""
-    n = Q.pairs(spark, d).count()
-    return infer.label_rounds(Q.pairs(spark, d), _incidence(spark, d), _easy(spark, d), Settings(labels_per_round=max(1, n // 8), k=max(1, n // 8), m=None, use_mle=False))
+    """The same rounds as Spark jobs over tables of any size: the best supported, of these the surest, all of them fitted; an eighth of the pairs are labeled at a time."""
+    n = max(1, Q.pairs(spark, d).count() // 8)
+    return infer.label_rounds(Q.pairs(spark, d), _incidence(spark, d), _easy(spark, d), Settings(labels_per_round=n, k=n, m=max(2000, 2 * n)))
 
 
 @query
@@ -114,18 +120,31 @@ def i27_items(spark, d):
 
 @query
 def c4_svm(spark, d):
-    return B.svm_pairs(Q.pairs(spark, d), Q.cluster_truth(spark, d), 0.1, runs=1)
+    """Ten runs at each share of training data."""
+    return B.supervised_runs(Q.pairs(spark, d), Q.cluster_truth(spark, d), "svm")
 
 
 @query
 def c5_mlp(spark, d):
+    """Ten runs at each share of training data, of which a twentieth of all pairs validates."""
+    return B.supervised_runs(Q.pairs(spark, d), Q.cluster_truth(spark, d), "mlp")
+
+
+@query
+def c4_svm_ml(spark, d):
+    """One run of the classifier for tables of any size."""
+    return B.svm_pairs(Q.pairs(spark, d), Q.cluster_truth(spark, d), 0.1, runs=1)
+
+
+@query
+def c5_mlp_ml(spark, d):
     return B.mlp_pairs(Q.pairs(spark, d), Q.cluster_truth(spark, d), 0.15, 0.05, runs=1)
 
 
 @query
 def x8_comparison(spark, d):
-    """One run of each supervised method; bench/experiments.py takes ten."""
-    return P.comparison(spark, d, ("W1h", "W2s"), runs=1, settings=P.FAST, supervised=(0.1,))
+    """All methods on all three workloads; ten runs of each supervised method at each share."""
+    return P.comparison(spark, d)
 
 
 @query
@@ -137,6 +156,17 @@ def x9_monotonicity(spark, d):
     return out
 
 
+@query
+def x9_more(spark, d):
+    """The same on the balanced and the one-table workload."""
+    out = None
+    for name in ("W1b", "W2s"):
+        w = P.build(spark, d, name)
+        one = M.precision_by_interval(w.pairs, w.truth).withColumn("workload", F.lit(name))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @query
 def x10_ratio(spark, d):
     return P.sensitivity(spark, d, "easy_ratio", (0.3, 0.4, 0.5))
@@ -157,9 +187,17 @@ def x13_cap(spark, d):
     return P.sensitivity(spark, d, "interval_cap", (50, 100, 200))
 
 
+@query
+def x14_scalability(spark, d):
+    """Cost multiples at four sizes, up to 40,000 pairs where there are so many."""
+    n = min(40_000, Q.pairs(spark, d).count())
+    return P.scalability(spark, d, tuple(n * k // 4 for k in (1, 2, 3, 4)))
+
+
 @query
 def x15_flips(spark, d):
-    return M.flip_rate(staged(spark, d, Settings(labels_per_round=10, k=10)).where(~F.col("easy")))
+    """Of the method as described."""
+    return M.flip_rate(staged(spark, d, Settings()).where(~F.col("easy")))
 
 
 @query
@@ -211,7 +249,11 @@ def x7_control(spark, d):
 
 
 #: Runs by positions: equal tokens on one diagonal, numbered without gaps.
+_BY_BIN = "SELECT CAST(least(floor(sim * 10), 9) AS INT) AS bin, count(*) AS n, CAST(sum(truth) AS BIGINT) AS matches, sum(truth) / CAST(count(*) AS DOUBLE) AS precision, '{0}' AS workload FROM pairs JOIN {1} USING (pair_id) GROUP BY 1"
 SQL = {
+    "x9_monotonicity": f"""{method.CLUSTER}, {Q.BLOCKED}, {Q.COMPARED}, {Q.STRICT}, components AS (SELECT node AS rec_id, min(root) AS entity_id FROM walk GROUP BY node),
+same AS (SELECT pair_id, CAST(ca.entity_id = cb.entity_id AS INT) AS truth FROM pairs JOIN components ca ON ca.rec_id = id_a JOIN components cb ON cb.rec_id = id_b)
+{_BY_BIN.format('W1h', 'same')} UNION ALL {_BY_BIN.format('W1v', 'truth')}""",
     "x4_containment": f"""
 WITH p AS MATERIALIZED (SELECT item_id, {Q.TOKENS} AS t FROM benchmark), q AS MATERIALIZED (SELECT doc_id, {Q.TOKENS} AS t FROM documents),
 a AS MATERIALIZED (SELECT item_id, unnest(t) AS w, generate_subscripts(t, 1) AS i FROM p), b AS MATERIALIZED (SELECT doc_id, unnest(t) AS w, generate_subscripts(t, 1) AS j FROM q),

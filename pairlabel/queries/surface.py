@@ -105,11 +105,11 @@ def op_join_interval(spark, d):
     return met.select("event_id", "event_id_right")
 
 
-@query(f"""WITH {Q.RECORDS}, tk AS (SELECT rec_id, len(list_distinct(prefix)) AS n, unnest(list_distinct(prefix)) AS t FROM l)
-SELECT a.rec_id AS id_a, b.rec_id AS id_b, round(count(*) / CAST(any_value(a.n) + any_value(b.n) - count(*) AS DOUBLE), 6) AS sim FROM tk a JOIN tk b ON a.t = b.t AND a.rec_id < b.rec_id GROUP BY 1, 2
-HAVING count(*) / CAST(any_value(a.n) + any_value(b.n) - count(*) AS DOUBLE) >= 0.5""")
+@query(f"""WITH {Q.RECORDS}, tk AS (SELECT rec_id, len(list_distinct(words)) AS n, unnest(list_distinct(words)) AS t FROM l)
+SELECT a.rec_id AS id_a, b.rec_id AS id_b, round(count(*) / CAST(any_value(a.n) + any_value(b.n) - count(*) AS DOUBLE), 6) AS sim FROM tk a JOIN tk b ON a.t = b.t AND a.rec_id <> b.rec_id GROUP BY 1, 2
+HAVING a.rec_id < b.rec_id AND count(*) / CAST(any_value(a.n) + any_value(b.n) - count(*) AS DOUBLE) >= 0.5""")
 def op_join_set_similarity(spark, d):
-    s = Q.left(spark, d).select("rec_id", F.array_distinct("prefix").alias("s"))
+    s = Q.left(spark, d).select("rec_id", F.array_distinct("words").alias("s"))
     return rounded(prefix_join(s, s, 0.5).where("id_a < id_b"))
 
 

@@ -139,7 +139,7 @@ def test_near_vectors_against_all_pairs(spark):
 
 def test_two_small_tables_end_to_end(spark):
     """Five records in two tables: blocked, compared, labeled from the extremes, and the rest by inference."""
-    rec = "rec_id long, title array<string>, body array<string>, source string, n_chars double, prefix array<string>"
+    rec = "rec_id long, title array<string>, body array<string>, source string, n_chars double, words array<string>"
     one = lambda i, title, source, n: (i, title.split(), title.split()[::-1], source, float(n), title.split() * 2)
     a = spark.createDataFrame([one(1, "tidal wetlands of the northern coast", "j1", 120), one(2, "spectral clustering with sparse graphs", "j2", 80)], rec)
     b = spark.createDataFrame([one(1, "tidal wetlands of the northern coast", "j1", 120), one(2, "spectral clustering on sparse graphs", "j2", 82), one(3, "wetlands of the tropics", "j3", 300)], rec)
