@@ -19,14 +19,19 @@ that joins different components is ever lost.
    tokens are put in order, fewest groups first; of two linked documents the
    smaller one asks, and its first size - ceil(6/7 size) + 1 tokens and the larger one's first
    size - ceil(3/4 size) + 1 share one. That token leads from it to the
-   blocks of other groups. A block stores its members' token union; the document's
-   overlap with it bounds that with every member, and only blocks that reach the
-   needed overlap are opened and their members compared exactly.
+   blocks of other groups. Each block that is asked has its members' token union
+   stored; the document's overlap with it bounds that with every member, and only
+   of blocks that reach the needed overlap are the members read and compared exactly.
 5. Components of groups by the links found.
 
 Skew: a group of equal texts is one class; near copies of one text meet only
 leaders and have tokens that no other group holds; a passage that many documents
-share comes last in the order of tokens, or is behind the bound of positions.
+share comes last in the order of tokens, or is behind the bound of positions. Keys
+by which documents meet leaders, and blocks that many documents ask, are split by
+their counted sizes, so no task gets much more than a thousandth of all rows.
+
+Sets hold 64-bit hashes: two given sets of a and b shingles have a wrong one in
+common with a chance of at most a * b / 2^64, under 10^-11 for 10,000 shingles each.
 
 Defined results: null and empty texts, and texts without words, have no shingles
 and are a component of their own; rows with a null id get a null component;
@@ -233,8 +238,8 @@ def _central_first(sets: list[np.ndarray]) -> list[int]:
     return np.argsort(-mean, kind="stable").tolist()
 
 
-def follow_leaders(sets: DataFrame, key, most: int = 48, buffered: int = 256) -> DataFrame:
-    """rid, leader: documents compared, within one key, with at most so many leaders; only verified links count.
+def follow_leaders(sets: DataFrame, most: int = 48, buffered: int = 256) -> DataFrame:
+    """rid, leader: documents compared, within one value of the column key, with at most so many leaders; only verified links count.
 
     Leaders are picked among the first ``buffered`` documents of a key, the most central first, as they link to most of the others.
     """
@@ -286,17 +291,31 @@ def follow_leaders(sets: DataFrame, key, most: int = 48, buffered: int = 256) ->
         settle()
         yield flush()
 
-    rows = sets.select("rid", "tokens", key.alias("key")).repartition("key").sortWithinPartitions("key", "rid")
+    rows = sets.select("rid", "tokens", "key").repartition("key").sortWithinPartitions("key", "rid")
     return rows.mapInArrow(run, "rid long, leader long")
 
 
-def grouped(sets: DataFrame, salts: int = 8, block_rows: int = 256, leaders: int = 48) -> DataFrame:
+#: A key or a block is hot with over one in so many of all rows, so at most so many are.
+HOT_PARTS = 1000
+
+
+def split_hot(sets: DataFrame, key, part_rows: int, total: int) -> DataFrame:
+    """The sets with a column key: that given, but for hot keys, of which parts of bounded size get keys of their own."""
+    most = max(part_rows, -(-total // HOT_PARTS))
+    keyed = sets.withColumn("_k", key)
+    hot = keyed.groupBy("_k").agg(F.count(F.lit(1)).alias("_n")).where(F.col("_n") > most).select("_k", F.ceil(F.col("_n") / most).alias("_parts"))
+    part = F.pmod(F.xxhash64("rid", F.lit(7)), F.coalesce("_parts", F.lit(1)))
+    return keyed.join(F.broadcast(hot), "_k", "left").withColumn("key", F.when(F.col("_parts").isNull(), F.col("_k")).otherwise(F.xxhash64("_k", part))).drop("_k", "_parts")
+
+
+def grouped(sets: DataFrame, salts: int = 8, block_rows: int = 256, leaders: int = 48, part_rows: int = 256) -> DataFrame:
     """The sets with group (a leader's id) and block (a part of the group, of bounded size). Labels are joined without the sets, hot ones spread."""
-    salted = F.xxhash64("least", F.pmod(F.xxhash64("rid"), F.lit(salts)))
-    led = materialize(follow_leaders(sets, salted, leaders), "leaders-1")
+    salted, total = F.xxhash64("least", F.pmod(F.xxhash64("rid"), F.lit(salts))), sets.count()
+    led = materialize(follow_leaders(split_hot(sets, salted, part_rows, total), leaders), "leaders-1")
     left = sets.join(led.select("rid"), "rid", "left_anti")
-    led2 = materialize(follow_leaders(left, F.col("least"), leaders), "leaders-2")
-    led3 = materialize(follow_leaders(left.join(led2.select("rid"), "rid", "left_anti"), F.col("second"), leaders), "leaders-3")
+    led2 = materialize(follow_leaders(split_hot(left, F.col("least"), 4 * part_rows, total), leaders), "leaders-2")
+    left = left.join(led2.select("rid"), "rid", "left_anti")
+    led3 = materialize(follow_leaders(split_hot(left, F.col("second"), 4 * part_rows, total), leaders), "leaders-3")
 
     def follow(rows: DataFrame, further: DataFrame) -> DataFrame:
         """rid, leader with each leader replaced by the one it follows itself."""
@@ -315,7 +334,7 @@ def grouped(sets: DataFrame, salts: int = 8, block_rows: int = 256, leaders: int
     return sets.select("rid", "n", "tokens").join(own, "rid")
 
 
-def matrix_links(sets: DataFrame, bucket_tokens: int = 1 << 20, share=SHARE) -> DataFrame:
+def matrix_links(sets: DataFrame, bucket_tokens: int = 1 << 20, share=SHARE, ask_rows: int = 512) -> DataFrame:
     """grp, other: groups with a verified link between a document of one and a member of the other."""
     total = sets.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     n_buckets = max(1, total // bucket_tokens + 1)
@@ -358,37 +377,88 @@ def matrix_links(sets: DataFrame, bucket_tokens: int = 1 << 20, share=SHARE) ->
     asks = lead.where("in_short").join(matrix, "token").where(enough & sized & (F.col("grp") != F.col("m_grp"))).select("rid", "m_grp", "m_part").distinct()
     asks = materialize(asks, "asks")
 
-    blocks = asks.select(F.col("m_grp").alias("grp"), F.col("m_part").alias("part")).distinct()
-    stored = sets.join(blocks, ["grp", "part"], "left_semi").select(F.col("grp").alias("m_grp"), F.col("part").alias("m_part"), F.lit(0).alias("kind"), "rid", "grp", "tokens")
-    asking = asks.join(sets.select("rid", "grp", "tokens"), "rid").select("m_grp", "m_part", F.lit(1).alias("kind"), "rid", "grp", "tokens")
+    # the unions of the blocks that are asked, one row each
+    stored = materialize(_members(sets, asks).repartition("m_grp", "m_part").sortWithinPartitions("m_grp", "m_part").mapInArrow(_unions, "m_grp long, m_part int, least long, tokens binary"), "unions")
+    qualified = materialize(_meet(stored, asks, sets, ask_rows).mapInArrow(_bounded, "rid long, m_grp long, m_part int"), "qualified")
+    opened = _members(sets, qualified).select("m_grp", "m_part", F.lit(0).cast("long").alias("least"), "tokens")
+    return _meet(opened, qualified, sets, ask_rows).mapInArrow(_opened, "grp long, other long").distinct()
+
+
+def _members(sets: DataFrame, asks: DataFrame) -> DataFrame:
+    """m_grp, m_part, tokens of the members of blocks that are asked."""
+    blocks = asks.select("m_grp", "m_part").distinct()
+    return sets.select(F.col("grp").alias("m_grp"), F.col("part").alias("m_part"), "tokens").join(blocks, ["m_grp", "m_part"], "left_semi")
 
-    def open_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, members, union, least, done = None, [], None, 0, set()
-        for b in batches:
-            out: set[tuple[int, int]] = set()
-            for g, p, kind, own, blob in zip(*(b.column(c).to_pylist() for c in ("m_grp", "m_part", "kind", "grp", "tokens")), strict=True):
-                if (g, p) != at:
-                    at, members, union, done = (g, p), [], None, set()
-                s = np.frombuffer(blob, _U)
-                if not kind:
-                    members.append(s)
-                    continue
-                if own in done:  # these two groups are joined already
-                    continue
-                if union is None:
-                    union, least = np.unique(np.concatenate(members)), min(map(len, members))
-                where = np.searchsorted(union, s)
-                where[where == len(union)] = 0
-                overlap = int(np.count_nonzero(union[where] == s))
-                if overlap < pair_overlap(len(s), max(least, len(s))):
-                    continue
-                if any(len(m) >= len(s) and linked(s, m) for m in members):
-                    done.add(own)
-                    out.add((min(g, own), max(g, own)))
-            yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out], pa.int64())], ["grp", "other"])
 
-    met = stored.union(asking).repartition("m_grp", "m_part").sortWithinPartitions("m_grp", "m_part", "kind")
-    return met.mapInArrow(open_blocks, "grp long, other long").distinct()
+def _meet(stored: DataFrame, asks: DataFrame, sets: DataFrame, ask_rows: int) -> DataFrame:
+    """Rows of blocks (kind 0), then of documents that ask them (kind 1), side by side. Blocks with many askers are sent to several tasks, with a share of the askers each."""
+    most = max(ask_rows, -(-asks.count() // HOT_PARTS))
+    busy = asks.groupBy("m_grp", "m_part").agg(F.count(F.lit(1)).alias("_n")).where(F.col("_n") > most).select("m_grp", "m_part", F.ceil(F.col("_n") / most).cast("int").alias("splits"))
+    busy = materialize(busy, "busy-blocks")  # at most HOT_PARTS rows
+    n = F.coalesce("splits", F.lit(1))
+    one = stored.join(F.broadcast(busy), ["m_grp", "m_part"], "left").select("m_grp", "m_part", F.explode(F.sequence(F.lit(0), n - 1)).alias("split"), F.lit(0).alias("kind"), "least", F.lit(None).cast("long").alias("rid"), F.lit(None).cast("long").alias("grp"), "tokens")
+    split = F.pmod(F.xxhash64("rid"), n).cast("int").alias("split")
+    two = asks.join(F.broadcast(busy), ["m_grp", "m_part"], "left").select("rid", "m_grp", "m_part", split).join(sets.select("rid", "grp", "tokens"), "rid")
+    two = two.select("m_grp", "m_part", "split", F.lit(1).alias("kind"), F.lit(0).cast("long").alias("least"), "rid", "grp", "tokens")
+    return one.unionByName(two).repartition("m_grp", "m_part", "split").sortWithinPartitions("m_grp", "m_part", "split", "kind")
+
+
+def _unions(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row per block: the union of its members' tokens and the least size of a member. Rows of a block stand together."""
+    at, members = None, []
+
+    def row() -> pa.RecordBatch:
+        union = np.unique(np.concatenate(members))
+        cols = [pa.array([at[0]], pa.int64()), pa.array([at[1]], pa.int32()), pa.array([min(map(len, members))], pa.int64()), pa.array([union.tobytes()], pa.binary())]
+        return pa.RecordBatch.from_arrays(cols, ["m_grp", "m_part", "least", "tokens"])
+
+    for b in batches:
+        for g, p, blob in zip(*(b.column(c).to_pylist() for c in ("m_grp", "m_part", "tokens")), strict=True):
+            if (g, p) != at:
+                if members:
+                    yield row()
+                at, members = (g, p), []
+            members.append(np.frombuffer(blob, _U))
+    if members:
+        yield row()
+
+
+_FACE = ("m_grp", "m_part", "split", "kind", "least", "rid", "grp", "tokens")
+
+
+def _bounded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of documents and blocks those whose overlap with the union reaches what a link with some member needs."""
+    union, least = None, 0
+    for b in batches:
+        out = []
+        for g, p, _, kind, small, rid, _, blob in zip(*(b.column(c).to_pylist() for c in _FACE), strict=True):
+            s = np.frombuffer(blob, _U)
+            if not kind:
+                union, least = s, small
+                continue
+            where = np.searchsorted(union, s)
+            where[where == len(union)] = 0
+            if int(np.count_nonzero(union[where] == s)) >= pair_overlap(len(s), max(least, len(s))):
+                out.append((rid, g, p))
+        cols = list(zip(*out, strict=True)) or [(), (), ()]
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32()), strict=True)], ["rid", "m_grp", "m_part"])
+
+
+def _opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Groups with a verified link: the members of a qualified block against the documents that qualified."""
+    at, members, done = None, [], set()
+    for b in batches:
+        out: set[tuple[int, int]] = set()
+        for g, p, split, kind, _, _, own, blob in zip(*(b.column(c).to_pylist() for c in _FACE), strict=True):
+            if (g, p, split) != at:
+                at, members, done = (g, p, split), [], set()
+            s = np.frombuffer(blob, _U)
+            if not kind:
+                members.append(s)
+            elif own not in done and any(len(m) >= len(s) and linked(s, m) for m in members):  # else these two groups are joined already
+                done.add(own)
+                out.add((min(g, own), max(g, own)))
+        yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out], pa.int64())], ["grp", "other"])
 
 
 def components(links: DataFrame, a: str = "grp", b: str = "other") -> DataFrame:

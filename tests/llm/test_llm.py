@@ -105,7 +105,27 @@ def test_near_duplicates_hard(spark):
     assert len(set(brute_components(rows).values())) < len(rows)
     check_components(df, rows)
     check_components(df, rows, leaders=0)  # every link must then come from the matrix
-    check_components(df, rows, leaders=1, salts=2, block_rows=2)
+    check_components(df, rows, leaders=1, salts=2, block_rows=2, part_rows=3)
+
+
+def test_busy_blocks_are_split(spark):
+    """Many documents ask one block: every share of them meets all of its members."""
+    token = lambda *ids: np.array(sorted(ids), np.uint64).tobytes()
+    common = range(100, 130)
+    sets = [(k, 31, 1, 0, token(k, *common)) for k in range(3)] + [(10 + k, 31, 10 + k, 0, token(10 + k, *common)) for k in range(40)]
+    sets += [(60 + k, 31, 60 + k, 0, token(60 + k, *range(120, 150))) for k in range(5)]
+    df = spark.createDataFrame(sets, "rid long, n long, grp long, part int, tokens binary")
+    links = {(r.grp, r.other) for r in near_duplicates.matrix_links(df, ask_rows=4).collect()}
+    root = {g: g for _, _, g, _, _ in sets}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, b in links:
+        root[find(a)] = find(b)
+    assert len({find(g) for g in root}) == 2 and all((a < 60) == (b < 60) for a, b in links)
 
 
 def test_drop_near_copies(docs):
