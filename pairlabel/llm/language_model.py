@@ -4,10 +4,10 @@ P(w | h) = a2[b] * c(h, w) / c(h) + a1[b] * c(w) / N + a0[b] / (V + 1), where b
 bucket of the context's frequency. The weights a are learned by expectation
 maximisation on deleted counts: each training token is predicted from all other
 training tokens, its own occurrence taken out of every count. Tokens whose two
-deleted estimates lie within the same sixteenths of a power of two enter the
+deleted estimates lie within the same eighths of a power of two enter the
 maximisation together, by the means of their estimates, so what the driver gets has
 a fixed bound; within a step of that size the estimates differ from their mean by at
-most 2.2 %, whose square bounds the error of a token's share.
+most 4.5 %, whose square bounds the error of a token's share.
 
 Counts come from all training documents. Texts are dealt into blocks of bounded
 size. A block asks for the counts of its distinct n-grams: sorted 64-bit keys, cut
@@ -40,7 +40,7 @@ _U = np.uint64
 _END = _U(0x2545F4914F6CDD1D)
 _START = _U(0x8E9D5A3C71B46F27)
 BUCKETS = 20  # by powers of two of the context's count; 0: unseen
-GRAIN = 16  # steps per power of two by which deleted estimates are gathered; within a step their means are exact
+GRAIN = 8  # steps per power of two by which deleted estimates are gathered; within a step their means are exact
 
 
 def token_keys(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
