@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import influence as I
 from ..settings import Settings
+from .workload import hash_order
 
 
 def class_weight(labels: DataFrame) -> DataFrame:
@@ -82,7 +83,7 @@ def evidence_of(incidence: DataFrame, labels: DataFrame, targets: DataFrame) ->
 
 def capped(evidence: DataFrame, cap: int, salts: int = 1) -> DataFrame:
     """At most cap rows per feature and interval, in the order of a hash of the pair; hot cells are first cut within salts."""
-    order = [F.col("pair_id") * 48271 % 2147483647, F.col("pair_id")]
+    order = [hash_order("pair_id"), F.col("pair_id")]
     if salts > 1:
         evidence = evidence.withColumn("_s", F.pmod(F.xxhash64("pair_id"), F.lit(salts)))
         first = Window.partitionBy("feature_id", "bin", "_s").orderBy(*order)

@@ -9,6 +9,7 @@ for many labels per round.
 
 from __future__ import annotations
 
+import hashlib
 import heapq
 
 import numpy as np
@@ -22,11 +23,11 @@ from . import graph
 from .fit import Own, fit, fit_many
 
 LOG = "pair_id long, label int, round int, support double, p_approx double, p double, h double, flipped boolean, unsupported boolean, easy boolean, fits int"
-_HASH_MOD = 2147483647
 
 
 def _cap_order(ids: np.ndarray) -> np.ndarray:
-    return np.array([i * 48271 % _HASH_MOD for i in ids.tolist()])
+    """The same numbers as workload.hash_order."""
+    return np.array([int(hashlib.md5(str(i).encode()).hexdigest()[:15], 16) for i in ids.tolist()], dtype=np.int64)
 
 
 def fit_together(feats, evidence, p, f, x, label, lo, hi, theta_at, tau_max, weight, known, near, place) -> list[dict[int, tuple[float, float]]]:

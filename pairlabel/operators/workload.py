@@ -17,6 +17,11 @@ def pair_id(a: Column, b: Column) -> Column:
     return F.when(small, a * F.lit(PAIR_BASE) + b).otherwise(F.xxhash64(a, b).bitwiseOR(F.lit(-(1 << 63))))
 
 
+def hash_order(pair: str | Column) -> Column:
+    """A number of 60 bits from the MD5 of a pair id as text, which other engines have too: the order in which pairs are capped, thinned and resized."""
+    return F.conv(F.substring(F.md5(F.col(pair).cast("string") if isinstance(pair, str) else pair.cast("string")), 1, 15), 16, 10).cast("bigint")
+
+
 def beyond(tokens: str | Column, n: int) -> Column:
     """The tokens behind the first n."""
     return F.slice(tokens, n + 1, F.greatest(F.size(tokens) - n, F.lit(0)))
@@ -198,7 +203,7 @@ def resize(pairs: DataFrame, labels: DataFrame, n: int) -> DataFrame:
     """About n pairs, in the order of a hash of the id, with the match share kept."""
     rows = pairs.join(labels, "pair_id")
     total = rows.count()
-    w = Window.partitionBy("truth").orderBy(F.col("pair_id") * 48271 % 2147483647, "pair_id")
+    w = Window.partitionBy("truth").orderBy(hash_order("pair_id"), "pair_id")
     size = F.count(F.lit(1)).over(Window.partitionBy("truth"))
     ranked = rows.withColumn("_r", F.row_number().over(w)).withColumn("_n", size)
     return ranked.where(F.col("_r") <= F.floor(F.col("_n") * F.lit(n) / F.lit(max(total, 1)))).drop("_r", "_n")

@@ -76,7 +76,7 @@ def _build(spark: SparkSession, sf_dir: str, name: str) -> Workload:
     if name == "W1b":  # thin the false pairs to a true share of 45%
         n1, n = truth.agg(F.coalesce(F.sum("truth"), F.lit(0)), F.count(F.lit(1))).first()
         rate = min(1.0, n1 * 55 / 45 / max(1, n - n1))
-        truth = truth.where((F.col("truth") == 1) | (F.pmod(F.col("pair_id") * 48271, F.lit(2147483647)) < F.lit(int(2147483647 * rate))))
+        truth = truth.where((F.col("truth") == 1) | (W.hash_order("pair_id") < F.lit(int((1 << 60) * rate))))
         pairs = cut(pairs.join(truth.select("pair_id"), "pair_id", "left_semi"), "thinned")
     cols = ("sim_title",) if name == "W1t" else W.PARTS
     share = B.cluster_pairs_fixed(pairs, cols, 25 if name == "W2s" else 10).agg(F.coalesce(F.avg("label"), F.lit(0.0))).first()[0]
@@ -146,7 +146,7 @@ def comparison(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("W1b"
     return out
 
 
-def sensitivity(spark: SparkSession, sf_dir: str, what: str, values: tuple, names: tuple[str, ...] = ("W1b", "W1v", "W2s"), settings: Settings = Settings()) -> DataFrame:
+def sensitivity(spark: SparkSession, sf_dir: str, what: str, values: tuple, names: tuple[str, ...] = ("W1b", "W2s"), settings: Settings = Settings()) -> DataFrame:
     """The staged method over values of one parameter: easy_ratio, m, k, interval_cap, labels_per_round or any other setting."""
     runs = []
     for w in (build(spark, sf_dir, n) for n in names):

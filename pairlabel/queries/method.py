@@ -207,7 +207,7 @@ def b9_cluster_entities(spark, d):
     return W.cluster_entities(Q.left(spark, d))
 
 
-@query(f"""{TRUE}, rk AS (SELECT pair_id, truth, row_number() OVER (PARTITION BY truth ORDER BY pair_id * CAST(48271 AS HUGEINT) % 2147483647, pair_id) AS r, count(*) OVER (PARTITION BY truth) AS c, count(*) OVER () AS n FROM truth)
+@query(f"""{TRUE}, rk AS (SELECT pair_id, truth, row_number() OVER (PARTITION BY truth ORDER BY md5(CAST(pair_id AS VARCHAR))[1:15], pair_id) AS r, count(*) OVER (PARTITION BY truth) AS c, count(*) OVER () AS n FROM truth)
 SELECT pair_id, truth FROM rk WHERE r <= floor(c * 500 / CAST(n AS DOUBLE))""")
 def b10_resize(spark, d):
     return W.resize(Q.pairs(spark, d).select("pair_id"), Q.strict_truth(spark, d), 500)
@@ -513,7 +513,7 @@ def i16_evidence(spark, d):
     return G.evidence_of(Q.incidence(spark, d), Q.easy(spark, d), targets(spark, d)).groupBy("feature_id", "bin", "label").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(f"{_ROUND}, {_EVIDENCE} SELECT feature_id, pair_id, bin FROM (SELECT *, row_number() OVER (PARTITION BY feature_id, bin ORDER BY pair_id * CAST(48271 AS HUGEINT) % 2147483647, pair_id) AS r FROM evidence) WHERE r <= 50")
+@query(f"{_ROUND}, {_EVIDENCE} SELECT feature_id, pair_id, bin FROM (SELECT *, row_number() OVER (PARTITION BY feature_id, bin ORDER BY md5(CAST(pair_id AS VARCHAR))[1:15], pair_id) AS r FROM evidence) WHERE r <= 50")
 def i17_cap(spark, d):
     return G.capped(G.evidence_of(Q.incidence(spark, d), Q.easy(spark, d), targets(spark, d)), 50, salts=4).select("feature_id", "pair_id", "bin")
 
