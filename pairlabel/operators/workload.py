@@ -77,6 +77,35 @@ def block_within(records: DataFrame, df_max: int = 200, min_shared: int = 2, tok
     return met.groupBy("id_a", "id_b").agg(F.count(F.lit(1)).alias("shared")).where(F.col("shared") >= min_shared)
 
 
+def block_rest(left: DataFrame, right: DataFrame | None = None, df_max: int = 200, min_shared: int = 2, threshold: float = 0.5, tokens_col: str = "title") -> DataFrame:
+    """id_a, id_b, sim: the similar pairs that blocking by rare tokens cannot see, whatever the frequency of what they share.
+
+    Records with the same set of tokens are one class, named by its least record, and classes
+    whose Jaccard reaches the threshold are paired by a prefix filter. Which tokens a pair
+    shares depends on the two classes alone, so a pair of classes is found by rare tokens as
+    a whole or not at all; those found are left out. Together with ``token_classes`` no
+    similar pair of records is lost, and copies are never expanded. Without a right table:
+    within the left one, id_a < id_b; members of one class are then pairs by membership.
+    """
+    from ..plans.planner import class_heads, prefix_join
+
+    sets = lambda t: t.select("rec_id", F.col(tokens_col).alias("s"))
+    tables = [sets(left)] if right is None else [sets(left), sets(right)]
+    df = postings(tables[0] if right is None else tables[0].unionAll(tables[1]), "s").groupBy("token").agg(F.count(F.lit(1)).alias("df")).where(F.col("df") <= df_max)
+    heads = [class_heads(t) for t in tables]
+
+    def rare(t: DataFrame, name: str) -> DataFrame:
+        held = t.select(F.col("rec_id").alias(f"id_{name}"), F.explode("s").alias("token")).join(df.select("token"), "token")
+        return held.groupBy(f"id_{name}").agg(F.collect_set("token").alias(f"rare_{name}"))
+
+    met = prefix_join(heads[0], heads[-1], threshold)
+    if right is None:
+        met = met.where("id_a < id_b")
+    met = met.join(rare(heads[0], "a"), "id_a", "left").join(rare(heads[-1], "b"), "id_b", "left")
+    shared = F.coalesce(F.size(F.array_intersect("rare_a", "rare_b")), F.lit(0))
+    return met.where(F.greatest(shared, F.lit(0)) < min_shared).select("id_a", "id_b", "sim")
+
+
 def block_by_key(left: DataFrame, right: DataFrame, cols: list[str]) -> DataFrame:
     a = left.select(F.col("rec_id").alias("id_a"), *cols)
     return a.join(right.select(F.col("rec_id").alias("id_b"), *cols), cols).select("id_a", "id_b")
@@ -216,11 +245,14 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
-def w1h(spark: SparkSession, sf_dir: str, df_max: int = 200, min_shared: int = 2) -> DataFrame:
-    """Documents against their dirty twin, with the weighted similarity."""
+def w1h(spark: SparkSession, sf_dir: str, df_max: int = 200, min_shared: int = 2, rest: float | None = None) -> DataFrame:
+    """Documents against their dirty twin, with the weighted similarity. rest: also classes of titles that are so similar and share frequent tokens only."""
     left = document_records(load(spark, sf_dir, "documents"))
     right = corrupt(left)
-    pairs = compare(block_by_tokens(left, right, df_max, min_shared), left, right)
+    blocked = block_by_tokens(left, right, df_max, min_shared).select("id_a", "id_b")
+    if rest is not None:
+        blocked = blocked.unionAll(block_rest(left, right, df_max, min_shared, rest).select("id_a", "id_b"))
+    pairs = compare(blocked, left, right)
     return with_similarity(pairs, attribute_weights(left, right))
 
 

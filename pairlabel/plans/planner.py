@@ -35,8 +35,10 @@ def prefix_join(left: DataFrame, right: DataFrame, threshold: float) -> DataFram
     """id_a, id_b, sim: pairs of (rec_id, s) with Jaccard of the sets at or over the threshold.
 
     Tokens are ordered by document frequency, rarest first; of two similar sets the
-    first size - ceil(threshold * size) + 1 tokens meet. Sizes that differ too much
-    never meet, and what is left is compared exactly.
+    first size - ceil(threshold * size) + 1 tokens meet. Sizes that differ too much never
+    meet. What two prefixes share is counted: behind the last shared token at most the
+    shorter remainder can be shared too, and pairs for which that is not enough are not
+    read. What is left is compared exactly.
     """
     tokens = left.select(F.explode("s").alias("t")).unionAll(right.select(F.explode("s").alias("t")))
     df = tokens.groupBy("t").agg(F.count(F.lit(1)).alias("df"))
@@ -45,12 +47,14 @@ def prefix_join(left: DataFrame, right: DataFrame, threshold: float) -> DataFram
         rows = table.select("rec_id", F.size("s").alias("n"), F.explode("s").alias("t")).join(df, "t")
         rows = rows.groupBy("rec_id", "n").agg(F.array_sort(F.collect_list(F.struct("df", "t"))).alias("o"))
         length = F.col("n") - F.ceil(F.col("n") * threshold) + 1
-        return rows.select(F.col("rec_id").alias(f"id_{name}"), F.col("n").alias(f"n_{name}"), F.explode(F.slice("o", F.lit(1), length.cast("int"))).alias("x")).select(
-            f"id_{name}", f"n_{name}", F.col("x.t").alias("t")
+        return rows.select(F.col("rec_id").alias(f"id_{name}"), F.col("n").alias(f"n_{name}"), F.posexplode(F.slice("o", F.lit(1), length.cast("int"))).alias("at", "x")).select(
+            f"id_{name}", f"n_{name}", (F.col(f"n_{name}") - F.col("at") - 1).alias(f"rest_{name}"), F.col("x.t").alias("t")
         )
 
     near = (F.col("n_a") >= F.col("n_b") * threshold) & (F.col("n_b") >= F.col("n_a") * threshold)
-    met = prefixes(left, "a").join(prefixes(right, "b"), "t").where(near).select("id_a", "id_b").distinct()
+    rest = F.least("rest_a", "rest_b")
+    met = prefixes(left, "a").join(prefixes(right, "b"), "t").where(near).groupBy("id_a", "id_b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("c"), F.min(rest).alias("rest"))
+    met = met.where((F.col("c") + F.col("rest")) * (1 + threshold) >= (F.col("n_a") + F.col("n_b")) * threshold - 1e-9).select("id_a", "id_b")
     met = met.join(left.select(F.col("rec_id").alias("id_a"), F.col("s").alias("s_a")), "id_a").join(right.select(F.col("rec_id").alias("id_b"), F.col("s").alias("s_b")), "id_b")
     return _kept(met, threshold)
 
@@ -77,6 +81,32 @@ def similarity_join(left: DataFrame, right: DataFrame, threshold: float, how: st
     return (loop_join if how == "loop" else prefix_join)(left, right, threshold)
 
 
+def token_classes(table: DataFrame) -> DataFrame:
+    """rec_id, class_id, s (sorted): the least id of the records with the same set of tokens. Empty sets are in no class. One row per class meets its members, so adaptive execution can split a hot class."""
+    rows = table.select("rec_id", F.array_sort(F.array_distinct("s")).alias("s")).where(F.size("s") > 0)
+    least = rows.groupBy("s").agg(F.min("rec_id").alias("class_id"))
+    return rows.join(least, "s").select("rec_id", "class_id", "s")
+
+
+def class_heads(table: DataFrame) -> DataFrame:
+    """rec_id, s: the least record of each class of equal sets; combined before the shuffle, so copies cost one row each partition."""
+    rows = table.select("rec_id", F.array_sort(F.array_distinct("s")).alias("s")).where(F.size("s") > 0)
+    return rows.groupBy("s").agg(F.min("rec_id").alias("rec_id")).select("rec_id", "s")
+
+
+def similar_classes(table: DataFrame, threshold: float) -> DataFrame:
+    """id_a, id_b, sim, copy: a set-similarity join of a table with itself that never expands copies.
+
+    copy is false for pairs of classes of equal sets, each named by its least record, and
+    true for a record and the least record of its own class. Any two records whose sets are
+    similar are in one class or in two that are paired.
+    """
+    heads = class_heads(table)
+    links = prefix_join(heads, heads, threshold).where("id_a < id_b").withColumn("copy", F.lit(False))
+    copies = token_classes(table).where("rec_id <> class_id").select(F.col("class_id").alias("id_a"), F.col("rec_id").alias("id_b"), F.lit(1.0).alias("sim"), F.lit(True).alias("copy"))
+    return links.unionByName(copies)
+
+
 def connected_components(links: DataFrame, a: str, b: str) -> DataFrame:
     """node, root (the least node that can be reached). Rounds of least labels with jumps; each round's labels are written, so lineage stays short."""
     both = cut(links.select(F.col(a).alias("x"), F.col(b).alias("y")).unionAll(links.select(F.col(b), F.col(a))).distinct(), "links")

@@ -16,6 +16,7 @@ from ..operators import features as X
 from ..operators import graph as G
 from ..operators import metrics as M
 from ..operators import workload as W
+from ..plans.planner import token_classes
 from ..settings import Settings
 from . import base as Q
 
@@ -153,6 +154,29 @@ def b2_pairs_within(spark, d):
     return W.block_within(Q.left(spark, d), 100, 3)
 
 
+_HEADS = "{0}h AS MATERIALIZED (SELECT list_sort(list_distinct(title)) AS s, min(rec_id) AS rec_id FROM {0} WHERE len(title) > 0 GROUP BY 1), {0}x AS (SELECT rec_id, len(s) AS n, unnest(s) AS token FROM {0}h)"
+_ALIKE = "alike AS (SELECT a.rec_id AS id_a, b.rec_id AS id_b, count(*) / CAST(any_value(a.n) + any_value(b.n) - count(*) AS DOUBLE) AS sim FROM {0}x a JOIN {1}x b USING (token) GROUP BY 1, 2 HAVING 2 * count(*) >= any_value(a.n) + any_value(b.n) - count(*))"
+
+
+@query(f"WITH {Q.RECORDS}, {Q.BLOCKED}, {_HEADS.format('l')}, {_HEADS.format('r')}, {_ALIKE.format('l', 'r')} SELECT id_a, id_b, round(sim, 6) AS sim FROM alike ANTI JOIN blocked USING (id_a, id_b)")
+def b1_pairs_rest(spark, d):
+    """Similar titles that share frequent tokens only, between classes of equal ones."""
+    return rounded(W.block_rest(Q.left(spark, d), Q.right(spark, d)))
+
+
+@query(f"""WITH {Q.RECORDS}, lt AS (SELECT rec_id, unnest(list_distinct(title)) AS token FROM l), dfs AS (SELECT token, count(*) AS df FROM lt GROUP BY token),
+found AS (SELECT a.rec_id AS id_a, b.rec_id AS id_b FROM lt a JOIN dfs USING (token) JOIN lt b USING (token) WHERE df <= 100 AND a.rec_id < b.rec_id GROUP BY 1, 2 HAVING count(*) >= 3),
+{_HEADS.format('l')}, {_ALIKE.format('l', 'l')} SELECT id_a, id_b, round(sim, 6) AS sim FROM alike ANTI JOIN found USING (id_a, id_b) WHERE id_a < id_b""")
+def b2_pairs_rest(spark, d):
+    return rounded(W.block_rest(Q.left(spark, d), df_max=100, min_shared=3))
+
+
+@query(f"WITH {Q.RECORDS} SELECT rec_id, min(rec_id) OVER (PARTITION BY list_sort(list_distinct(title))) AS class_id FROM l WHERE len(title) > 0")
+def b2_title_classes(spark, d):
+    """Whom each record's class is named by."""
+    return token_classes(Q.left(spark, d).select("rec_id", F.col("title").alias("s"))).select("rec_id", "class_id")
+
+
 @query(f"WITH {Q.RECORDS}, {Q.BLOCKED.replace('<= 200', '<= 60').replace('>= 2)', '>= 1)')} SELECT id_a, id_b, shared FROM blocked")
 def b3_block_tokens(spark, d):
     return W.block_by_tokens(Q.left(spark, d), Q.right(spark, d), 60, 1)
