@@ -51,9 +51,8 @@ def match_share(pairs: DataFrame, rounds: int = 10) -> float:
 def rule_pairs(pairs: DataFrame, share: float | None = None) -> DataFrame:
     """Cut by similarity at the k-means share."""
     share = match_share(pairs) if share is None else share
-    n = pairs.count()
-    top = int(n * share + 1e-9)
-    return E.extremes(pairs, top, n - top)
+    matches = E.extremes(pairs, int(pairs.count() * share + 1e-9), 0)
+    return pairs.select("pair_id").join(matches, "pair_id", "left").select("pair_id", F.coalesce("label", F.lit(0)).alias("label"))
 
 
 def split(pairs: DataFrame, run: int, *shares: float):

@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from pairlabel.operators import baselines as B
 from pairlabel.operators import vectors as V
 from pairlabel.operators import workload as W
 from pairlabel.plans import planner
@@ -86,3 +87,8 @@ def test_near_vectors_recall(spark, sf):
     want = {(at[i], at[j]) for i, j in zip(*np.nonzero(np.triu(far <= 1.1, 1)), strict=True)}
     got = ids(V.near_vectors(e, e, 1.1, bucket=0.25).where("id_a < id_b"), "id_a", "id_b")
     assert want and got <= want and len(got) >= 0.9 * len(want)
+
+
+def test_rule_cut_within_ties(spark):
+    pairs = spark.createDataFrame([(i, 0.5) for i in range(10)] + [(10, 0.9), (11, 0.1)], "pair_id long, sim double")
+    assert ids(B.rule_pairs(pairs, 0.34), "pair_id", "label") == {(i, int(i in (10, 0, 1, 2))) for i in range(12)}
