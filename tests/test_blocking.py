@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from pairlabel.operators import baselines as B
+from pairlabel.operators import relational as R
 from pairlabel.operators import vectors as V
 from pairlabel.operators import workload as W
 from pairlabel.plans import planner
@@ -92,3 +93,30 @@ def test_near_vectors_recall(spark, sf):
 def test_rule_cut_within_ties(spark):
     pairs = spark.createDataFrame([(i, 0.5) for i in range(10)] + [(10, 0.9), (11, 0.1)], "pair_id long, sim double")
     assert ids(B.rule_pairs(pairs, 0.34), "pair_id", "label") == {(i, int(i in (10, 0, 1, 2))) for i in range(12)}
+
+
+def test_salted_join_repeats_hot_keys_alone(spark):
+    left = spark.createDataFrame([(k, i) for i in range(60) for k in ((1,) if i < 40 else (2, None))], "k long, i long")
+    right = spark.createDataFrame([(1, "a"), (1, "b"), (2, "c"), (3, "d"), (None, "e")], "k long, v string")
+    out = R.salted_join(left, right, ["k"], 16, hot_rows=30)
+    assert sorted(out.select("k", "i", "v").collect()) == sorted(left.join(right, "k").select("k", "i", "v").collect())
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        plan = R.salted_join(left, right, ["k"], 16, hot_rows=30)._jdf.queryExecution().executedPlan().toString()
+        rows = R.salted_join(left, right.withColumn("v", F.monotonically_increasing_id()), ["k"], 16, hot_rows=1000)
+    finally:
+        spark.conf.unset("spark.sql.adaptive.enabled")
+    assert "SortMergeJoin" in plan and rows.count() == 100  # no key is hot: no row of the right table is repeated
+
+
+def test_range_join_names_classes_of_equal_prices(spark, sf, tmp_path):
+    from pairlabel.queries import surface
+
+    prices = [100.0, 100.0, 100.05, 100.2, None, 100.05, 900.0]
+    spark.createDataFrame(list(enumerate(prices)), "p_partkey long, p_retailprice double").write.parquet(f"{tmp_path}/part.parquet")
+    got = ids(surface.QUERIES["op_join_range"](spark, str(tmp_path)), "a", "b", "copy")
+    name = {y: x for x, y, copy in got if copy}
+    links = {(x, y) for x, y, copy in got if not copy}
+    assert name == {1: 0, 5: 2}
+    for (i, p), (j, q) in itertools.product([x for x in enumerate(prices) if x[1]], repeat=2):
+        assert ((name.get(i, i), name.get(j, j)) in links) == (q * 0.999 <= p <= q * 1.001)
