@@ -120,3 +120,18 @@ def test_range_join_names_classes_of_equal_prices(spark, sf, tmp_path):
     assert name == {1: 0, 5: 2}
     for (i, p), (j, q) in itertools.product([x for x in enumerate(prices) if x[1]], repeat=2):
         assert ((name.get(i, i), name.get(j, j)) in links) == (q * 0.999 <= p <= q * 1.001)
+
+
+def test_sorted_neighbours_do_not_depend_on_the_sample(spark):
+    """Range bounds come from a sample that every run draws anew."""
+    n = 4000
+    rows = spark.range(n).select(F.col("id").alias("rec_id"), F.md5(F.col("id").cast("string")).alias("k")).repartition(8)
+    spark.conf.set("spark.sql.execution.rangeExchange.sampleSizePerPartition", "3")
+    spark.conf.set("spark.sql.exchange.reuse", "false")
+    try:
+        got = sorted(tuple(r) for r in W.block_sorted(rows, F.col("k"), 2, 16).collect())
+    finally:
+        spark.conf.unset("spark.sql.execution.rangeExchange.sampleSizePerPartition")
+        spark.conf.unset("spark.sql.exchange.reuse")
+    order = [r.rec_id for r in sorted(rows.collect(), key=lambda r: (r.k, r.rec_id))]
+    assert got == sorted((min(p), max(p)) for i in range(n) for p in ((order[i], order[j]) for j in range(i + 1, min(i + 3, n))))
