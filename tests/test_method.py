@@ -390,3 +390,23 @@ def test_containment_whole_texts_and_common_tokens(spark):
     for block_tokens in (100_000, 6):
         assert sorted(map(str, contained(a, b, block_tokens).collect())) == sorted(f"Row(item_id={i}, doc_id={k}, contained={c}, run={n})" for i, k, c, n in want)
     assert contained(a.limit(0), b).count() == contained(a, b.limit(0)).count() == 0
+
+
+def test_residuals_are_summed_in_one_chain(spark):
+    """On a line without residuals sigma is rounding alone, so the order of its six terms decides it."""
+    rng = np.random.default_rng(5)
+    rows = []
+    for k in range(400):
+        a, b, n0, n1 = rng.random(), rng.random(), int(rng.integers(1, 9)), int(rng.integers(1, 9))
+        rows.append((k, n0, n0 * a, n0 * a * a, n1, n1 * b, n1 * b * b))
+    stats = spark.createDataFrame(rows, "feature_id long, n0 long, s0 double, q0 double, n1 long, s1 double, q1 double")
+    got = {r.feature_id: r.sigma for r in G.fit_curves(stats, spark.createDataFrame([(1.7,)], "w double"), Settings()).collect()}
+    z, w = Settings().label_logit, 1.7
+    for k, n0, s0, q0, n1, s1, q1 in rows:
+        sw, sx, sxx, sy, sxy = n0 + w * n1, s0 + w * s1, q0 + w * q1, (w * n1 - n0) * z, (w * s1 - s0) * z
+        if sw * sxx - sx * sx > 1e-9 and n0 + n1 > 2:
+            tau = (sw * sxy - sx * sy) / (sw * sxx - sx * sx)
+            icpt = (sy - tau * sx) / sw
+            lo, hi = -z - icpt, z - icpt
+            rss = n0 * lo * lo - 2 * tau * lo * s0 + tau * tau * q0 + n1 * hi * hi - 2 * tau * hi * s1 + tau * tau * q1
+            assert got[k] == math.sqrt(max(rss / (n0 + n1 - 2), 0.0))
