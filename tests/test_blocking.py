@@ -135,3 +135,29 @@ def test_sorted_neighbours_do_not_depend_on_the_sample(spark):
         spark.conf.unset("spark.sql.exchange.reuse")
     order = [r.rec_id for r in sorted(rows.collect(), key=lambda r: (r.k, r.rec_id))]
     assert got == sorted((min(p), max(p)) for i in range(n) for p in ((order[i], order[j]) for j in range(i + 1, min(i + 3, n))))
+
+
+@pytest.mark.parametrize("threshold", [0.3, 0.5, 0.75, 1.0])
+def test_short_join_is_exact(spark, threshold):
+    rng = np.random.default_rng(4)
+    sets = sorted({tuple(sorted({f"t{int(k)}" for k in rng.zipf(1.3, 12) % 40})) for _ in range(150)})
+    t = spark.createDataFrame([(i, list(s), 1 + i % 3) for i, s in enumerate(sets)], "rec_id long, s array<string>, n_records long")
+    want = {(i, j) for i, j in itertools.product(range(len(sets)), repeat=2) if similar(sets[i], sets[j], threshold)}
+    got = [tuple(r) for r in planner.short_join(t, t, threshold).select("id_a", "id_b").collect()]
+    assert len(got) == len(set(got)) and set(got) == want
+    df = {w: sum(1 + i % 3 for i, s in enumerate(sets) if w in s) for s in sets for w in s}
+    common = {(i, j) for i, j in want if sum(df[w] <= 30 for w in set(sets[i]) & set(sets[j])) < 2}
+    assert ids(planner.short_join(t, t, threshold, 30, 2), "id_a", "id_b") == common
+
+
+def test_minhash_classes_do_not_expand_copies(spark):
+    rows_a, rows_b = titles(), titles(1000)
+    a, b = table(spark, rows_a), table(spark, rows_b)
+    got = [tuple(r) for r in W.minhash_classes(a, b).collect()]
+    assert len(got) == len(set(got)) < 250
+    root = {(kind, y): x for x, y, kind in got if kind != "pair"}
+    links = {(x, y) for x, y, kind in got if kind == "pair"}
+    every = ids(W.block_minhash(a, b), "id_a", "id_b")
+    assert len(every) > 2000
+    for (x, s), (y, t) in itertools.product(rows_a, rows_b):
+        assert ((x, y) in every) == ((root.get(("left", x), x), root.get(("right", y), y)) in links)
