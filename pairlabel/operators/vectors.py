@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.ml import Pipeline
 from pyspark.ml.feature import IDF, BucketedRandomProjectionLSH, CountVectorizer, HashingTF, Word2Vec
 from pyspark.ml.functions import array_to_vector, vector_to_array
@@ -60,3 +62,41 @@ def near_vectors(left: DataFrame, right: DataFrame, distance: float, bucket: flo
     model = BucketedRandomProjectionLSH(inputCol="x", outputCol="h", bucketLength=bucket, numHashTables=tables, seed=seed).fit(a)
     met = model.approxSimilarityJoin(a, b, distance, "distance")
     return met.select(F.col("datasetA.id").alias("id_a"), F.col("datasetB.id").alias("id_b"), "distance")
+
+
+def label_agreement(vectors: DataFrame, cut_at: float, block_rows: int = 1024) -> DataFrame:
+    """tp, fp, fn, tn of all pairs of one bucket: a cosine over cut_at says that two labels agree. vectors: id, bucket, v, label.
+
+    Buckets are dealt into blocks of about so many rows, and every two blocks of a bucket
+    meet in one task as matrices, so pairs are counted and never made into rows. As for
+    the cosine column, a vector of length zero has cosine 0, and NaN is over any cut. Pairs
+    of vectors of different lengths or with a null have no cosine and count as 0; rows without a label take no part.
+    """
+    rows = vectors.where("id is not null and bucket is not null and label is not null").select("id", "bucket", F.transform("v", lambda x: x.cast("double")).alias("v"), F.col("label").cast("string").alias("label"))
+    blocks = F.broadcast(rows.groupBy("bucket").agg(F.ceil(F.count(F.lit(1)) / block_rows).cast("int").alias("n")))
+    rows = rows.join(blocks, "bucket").withColumn("own", F.pmod(F.xxhash64("id"), F.col("n")).cast("int"))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n") - 1)))
+    rows = rows.select("bucket", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "v", "label")
+
+    def count(met: pd.DataFrame) -> pd.DataFrame:
+        side = [met[met["own"] == met[c].iloc[0]] for c in "ij"]
+        ids = [s["id"].to_numpy() for s in side]
+        names = [s["label"].to_numpy(dtype=object) for s in side]
+        agree = names[0][:, None] == names[1][None]
+        once = ids[0][:, None] < ids[1][None] if met["i"].iloc[0] == met["j"].iloc[0] else ids[0][:, None] != ids[1][None]
+        sim = np.zeros(agree.shape)
+        sizes = [np.array([len(x) if x is not None and not any(y is None for y in x) else -1 for x in s["v"]], dtype=int) for s in side]
+        for size in np.intersect1d(*sizes):
+            if size > 0:
+                at = [np.nonzero(n == size)[0] for n in sizes]
+                a, b = (np.array([np.asarray(s["v"].iloc[k], dtype=float) for k in w]) for s, w in zip(side, at, strict=True))
+                with np.errstate(all="ignore"):
+                    long = np.sqrt((a * a).sum(1))[:, None] * np.sqrt((b * b).sum(1))[None]
+                    sim[np.ix_(*at)] = np.where(long == 0, 0.0, (a @ b.T) / long)
+        with np.errstate(all="ignore"):
+            over = (sim > cut_at) | np.isnan(sim)
+        pick = lambda y, t: int(np.count_nonzero(once & (over == y) & (agree == t)))
+        return pd.DataFrame({"tp": [pick(True, True)], "fp": [pick(True, False)], "fn": [pick(False, True)], "tn": [pick(False, False)]})
+
+    met = rows.groupBy("bucket", "i", "j").applyInPandas(count, "tp long, fp long, fn long, tn long")
+    return met.agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in ("tp", "fp", "fn", "tn")])

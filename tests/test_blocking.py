@@ -161,3 +161,19 @@ def test_minhash_classes_do_not_expand_copies(spark):
     assert len(every) > 2000
     for (x, s), (y, t) in itertools.product(rows_a, rows_b):
         assert ((x, y) in every) == ((root.get(("left", x), x), root.get(("right", y), y)) in links)
+
+
+@pytest.mark.parametrize("block_rows", [7, 1000])
+def test_label_agreement_counts_every_pair_once(spark, block_rows):
+    rng = np.random.default_rng(6)
+    v = rng.normal(size=(60, 4))
+    v[3] = 0
+    rows = [(i, f"b{i % 2}", v[i].tolist(), None if i == 8 else int(rng.integers(0, 3))) for i in range(60)]
+    want = dict.fromkeys(("tp", "fp", "fn", "tn"), 0)
+    for (_, p, x, a), (_, q, y, b) in itertools.combinations([r for r in rows if r[3] is not None], 2):
+        if p == q:
+            size = np.linalg.norm(x) * np.linalg.norm(y)
+            over = size > 0 and np.dot(x, y) / size > 0.2
+            want[("t" if over == (a == b) else "f") + ("p" if over else "n")] += 1
+    got = V.label_agreement(spark.createDataFrame(rows, "id long, bucket string, v array<double>, label int"), 0.2, block_rows)
+    assert got.first().asDict() == want and sum(want.values()) > 800
