@@ -177,3 +177,46 @@ def test_label_agreement_counts_every_pair_once(spark, block_rows):
             want[("t" if over == (a == b) else "f") + ("p" if over else "n")] += 1
     got = V.label_agreement(spark.createDataFrame(rows, "id long, bucket string, v array<double>, label int"), 0.2, block_rows)
     assert got.first().asDict() == want and sum(want.values()) > 800
+
+
+def components(n, edges):
+    root = list(range(n))
+    for x, y in edges:
+        x, y = root[x], root[y]
+        root = [min(x, y) if r in (x, y) else r for r in root]
+    return root
+
+
+def mixed_sets(rng):
+    """Near copies of three texts, chains of drifting sets, unrelated sets with frequent words, copies, empty sets."""
+    rows = []
+    for size in (6, 30, 90):
+        base = [f"b{size}_{i}" for i in range(size)]
+        rows += [[w for w in base if rng.random() < 0.8] + [f"x{int(k)}" for k in rng.integers(0, 4000, size // 4)] for _ in range(25)]
+    rows += [[f"c{i}" for i in range(k, k + 12)] for k in range(0, 60, 3)]
+    rows += [[f"z{int(k)}" for k in rng.zipf(1.2, int(rng.integers(1, 60))) % 500] for _ in range(80)]
+    return [*rows, [], [], rows[0], rows[0], [*rows[30], *rows[30]]]
+
+
+@pytest.mark.parametrize(("threshold", "block", "numbered"), [(0.5, 10**9, 10**6), (0.5, 3000, 10**6), (0.5, 3000, 20), (0.3, 3000, 0), (0.8, 3000, 20), (1.0, 3000, 10**6)])
+def test_links_keep_all_components(spark, monkeypatch, threshold, block, numbered):
+    from pairlabel.plans import similar_sets
+
+    rows = mixed_sets(np.random.default_rng(5))
+    for name, value in (("links", {"block": block, "small": 10**9}), ("coded_sets", {"max_numbered": numbered})):
+        monkeypatch.setattr(similar_sets, name, lambda *a, f=getattr(similar_sets, name), value=value: f(*a, **value))
+    records = spark.createDataFrame(list(enumerate(rows)), "rec_id long, words array<string>")
+    want = components(len(rows), [(i, j) for i, j in itertools.combinations(range(len(rows)), 2) if similar(rows[i], rows[j], threshold)])
+    assert dict(ids(W.cluster_entities(records, threshold), "rec_id", "entity_id")) == dict(enumerate(want))
+
+
+def test_links_do_not_list_near_copies(spark):
+    """200 near copies are 19,900 links, of which a task gives at most 199: before, all were shuffled with their sets."""
+    from pairlabel.plans import similar_sets
+
+    rng = np.random.default_rng(6)
+    sets = spark.createDataFrame([(i, [f"w{k}" for k in range(50) if rng.random() < 0.95] + [f"own{i}"]) for i in range(200)], "rec_id long, s array<string>")
+    heads = similar_sets.coded_sets(sets)
+    assert similar_sets.links(heads, 0.5).count() == 199
+    none = spark.createDataFrame([], "rec_id long, words array<string>")
+    assert W.cluster_entities(none).count() == 0
