@@ -410,3 +410,16 @@ def test_residuals_are_summed_in_one_chain(spark):
             lo, hi = -z - icpt, z - icpt
             rss = n0 * lo * lo - 2 * tau * lo * s0 + tau * tau * q0 + n1 * hi * hi - 2 * tau * hi * s1 + tau * tau * q1
             assert got[k] == math.sqrt(max(rss / (n0 + n1 - 2), 0.0))
+
+
+@pytest.mark.parametrize("method", ["svm", "mlp"])
+def test_supervised_runs_do_not_repeat_the_data(spark, method):
+    """All runs learn from what one broadcast holds: no shuffle with a copy of the rows for each run."""
+    rows = [(i, *[(i * k % 17) / 16 for k in (1, 3, 5, 7)], [f"t{i % 9}", f"u{i % 4}"], [f"t{i % 9}", f"u{i % 3}"]) for i in range(400)]
+    pairs = spark.createDataFrame(rows, "pair_id long, sim_title double, sim_body double, sim_source double, sim_num double, title_a array<string>, title_b array<string>")
+    truth = pairs.select("pair_id", (F.col("sim_title") > 0.5).cast("int").alias("truth"))
+    runs = B.supervised_runs(pairs, truth, method, shares=(0.3,), runs=2)
+    assert "Exchange" not in runs._jdf.queryExecution().executedPlan().toString()
+    got = {r.run: r for r in runs.collect()}
+    assert set(got) == {0, 1} and all(r.f1 > 0.8 and r.method == method for r in got.values())
+    assert B.supervised_runs(pairs.limit(0), truth, method, runs=1).count() == 0
