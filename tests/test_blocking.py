@@ -220,3 +220,34 @@ def test_links_do_not_list_near_copies(spark):
     assert similar_sets.links(heads, 0.5).count() == 199
     none = spark.createDataFrame([], "rec_id long, words array<string>")
     assert W.cluster_entities(none).count() == 0
+
+
+def test_bodies_are_compared_without_being_sent_to_pairs(spark):
+    """A body of many pairs goes to them as token numbers; its words, and their number or order, do not matter. Tokens of one record alone, null and empty bodies count too."""
+    def record(i, body):
+        return (i, ["t"], body, "s", 1.0)
+
+    bodies = [[f"x{k}" for k in range(300)], [f"x{k}" for k in range(150, 900, 3)], [*["x1"] * 9, "x2", "own"], [], None, [f"y{k}" for k in range(70_000)] + ["x2"]]
+    schema = "rec_id long, title array<string>, body array<string>, source string, n_chars double"
+    a = spark.createDataFrame([record(i, b) for i, b in enumerate(bodies)], schema)
+    b = spark.createDataFrame([record(i, (b or [])[::-2]) for i, b in enumerate(bodies)] + [record(9, bodies[5][:30_000])], schema)
+    blocked = spark.createDataFrame([(x, y) for x in range(6) for y in (0, 1, 2, 3, 4, 5, 9)], "id_a long, id_b long")
+    out = W.compare(blocked, a, b)
+    other = {r.rec_id: set(r.body) for r in b.collect()}
+    for r in out.collect():
+        x, y = set(bodies[r.id_a] or ()), other[r.id_b]
+        assert r.sim_body == (len(x & y) / len(x | y) if x | y else 0.0), (r.id_a, r.id_b)
+    assert out.count() == 42
+    plan = out._jdf.queryExecution().optimizedPlan().toString()
+    assert "body" not in plan.replace("sim_body", "")  # before, whole bodies were joined to every pair
+
+
+@pytest.mark.parametrize("most", [10, 10_000])
+def test_shared_tokens_with_and_without_numbers(spark, most):
+    from pairlabel.plans import similar_sets as SS
+
+    sets = [[f"w{k}" for k in range(i, 40 * i, i)] for i in range(1, 9)]
+    left, right = (spark.createDataFrame([(i, s) for i, s in enumerate(own)], "rec_id long, s array<string>") for own in (sets, sets[::-1]))
+    a, b = (t.toPandas().set_index("rec_id").sort_index() for t in SS.coded_tables(SS.hashed_sets(left), SS.hashed_sets(right), max_numbered=most))
+    got = SS.shared_tokens(*[t[c].map(bytes).tolist() for t in (a, b) for c in ("near", "far", "rest")])
+    assert got.tolist() == [len(set(x) & set(y)) for x, y in zip(sets, sets[::-1], strict=True)]
