@@ -423,3 +423,18 @@ def test_supervised_runs_do_not_repeat_the_data(spark, method):
     got = {r.run: r for r in runs.collect()}
     assert set(got) == {0, 1} and all(r.f1 > 0.8 and r.method == method for r in got.values())
     assert B.supervised_runs(pairs.limit(0), truth, method, runs=1).count() == 0
+
+
+@pytest.mark.parametrize("exact", [False, True])
+def test_kernel_labels_workloads_of_any_size(spark, exact):
+    """Over 200,000 pairs, or 50,000 in the exact mode, it refused before."""
+    n = 50_100 if exact else 200_100
+    pairs = spark.range(n).select(F.col("id").alias("pair_id"), (F.col("id") % 101 / 100).alias("sim"))
+    known = "pair_id % 1000 <> 7"
+    inc = pairs.where(f"pair_id < 900 or not ({known})").select("pair_id", F.lit((1 << 59) + 1).alias("feature_id"), F.col("sim").alias("x"))
+    easy = pairs.where(known).select("pair_id", (F.col("sim") >= 0.5).cast("int").alias("label"))
+    log = infer.label_kernel(pairs, inc, easy, Settings(labels_per_round=100, k=100), exact=exact).persist()
+    open_ = log.where("not easy")
+    assert log.select("pair_id").distinct().count() == log.count() == n
+    assert open_.count() == pairs.where(f"not ({known})").count() and open_.where("fits < 0 or label not in (0, 1)").count() == 0
+    assert {r.label for r in open_.select("label").distinct().collect()} == {0, 1}
