@@ -41,8 +41,9 @@ def fit_curves(stats: DataFrame, weight: DataFrame, settings: Settings) -> DataF
 
 def with_confidence(incidence: DataFrame, curves: DataFrame, settings: Settings) -> DataFrame:
     """pair_id, feature_id, x, theta (normalised), tau, alpha of entries with an active feature."""
-    rows = incidence.select("pair_id", "feature_id", "x").join(curves.where("active"), "feature_id")
-    theta = I.confidence(settings, F.col("x"))
+    active = curves.where("active").withColumn("whole", I.whole_area(F.col("nobs") - 2))
+    rows = incidence.select("pair_id", "feature_id", "x").join(active, "feature_id")
+    theta = I.confidence(settings, F.col("x"), F.col("whole"))
     return rows.select("pair_id", "feature_id", "x", (I.normalize(theta) if settings.confidence_scale == "normalized" else theta).alias("theta"), "tau", "alpha")
 
 

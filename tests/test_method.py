@@ -438,3 +438,15 @@ def test_kernel_labels_workloads_of_any_size(spark, exact):
     assert log.select("pair_id").distinct().count() == log.count() == n
     assert open_.count() == pairs.where(f"not ({known})").count() and open_.where("fits < 0 or label not in (0, 1)").count() == 0
     assert {r.label for r in open_.select("label").distinct().collect()} == {0, 1}
+
+
+def test_whole_areas_are_made_once_for_a_feature(spark):
+    """Before, each entry integrated twice, once for what normalises it; the numbers are the same to the last bit."""
+    inc = spark.createDataFrame([(p, f, (7 * p + f) % 11 / 11) for p in range(40) for f in range(3)], "pair_id long, feature_id long, x double")
+    labels = inc.where("feature_id = 1 and pair_id < 30").select("pair_id", (F.col("x") > 0.5).cast("int").alias("label"))
+    curves = G.fit_curves(G.feature_stats(inc, labels), G.class_weight(labels), Settings()).persist()
+    out = G.with_confidence(inc, curves, Settings())
+    assert out._jdf.queryExecution().optimizedPlan().expressions().mkString().count("aggregate(") == 1
+    twice = inc.join(curves.where("active"), "feature_id").select("pair_id", "feature_id", I.normalize(I.confidence(Settings(), F.col("x"))).alias("was"))
+    both = out.join(twice, ["pair_id", "feature_id"])
+    assert both.count() == out.count() > 0 and both.where("theta <> was").count() == 0
