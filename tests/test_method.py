@@ -450,3 +450,38 @@ def test_whole_areas_are_made_once_for_a_feature(spark):
     twice = inc.join(curves.where("active"), "feature_id").select("pair_id", "feature_id", I.normalize(I.confidence(Settings(), F.col("x"))).alias("was"))
     both = out.join(twice, ["pair_id", "feature_id"])
     assert both.count() == out.count() > 0 and both.where("theta <> was").count() == 0
+
+
+@pytest.mark.parametrize("method", ["svm", "mlp"])
+def test_supervised_runs_take_any_number_of_pairs(spark, method):
+    """Over 500,000 pairs they refused before; a few run to keep this short."""
+    n, at = 500_100, F.col("id")
+    pairs = spark.range(n).select(at.alias("pair_id"), *[(at * k % 17 / 16).alias(c) for k, c in zip((1, 3, 5, 7), W.PARTS, strict=True)], *[F.array(F.concat(F.lit("t"), (at % k).cast("string"))).alias(c) for k, c in ((9, "title_a"), (4, "title_b"))])
+    truth = pairs.select("pair_id", (F.col("sim_title") > 0.5).cast("int").alias("truth"))
+    got = B.supervised_runs(pairs, truth, method, shares=(0.06,), runs=1).collect()
+    assert [(r.method, r.share, r.run) for r in got] == [(method, 0.06, 0)] and got[0].f1 > 0.9
+
+
+def test_newton_steps_over_parts_are_those_over_all_rows(spark):
+    """Classifiers from sums over partitions against plain Newton steps over one array; one share has no training rows, one truth a single class."""
+    rng = np.random.default_rng(3)
+    x = rng.uniform(size=(900, 4)).round(3)
+    y = (x @ [1, 1, 0.5, -1] + rng.normal(0, 0.2, 900) > 0.8).astype(int)
+    rows = [(i, *x[i].tolist(), int(y[i])) for i in range(900)]
+    table = spark.createDataFrame(rows, "pair_id long, a double, b double, c double, d double, truth int").repartition(7)
+    data = table.select("pair_id", F.array("a", "b", "c", "d").alias("x"), "truth")
+    drawn = {r.pair_id: r.drawn for r in B.with_draws(data, 2).collect()}
+    models = B.train_svms(data, [(0.3, 0), (0.3, 1), (0.0, 0)])
+    assert models[2] == ("same", 0) and B.train_svms(data.withColumn("truth", F.lit(1)), [(0.3, 0)]) == [("same", 1)]
+    for r in (0, 1):
+        own = np.array([drawn[i][r] / 1e6 < 0.3 for i in range(900)])
+        mean, scale, z = x[own].mean(0), x[own].std(0) + 1e-9, (x - x[own].mean(0)) / (x[own].std(0) + 1e-9)
+        a = np.column_stack([z, *[z[:, i] * z[:, j] for i in range(4) for j in range(i, 4)], np.ones(900)])
+        s, weight, w = 2.0 * y[own] - 1, np.where(y[own], 0.5 / y[own].sum(), 0.5 / (1 - y[own]).sum()), np.zeros(15)
+        for _ in range(25):
+            gap = 1 - s * (a[own] @ w)
+            on = gap > 0
+            t = a[own][on]
+            w = w - np.linalg.solve((t * weight[on][:, None]).T @ t + 1e-3 * np.eye(15), 1e-3 * w - t.T @ (weight[on] * s[on] * gap[on]))
+        assert np.allclose(models[r][1], mean) and np.allclose(models[r][2], scale) and np.allclose(models[r][3], w, atol=1e-8)
+        assert (B.predict(models[r], x) == (a @ w >= 0)).all()
