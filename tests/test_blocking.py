@@ -1,11 +1,14 @@
 """Groups of copies and frequent words: no similar pair is lost by blocking, and copies are not expanded."""
 
+import hashlib
 import itertools
+import re
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from pairlabel.functions import similarity as S
 from pairlabel.operators import baselines as B
 from pairlabel.operators import relational as R
 from pairlabel.operators import vectors as V
@@ -251,3 +254,43 @@ def test_shared_tokens_with_and_without_numbers(spark, most):
     a, b = (t.toPandas().set_index("rec_id").sort_index() for t in SS.coded_tables(SS.hashed_sets(left), SS.hashed_sets(right), max_numbered=most))
     got = SS.shared_tokens(*[t[c].map(bytes).tolist() for t in (a, b) for c in ("near", "far", "rest")])
     assert got.tolist() == [len(set(x) & set(y)) for x, y in zip(sets, sets[::-1], strict=True)]
+
+
+@pytest.mark.parametrize("bands, rows", [(16, 2), (5, 1), (4, 3)])
+def test_minimum_hashes_meet_by_numbers(spark, bands, rows):
+    """Each pair that agrees in some band, once; what was earlier is told by plain comparisons, where before a function ran over a sequence for each meeting."""
+    rng = np.random.default_rng(5)
+    side = lambda at: [(at + i, sorted({f"t{int(k)}" for k in rng.zipf(1.4, 8) % 30})) for i in range(60)]
+    rows_a, rows_b = side(0), side(1000)
+    met = W.block_minhash(table(spark, rows_a), table(spark, rows_b), bands=bands, rows=rows)
+    plan = met._jdf.queryExecution().optimizedPlan().toString()
+    assert "exists(" not in plan and "sequence(" not in plan
+
+    def hashes(title):
+        codes = [int(hashlib.md5(t.encode()).hexdigest()[:8], 16) for t in title]
+        least = [min((c * a + b) % W.MINHASH_PRIME for c in codes) for a, b in map(W.minhash_step, range(bands * rows))]
+        return [tuple(least[k * rows : (k + 1) * rows]) for k in range(bands)]
+
+    a, b = ({i: hashes(t) for i, t in r} for r in (rows_a, rows_b))
+    want = {(i, j) for i in a for j in b if any(x == y for x, y in zip(a[i], b[j], strict=True))}
+    got = [tuple(r) for r in met.collect()]
+    assert len(got) == len(set(got)) and set(got) == want and 0 < len(want) < 3600
+
+
+def test_titles_split_no_whole_texts(spark):
+    """Titles, also of the twin, come from the first parts of a text; they are those of all tokens."""
+    texts = ["", None, " ", "one", "-- A b C", "a " * 12, " ".join(f"W{i}" for i in range(40)), "...x" * 13, "ünï, cødé! " * 9, "--".join(f"word{i}" for i in range(13)), "\n".join(f"word{i}" for i in range(14)), " lead " + "x y " * 7]
+    docs = spark.createDataFrame([(k, t, "s", 5) for k, t in enumerate(texts)], "doc_id long, text string, source string, n_chars int")
+    left = W.document_records(docs)
+    for t in (left, W.corrupt(left)):
+        plan = t.select("rec_id", "title")._jdf.queryExecution().optimizedPlan().toString()
+        assert ", 14)" in plan and ", -1)" not in plan
+        assert all(r.title + r.body == r.words and r.title == r.words[: len(r.title)] and len(r.title) <= 12 for r in t.collect())
+    every = docs.select("doc_id", S.tokens(F.col("text")).alias("t"))
+    assert {r.rec_id: (r.title, r.words) for r in left.collect()} == {r.doc_id: (r.t[:12], r.t) for r in every.collect()}
+    loses = lambda r, i: (r * 7919 + i * 104729 + r * i * 31) % 100 < 5 + (r * 31) % 60
+    drops = lambda r, i, w: w[0] + w[2:] if (r * 13 + i * 17) % 10 == 0 and len(w) > 3 else w
+    for r in W.corrupt(left).collect():
+        t = [w.lower() for w in re.findall(r"[^\W_]+", texts[r.rec_id] or "")]
+        own = [drops(r.rec_id, i, w) for i, w in enumerate(t) if not loses(r.rec_id, i)]
+        assert r.words == own and r.title == own[: len(r.title)]
